@@ -12,6 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from spreadmax.llm.common import table
 from spreadmax.llm.decontaminate import decontaminate
+from spreadmax.llm.mixing import mix
+from spreadmax.llm.sharding import shard_documents
 from spreadmax.llm.simhash import one_of_each
 from spreadmax.llm.toxicity import drop_toxic
 from spreadmax.session import written
@@ -29,7 +31,21 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return decontaminate(docs, table(spark, sf_dir, "benchmark"))
 
 
-STAGES = [("toxicity", toxicity), ("near_dedup", near_dedup), ("decontamination", decontamination)]
+def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return mix(docs)
+
+
+def sharding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return shard_documents(docs)
+
+
+STAGES = [
+    ("toxicity", toxicity),
+    ("near_dedup", near_dedup),
+    ("decontamination", decontamination),
+    ("mixing", mixing),
+    ("sharding", sharding),
+]
 
 #: A trained classifier and iterative joins have no SQL form; tests hold run() against a brute-force version.
 ORACLE_SQL = None
