@@ -7,10 +7,11 @@ from itertools import combinations
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
-@udtf(returnType="sim int, id long, label long")
+@udtf(returnType=T.StructType().add("sim", T.IntegerType()).add("id", T.LongType()).add("label", T.LongType()))
 class ComponentLabels:
     """component_labels(TABLE(sampled) PARTITION BY sim): the memo rows of each simulation."""
 
@@ -31,7 +32,7 @@ class ComponentLabels:
                 yield self.sim, i, label
 
 
-@udtf(returnType="ids array<long>")
+@udtf(returnType=T.StructType().add("ids", T.ArrayType(T.LongType())))
 class Combinations:
     """combinations(array, k): all k-subsets in order."""
 
@@ -40,7 +41,7 @@ class Combinations:
             yield (list(c),)
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def cosine(a: pd.Series, b: pd.Series) -> pd.Series:
     x, y = np.stack(a.to_list()).astype(float), np.stack(b.to_list()).astype(float)
     return pd.Series((x * y).sum(axis=1) / np.sqrt((x * x).sum(axis=1) * (y * y).sum(axis=1)))
