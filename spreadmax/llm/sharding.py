@@ -23,11 +23,11 @@ from pyspark.sql import functions as F
 from spreadmax.session import written
 
 SHARDS = 8
-ROUNDS = 8
+ROUNDS = 16
+#: Shards with less room than this part of their quota take no further votes.
+NEARLY_FULL = 16
 #: Rows that are ranked in one task.
 BUCKET_ROWS = 32_768
-#: Members of one group in one shard beyond which a part of them may move alone.
-DIVISIBLE = 256
 GROUP = ["g", "text_crc32", "size"]
 
 
@@ -77,15 +77,15 @@ def _wish(shards: int, open_to: list[bool]) -> Column:
     return (-F.array_max(ranked)["i"]).cast("int")
 
 
-def _moves(shards: int, wish: Column, share) -> Column:
+def _moves(wish: Column, share, salt: int) -> Column:
     """Members that leave each shard for the wish; `share(from)` is the part of the flow that quotas allow."""
 
     def leaving(x: Column, i: Column) -> Column:
         top = F.get(F.col("c"), wish)
         wants = (i != wish) & ((x < top) | ((x == top) & (i > wish)))
         part = share(i)
-        chance = F.pmod(F.xxhash64("g", "text_crc32", "size", i), F.lit(1 << 20)) / float(1 << 20)
-        some = F.when(x > DIVISIBLE, F.floor(x * part)).when(chance < part, x).otherwise(0)
+        chance = F.pmod(F.xxhash64("g", "text_crc32", "size", i, F.lit(salt)), F.lit(1 << 20)) / float(1 << 20)
+        some = F.when(part >= 1, x).otherwise(F.floor(x * part + chance))
         return F.when(wants, some).otherwise(0).cast("long")
 
     return F.transform("c", leaving)
@@ -122,51 +122,50 @@ def propagate(groups: DataFrame, quota: list[int], rounds: int = ROUNDS) -> tupl
 
     trace: list[dict] = []
     now = loads(groups)
-    idle = 0
+    idle, swap = 0, False  # first into shards with room; when that ends, exchanges between full ones
     for r in range(rounds):
         room = [q - n for q, n in zip(quota, now, strict=True)]
-        open_to = [x > 0 for x in room] if r % 2 == 0 else [True] * shards
-        if not any(open_to):
-            idle += 1
-            continue
-        wished = groups.withColumn("wish", _wish(shards, open_to))
-        sums = wished.groupBy("wish").agg(
-            *[F.sum(F.get(_moves(shards, F.col("wish"), lambda i: F.lit(1.0)), F.lit(s))).alias(f"s{s}") for s in range(shards)]
-        )
-        want = [[0] * shards for _ in range(shards)]
-        for row in sums.collect():  # one row per shard
-            for s in range(shards):
-                want[s][row["wish"]] = int(row[f"s{s}"] or 0)
-        share = _flows(want, room)
-        moved = sum(map(sum, want))
-        idle = idle + 1 if not moved else 0
-        if idle == 2:
-            break
-        if not moved:
-            continue
-        after = None
-        for _ in range(6):
-            flat = F.array(*[F.lit(share[s][t]) for s in range(shards) for t in range(shards)])
-            gone = _moves(shards, F.col("wish"), lambda i, flat=flat: F.get(flat, i * shards + F.col("wish")))
-            tried = wished.withColumn("m", gone).select(
-                *GROUP,
-                F.transform(
-                    "c", lambda x, i: x - F.get("m", i) + F.when(i == F.col("wish"), F.aggregate("m", F.lit(0).cast("long"), lambda a, b: a + b)).otherwise(0)
-                ).alias("c"),
-            )
-            tried = written(tried, "shards")
-            then = loads(tried)
-            if all(n <= q for n, q in zip(then, quota, strict=True)):
-                after = tried
-                break
-            share = [[x * 0.7 for x in row] for row in share]  # hashes took more than planned
-        if after is None:
+        # a shard that is all but full would draw votes that it cannot take
+        open_to = [swap or x * NEARLY_FULL > q for x, q in zip(room, quota, strict=True)]
+        moved = 0
+        if any(open_to):
+            groups, now, moved = _round(groups, quota, now, room, open_to, loads, r)
+            trace.append({"round": r, "swap": swap, "moved": moved, "loads": now})
+        idle = 0 if moved else idle + 1
+        if idle == 4:
             break
-        trace.append({"round": r, "wanted": moved, "loads": then})
-        groups, now = after, then
+        swap = idle % 2 == 1
     return groups, trace
 
 
+def _round(groups: DataFrame, quota: list[int], now: list[int], room: list[int], open_to: list[bool], loads, salt: int):
+    """One round of votes and moves: the groups after it, the loads, and how many members moved."""
+    shards = len(quota)
+    wished = groups.withColumn("wish", _wish(shards, open_to))
+    every = _moves(F.col("wish"), lambda i: F.lit(1.0), salt)
+    sums = wished.groupBy("wish").agg(*[F.sum(F.get(every, F.lit(s))).alias(f"s{s}") for s in range(shards)])
+    want = [[0] * shards for _ in range(shards)]
+    for row in sums.collect():  # one row per shard
+        for s in range(shards):
+            want[s][row["wish"]] = int(row[f"s{s}"] or 0)
+    if not any(map(any, want)):
+        return groups, now, 0
+    share = _flows(want, room)
+    for _ in range(6):
+        flat = F.array(*[F.lit(share[s][t]) for s in range(shards) for t in range(shards)])
+        gone = _moves(F.col("wish"), lambda i, flat=flat: F.get(flat, i * shards + F.col("wish")), salt)
+        total = F.aggregate("m", F.lit(0).cast("long"), lambda a, b: a + b)
+        tried = wished.withColumn("m", gone).select(
+            *GROUP, F.transform("c", lambda x, i: x - F.get("m", i) + F.when(i == F.col("wish"), total).otherwise(0)).alias("c"), total.alias("moved")
+        )
+        tried = written(tried, "shards")
+        then = loads(tried)
+        if all(n <= q for n, q in zip(then, quota, strict=True)):
+            return tried.drop("moved"), then, int(tried.agg(F.sum("moved")).head()[0] or 0)
+        share = [[x * 0.7 for x in row] for row in share]  # hashes took more than planned
+    return groups, now, 0
+
+
 def cut_links(groups: DataFrame) -> DataFrame:
     """links and cut: pairs of linked documents, and those that lie in different shards."""
     pairs = lambda n: n * (n - 1) / 2

@@ -1,0 +1,416 @@
+"""Every operator against brute force, on small texts with the awkward cases in them."""
+
+import hashlib
+import random
+import re
+import zlib
+from collections import Counter, defaultdict
+
+import numpy as np
+import public_tokenizers
+import pytest
+import xxhash
+from pyspark.sql import functions as F
+from tokenizers import Tokenizer
+
+from spreadmax.llm import decontaminate, exact_dedup, license_scan, mixing, pii, quality, sharding, simhash, token_counts, toxicity
+from spreadmax.llm.queries import QUERIES
+
+WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+FOLD = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+#: Columns beyond those of documents, with names that operators use for their own.
+EXTRA = "score double, fp long, shard int, n_words long, row long, label string, entities string, kept string"
+
+
+def words(text):
+    return WORD.findall((text or "").translate(FOLD))
+
+
+def frame(spark, texts, lang="en"):
+    rows = [(i, t, lang if (i or 0) % 5 else None, f"s{(i or 0) % 3}" if (i or 0) % 7 else None, len(t or ""), 0.0, 1, 2, 3, 4, "x", "y", "z") for i, t in texts]
+    return spark.createDataFrame(rows, f"doc_id long, text string, lang string, source string, n_chars long, {EXTRA}")
+
+
+def vocabulary(seed, n=400):
+    rng = random.Random(seed)
+    return ["".join(rng.choice("abcdefghijklmnoprstuvw") for _ in range(rng.randint(2, 9))) for _ in range(n)]
+
+
+@pytest.fixture(scope="module")
+def texts():
+    rng, v = random.Random(3), vocabulary(3)
+    line = lambda n: " ".join(rng.choice(v) for _ in range(n))
+    out = [(i, line(rng.randint(1, 80))) for i in range(60)]
+    base = line(120)
+    out += [(60 + k, base) for k in range(9)]  # copies
+    out += [(70 + k, " ".join(w if rng.random() > 0.01 else "changed" for w in base.split())) for k in range(12)]  # near copies
+    out += [(90, None), (91, ""), (92, "   \n\t "), (93, None), (None, "an orphan without number"), (None, None), (5, out[5][1]), (94, "é" * 5000 + " end"), (95, line(20000))]
+    out += [(96, "Released under the MIT License. And the Apache License; mit license mit license"), (97, "GNU General Public License, version 3.")]
+    return out
+
+
+def test_exact_dedup(spark, texts):
+    df = frame(spark, texts)
+    for options in ({}, {"broadcast_rows": -1, "salt_rows": 2}):
+        got = exact_dedup.exact_dedup(df, **options).collect()
+        groups = defaultdict(list)
+        for i, t in texts:
+            groups[t or ""].append(i)
+        want = []
+        for i, t in texts:
+            own = groups[t or ""]
+            keep = max((x for x in own if x is not None), default=None)
+            want.append((i, keep, len(own), i == keep, hashlib.sha256((t or "").encode()).hexdigest()))
+        key = lambda r: tuple(map(str, r))
+        assert sorted(map(tuple, got), key=key) == sorted(want, key=key)
+
+
+def test_quotient_filters_merge_without_loss():
+    rng = np.random.default_rng(1)
+    codec = exact_dedup.QuotientFilter(40, 12)
+    parts = [np.unique(rng.integers(0, 1 << 52, 3000, dtype=np.uint64) & np.uint64(~np.uint64(0xFFF0))) for _ in range(4)]
+    counts = [rng.integers(1, 9, len(p)).astype(np.uint64) for p in parts]
+    coded = [codec.encode(p, c) for p, c in zip(parts, counts, strict=True)]
+    for data, p, c in zip(coded, parts, counts, strict=True):
+        keys, n = codec.decode(data)
+        assert (keys == p).all() and (n == c).all()
+    keys, n = codec.merge(coded)
+    want = Counter()
+    for p, c in zip(parts, counts, strict=True):
+        want.update(dict(zip(p.tolist(), c.tolist(), strict=True)))
+    assert dict(zip(keys.tolist(), n.tolist(), strict=True)) == dict(want)
+
+
+def test_decontamination(spark, texts):
+    rng, v = random.Random(4), vocabulary(3)
+    items = [("a", " ".join(rng.choice(v) for _ in range(30))), ("b", "Short, item here"), ("c", ""), (None, "nameless words go"), ("d", None), ("a2", "the")]
+    items.append(("e", texts[61][1]))
+    docs = [*texts, (200, "intro words " + items[0][1].upper() + " and an end"), (201, "so short... ITEM  here; nameless words go the end"), (202, "shorts item here")]
+    docs.append((203, " ".join(items[0][1].split()[:12])))
+    bench = spark.createDataFrame(items, "item_id string, text string")
+    df = frame(spark, docs)
+    want = {}
+    windows = []
+    for name, t in items:
+        w = words(t)
+        windows += [(name, w[i : i + 13]) for i in range(max(1, len(w) - 12))] if w else []
+    for i, t in docs:
+        w, hit, names = words(t), set(), set()
+        for name, g in windows:
+            for k in range(len(w) - len(g) + 1):
+                if w[k : k + len(g)] == g:
+                    hit.update(range(k, k + len(g)))
+                    names.update([name] if name else [])
+        digest = hashlib.sha256(",".join(sorted(names)).encode()).hexdigest()
+        want.setdefault(i, []).append((len(w), len(hit), len(names), digest, bool(hit) and 20 * len(hit) >= len(w)))
+    for limit in (decontaminate.PASS_BYTES, 40):  # in one pass, and in several
+        got = defaultdict(list)
+        for r in decontaminate.find_contamination(df, bench, pass_bytes=limit).collect():
+            got[r["doc_id"]].append((r["n_words"], r["n_hit"], r["n_items"], r["items_sha256"], r["contaminated"]))
+        assert {k: sorted(x) for k, x in got.items()} == {k: sorted(x) for k, x in want.items()}
+    kept = decontaminate.decontaminate(df, bench)
+    assert kept.columns == df.columns and {r["doc_id"] for r in kept.collect()}.isdisjoint({200, 201})
+    empty = decontaminate.find_contamination(df, bench.limit(0)).agg(F.max("n_hit")).head()[0]
+    assert empty == 0
+
+
+def test_token_counts(spark, texts):
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    library = Tokenizer.from_file(path)
+    more = [*texts, (300, "a<|endoftext|>b  <|endoftext|>"), (301, "it's  \n\n 12,345 naïve 世界 <|end"), (302, "x" * 3000), (303, " lead and trail ")]
+    got = token_counts.token_counts(frame(spark, more), path, prefixes=True).collect()
+    assert len(got) == len(more)
+    by = defaultdict(list)
+    for i, t in more:
+        by[i].append(t or "")
+    for r in got:
+        assert r["n_tokens"] in {len(library.encode(t, add_special_tokens=False).ids) for t in by[r["doc_id"]]}
+        assert r["over_limit"] == (r["n_tokens"] > 1024) and r["piece_tokens"][-1] == r["n_tokens"]
+    counter = token_counts.PrefixCounter(token_counts.MergeVocabulary(path))
+    rng = random.Random(2)
+    bits = ["a", "the", " ", "  ", "\n", "'s", "'re", "'", "1", "99", "!", "é", "<|endoftext|>", "<|", "\t", "ll", "世界", "!?"]
+    for _ in range(150):
+        text = "".join(rng.choice(bits) for _ in range(12))
+        table = counter.prefixes(text)
+        for k in range(len(text) + 1):
+            assert table.count(k) == len(library.encode(text[:k], add_special_tokens=False).ids), (text, k)
+        for budget in (1, 3, 5):
+            cut = table.fit(budget)
+            assert table.count(cut) <= budget
+
+
+def _fingerprint(text):
+    w = (text or "").translate(FOLD).encode()
+    w = re.findall(rb"[^\x20\x09-\x0D]+", w)
+    if not w:
+        return 0
+    grams = [b" ".join(w[i : i + 3]) for i in range(max(1, len(w) - 2))]
+    h = [xxhash.xxh64_intdigest(g, 42) for g in grams]
+    return sum(1 << k for k in range(64) if 2 * sum(x >> k & 1 for x in h) > len(h))
+
+
+def _components(rows):
+    ids = list(range(len(rows)))
+
+    def find(x):
+        while ids[x] != x:
+            x = ids[x]
+        return x
+
+    for a in range(len(rows)):
+        for b in range(a):
+            if bin(rows[a] ^ rows[b]).count("1") <= 3:
+                ids[find(a)] = find(b)
+    return [find(x) for x in ids]
+
+
+def test_simhash(spark, texts):
+    got = simhash.near_duplicates(frame(spark, texts)).collect()
+    prints = [_fingerprint(t) for _, t in texts]
+    roots = _components(prints)
+    least = {}
+    for (i, _), root in zip(texts, roots, strict=True):
+        if i is not None:
+            least[root] = min(i, least.get(root, i))
+    want = sorted((str(i), p, least.get(root)) for (i, _), p, root in zip(texts, prints, roots, strict=True))
+    assert sorted((str(r["doc_id"]), r["fp"] % (1 << 64), r["component_id"]) for r in got) == want
+    df = frame(spark, texts)
+    kept = simhash.one_of_each(df)
+    assert kept.columns == df.columns
+    assert {r["doc_id"] for r in kept.collect()} - {None} == {x for x in least.values()}
+
+
+def test_simhash_links_of_crowded_lists(spark):
+    """Lists beyond their limit go to the finer index; components stay those of brute force."""
+    rng = random.Random(8)
+    base = [rng.getrandbits(64) for _ in range(3)]
+    prints = set()
+    for b in base:
+        at = b
+        for _ in range(70):
+            for _ in range(rng.randint(1, 3)):
+                at ^= 1 << rng.randrange(64)
+            prints.add(at)
+            if rng.random() < 0.3:
+                at = b
+    prints = sorted(prints)
+    signed = [(p - (1 << 64) if p >> 63 else p,) for p in prints]
+    roots = _components(prints)
+    for limit in (simhash.LIST_ROWS, 9):
+        links = simhash.links_of(spark.createDataFrame(signed, "fp long"), limit).collect()
+        assert all(bin((r["src"] ^ r["dst"]) % (1 << 64)).count("1") <= 3 for r in links)
+        ids = {p[0]: p[0] for p in signed}
+
+        def find(x, ids=ids):
+            while ids[x] != x:
+                x = ids[x]
+            return x
+
+        for r in links:
+            ids[find(r["src"])] = find(r["dst"])
+        for a in range(len(prints)):
+            for b in range(a):
+                assert (find(signed[a][0]) == find(signed[b][0])) == (roots[a] == roots[b])
+
+
+def test_probing_forest_equals_pairwise():
+    rng = random.Random(5)
+    members = np.array(sorted({(0xABCDEF0123 << 24) | (rng.getrandbits(3) << rng.randrange(21)) for _ in range(120)}), np.uint64)
+    by_pairs, by_probes = simhash._forest(members), simhash._forest_by_probes(members, [0, 1, 2])
+    assert len(by_pairs) == len(by_probes)
+
+
+def test_license_scan(spark, texts):
+    got = defaultdict(list)
+    for r in license_scan.scan_licenses(frame(spark, texts)).collect():
+        got[r["doc_id"]].append((r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]))
+    want = defaultdict(list)
+    for i, t in texts:
+        w, places, labels = words(t), [], set()
+        for phrase, label in license_scan.BASE.items():
+            p = phrase.split()
+            found = [k for k in range(len(w)) if w[k : k + len(p)] == p]
+            places += found
+            labels.update([label] if found else [])
+        want[i].append((len(w), len(places), min(places, default=None), max(places, default=None), ",".join(sorted(labels))))
+    assert {k: sorted(map(str, x)) for k, x in got.items()} == {k: sorted(map(str, x)) for k, x in want.items()}
+
+
+def test_license_notices_with_changes(spark):
+    notice = "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"
+    changed = notice.replace("source and binary", "source, object and binary")
+    rows = [(1, f"x {notice}."), (2, f"y {changed}."), (3, "Redistribution and use in source"), (4, "licensed under CC BY-NC 4.0."), (5, "licensed under CC BY 4.0"), (6, "the Kernel mit licenſe")]
+    got = {r["doc_id"]: (r["labels"], r["base_labels"]) for r in license_scan.scan_licenses(frame(spark, rows)).collect()}
+    assert got == {1: ("bsd", ""), 2: ("bsd", ""), 3: ("", ""), 4: ("cc-by-nc", ""), 5: ("cc-by", ""), 6: ("", "")}
+
+
+def test_surrogates(spark):
+    rows = [
+        (1, "Mail anna.60@mail8.example.com or ANNA.60@MAIL8.EXAMPLE.COM, bob.1@mail8.example.com"),
+        (2, "call +1 (621) 555-4974, ip 240.56.125.154 not 999.1.1.1 or 1.2.3.4.5"),
+        (3, 'card 4516744854574821 and 4516-7448-5457-4821; token = "2b0cb261201f091f991b2c1144c292e775ffe40a"'),
+        (4, "Mrs Anna Smith met Mr. Smith and Господин Иванов"), (5, None), (6, ""), (None, "again anna.60@mail8.example.com"), (7, "nothing here"), (7, "nothing here"),
+    ]
+    for options in ({}, {"exceptions": -1}):
+        out = pii.replace_pii(frame(spark, rows), **options)
+        got = defaultdict(list)
+        for r in out.collect():
+            got[r["doc_id"]].append(r)
+        e = lambda i: [(x["kind"], x["mention"], x["surrogate"]) for x in got[i][0]["entities"]]
+        assert [k for k, _, _ in e(1)] == ["email"] * 3 and e(1)[0][2].upper() == e(1)[1][2] and e(1)[0][2] != e(1)[2][2]
+        assert e(1)[0][2] == e(None)[0][2]  # one entity, one surrogate
+        assert re.fullmatch(r"\+1 \(\d{3}\) \d{3}-\d{4}", e(2)[0][2]) and [k for k, _, _ in e(2)] == ["phone", "ip"]
+        assert e(3)[0][2] == e(3)[1][2].replace("-", "") != "4516744854574821" and re.fullmatch("[0-9a-f]{40}", e(3)[2][2])
+        surnames = [s.split()[-1] for _, _, s in e(4)]
+        assert surnames[0] == surnames[1] and re.fullmatch("[А-я]+", surnames[2]) and e(4)[0][2].split()[1] in pii.GIVEN["latin", "f"]
+        assert got[5][0]["text"] is None and got[6][0]["text"] == "" and len(got[7]) == 2 and got[7][0]["text"] == "nothing here"
+        for i, t in rows:
+            want = t
+            for _, mention, new in [(x["kind"], x["mention"], x["surrogate"]) for r in got[i][:1] for x in r["entities"]]:
+                want = want.replace(mention, new, 1)
+            assert got[i][0]["text"] == want
+
+
+def test_permutations_are_distinct(spark):
+    ids = spark.range(20_000).select(pii.permuted(F.col("id"), 100, 200, F.lit("k")).alias("p"))
+    assert ids.distinct().count() == 20_000 and ids.agg(F.max("p"), F.min("p")).head()[:] == (19_999, 0)
+
+
+def test_surrogates_are_drawn_again_when_they_meet(spark, monkeypatch):
+    monkeypatch.setattr(pii, "drawn", lambda kind, unit, attempt, key: F.concat(F.pmod(F.hash(unit, attempt), F.lit(40)).cast("string"), F.when(attempt == 0, "").otherwise(attempt.cast("string"))))
+    units = spark.createDataFrame([("email", str(i)) for i in range(30)], "kind string, unit string")
+    again = {r["unit"]: r["low"] for r in pii.repeated_draws(units).collect()}
+    first = {r["unit"]: r["low"] for r in units.withColumn("low", pii.drawn(F.col("kind"), F.col("unit"), F.lit(0), "")).collect()}
+    final = {u: again.get(u, low) for u, low in first.items()}
+    assert again and len(set(final.values())) == 30 and not set(final.values()) & set(final)
+
+
+def test_mixing(spark, texts):
+    df = frame(spark, texts)
+    out = mixing.mix(df)
+    assert out.columns == df.columns
+    rates = {r["source"]: r["rate"] for r in mixing.source_rates(df, {"s0": 3.0, "s1": 1.0, "s2": 0.0}).collect()}
+    assert rates["s2"] == 0 and rates[None] == 0
+    size = df.groupBy("source").agg(F.sum(F.octet_length(F.coalesce("text", F.lit(""))) + 1)).collect()
+    size = {r[0]: r[1] for r in size}
+    assert rates["s0"] * size["s0"] / (rates["s1"] * size["s1"]) == pytest.approx(3)
+    again = sorted(map(str, mixing.replicate(df.repartition(7)).select("doc_id", "__copy", "__key").collect()))
+    assert sorted(map(str, mixing.replicate(df).select("doc_id", "__copy", "__key").collect())) == again
+
+
+def test_poisson_counts_follow_their_rate(spark):
+    rows = [(i, "x" * 9, "en", "rare" if i < 40 else "mass", 9) for i in range(4000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = mixing.replicate(df, {"rare": 0.5, "mass": 0.5}).groupBy("source").agg(F.count(F.lit(1)).alias("n"), F.max("__rate").alias("rate")).collect()
+    by = {r["source"]: r for r in got}
+    assert by["rare"]["rate"] == pytest.approx(50) and abs(by["rare"]["n"] - 2000) < 5 * 2000**0.5
+    assert by["mass"]["rate"] == pytest.approx(4000 / 2 / 3960) and abs(by["mass"]["n"] - 2000) < 5 * 2000**0.5
+
+
+@pytest.mark.parametrize("hot", [False, True])
+def test_sharding(spark, texts, hot):
+    rows = [*texts, *[(1000 + k, "one very common text") for k in range(150 if hot else 0)]]
+    got = sharding.shard_documents(frame(spark, rows)).collect()
+    assert len(got) == len(rows)
+    by = defaultdict(list)
+    for r in got:
+        by[r["shard"]].append(r["slot"])
+        assert r["law"] == "rows" and r["grown_shard"] is None
+    sizes = [len(by[s]) for s in range(8)]
+    assert max(sizes) - min(sizes) <= 1 and all(sorted(x) == list(range(len(x))) for x in by.values())
+    want = sorted((str(i), len((t or "").encode()) + (t is not None or 1) * 1, zlib.crc32((t or "").encode())) for i, t in rows)
+    assert sorted((str(r["doc_id"]), r["size"], r["text_crc32"]) for r in got) == want
+    groups = defaultdict(list)
+    for r in got:
+        groups[r["text_crc32"], r["size"]].append(r["shard"])
+    room = max(sizes)
+    for own in groups.values():
+        assert len(set(own)) <= -(-len(own) // room) + 2
+    together = [len(set(x)) == 1 for x in groups.values() if 1 < len(x) < 9]
+    assert sum(together) >= 0.6 * len(together)
+
+
+def test_flows_respect_room():
+    rng = random.Random(1)
+    for _ in range(50):
+        want = [[rng.randint(0, 50) if a != b else 0 for b in range(8)] for a in range(8)]
+        room = [rng.choice([0, 0, 5, 40]) for _ in range(8)]
+        share = sharding._flows(want, room)
+        for t in range(8):
+            come = sum(share[s][t] * want[s][t] for s in range(8))
+            go = sum(share[t][u] * want[t][u] for u in range(8))
+            assert come <= room[t] + go / 0.97 + 1e-6
+
+
+def test_forest_learns_and_traverses():
+    rng = np.random.default_rng(0)
+    x = rng.random((600, 5))
+    y = ((x[:, 1] > 0.4) ^ (x[:, 3] > 0.7)).astype(float)
+    forest = quality.grow(x[:400], y[:400])
+    assert ((forest.score(x[400:]) >= 0.5) == y[400:]).mean() > 0.95
+
+    def walk(row):
+        total = forest.start
+        for t in range(len(forest.feature)):
+            node = 0
+            while node < 2**forest.depth - 1:
+                node = 2 * node + 1 + (row[forest.feature[t, node]] > forest.cut[t, node])
+            total += forest.value[t, node - (2**forest.depth - 1)]
+        return total
+
+    assert np.allclose(forest.margin(x[:20]), [walk(r) for r in x[:20]])
+
+
+def test_quality_and_toxicity_on_labels(spark):
+    rng, v = random.Random(1), vocabulary(1)
+    docs, labels = [], []
+    for i in range(500):
+        w = [rng.choice(v) for _ in range(rng.randint(5, 60))]
+        toxic, junk = i % 5 == 0, i % 4 == 0
+        if toxic:
+            w.insert(rng.randrange(len(w)), rng.choice(["vileword", "nastyword"]))
+        docs.append((i, " ".join(x + "$$$" if junk else x for x in w)))
+        labels.append((i, int(not junk), int(toxic)))
+    docs += [(600, None), (601, ""), (None, "plain words"), (602, "a " * 40000), (3, docs[3][1])]
+    labels += [(None, 1, 0), (9999, 1, 0), (4, None, None), (601, None, 0)]
+    df, lab = frame(spark, docs), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    got = quality.score_quality(df, lab).collect()
+    truth = {i: (q, t) for i, q, t in labels if q is not None}
+    assert len(got) == len(docs)
+    held = [r for r in got if r["held_out"] and r["doc_id"] in truth]
+    assert np.mean([r["predicted"] == truth[r["doc_id"]][0] for r in held]) > 0.95
+    assert all(r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) for r in got if r["doc_id"] is not None)
+    got = toxicity.score_toxicity(df, lab).collect()
+    assert len(got) == len(docs) and all(0 <= r["score"] <= 1 for r in got)
+    held = [r for r in got if r["held_out"] and r["doc_id"] in truth]
+    assert np.mean([r["predicted"] == truth[r["doc_id"]][1] for r in held]) > 0.95
+    kept = toxicity.drop_toxic(df, lab)
+    assert kept.columns == df.columns and kept.count() < len(docs)
+
+
+def test_blocks_of_long_texts_score_alike(monkeypatch):
+    net = toxicity.ConvNet(3)
+    rng, v = random.Random(6), vocabulary(6)
+    texts = [" ".join(rng.choice(v) for _ in range(n)).encode() for n in (0, 1, 2, 3, 50, 700, 5)]
+    whole = toxicity.Scorer(net).score(texts)
+    monkeypatch.setattr(toxicity, "BLOCK", 16)
+    monkeypatch.setattr(toxicity, "CACHE", 40)
+    assert np.allclose(toxicity.Scorer(net).score(texts), whole)
+    for t, s in zip(texts, whole, strict=True):
+        assert np.allclose(toxicity.Scorer(net).score([t]), s)
+
+
+def test_empty_tables(spark, texts):
+    df = frame(spark, texts).limit(0)
+    labels = spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int")
+    bench = spark.createDataFrame([("a", "some words")], "item_id string, text string")
+    for made in (
+        exact_dedup.exact_dedup(df), license_scan.scan_licenses(df), mixing.mix(df), sharding.shard_documents(df), simhash.near_duplicates(df),
+        simhash.one_of_each(df), decontaminate.decontaminate(df, bench), pii.replace_pii(df), quality.score_quality(df, labels),
+        toxicity.score_toxicity(df, labels), token_counts.token_counts(df, public_tokenizers.path("byte_bpe_50k.json")),
+    ):
+        assert made.count() == 0
+
+
+def test_all_numbers_have_a_query():
+    assert {int(re.match(r"op(\d+)_", n)[1]) for n in QUERIES} == set(range(1, 11))
