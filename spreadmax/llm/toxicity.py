@@ -190,7 +190,7 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
     for d, label in zip(docs, y, strict=True):
         count[int(label)][np.unique(codes[np.unique(d)])] += 1
     n0, n1 = (y == 0).sum(), (y == 1).sum()
-    odds = np.log((count[1] + 0.5) / (n1 + 1)) - np.log((count[0] + 0.5) / (n0 + 1))
+    odds = np.log((count[1] + 1) / n1) - np.log((count[0] + n0 / n1) / n0)  # one more document of each kind, at the base rate
     net.emb[:, 0] = np.clip(odds, -3, 4) / 2
     net.emb[_NONE] = 0
     for f in net.filters:
