@@ -2,6 +2,7 @@
 
 import math
 import random
+import re
 from itertools import combinations
 
 import pytest
@@ -284,7 +285,7 @@ def test_plans(spark, small, capsys):
     """Filters and columns reach the scan; sampling needs no shuffle; no cartesian product in a superstep."""
     graphs.graph_between(spark, small, "1995-01-01", "1996-01-01").explain("formatted")
     text = capsys.readouterr().out
-    assert "PushedFilters: [IsNotNull(o_orderdate), GreaterThanOrEqual(o_orderdate" in text and "o_totalprice" not in text
+    assert re.search(r"PushedFilters: .*GreaterThanOrEqual\(o_orderdate", text) and "o_totalprice" not in text
     g = CascadeGraph.of(spark.range(9).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.lit(1).alias("mult")), 0.5)
     sampling.fused_sample(g, 8).explain()
     assert "Exchange" not in capsys.readouterr().out
