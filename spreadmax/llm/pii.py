@@ -170,9 +170,13 @@ def surrogate(mention: Column, kind: Column, low: Column, key: str) -> Column:
     first = F.when(F.size(words) > 2, F.element_at(words, 2))
 
     def given(script: str) -> Column:
-        pick = lambda g: F.get(
-            F.array(*[F.lit(x) for x in GIVEN[script, g]]), F.pmod(_hash(F.lit(f"{key}|given"), F.lower(first)), F.lit(len(GIVEN[script, g]))).cast("int")
-        )
+        def pick(g: str) -> Column:
+            names, n = F.array(*[F.lit(x) for x in GIVEN[script, g]]), len(GIVEN[script, g])
+            at = F.pmod(_hash(F.lit(f"{key}|given"), F.lower(first)), F.lit(n)).cast("int")
+            drawn_name = F.get(names, at)
+            # never the name itself
+            return F.when(F.lower(drawn_name) == F.lower(first), F.get(names, F.pmod(at + 1, F.lit(n)))).otherwise(drawn_name)
+
         return F.when(female, pick("f")).otherwise(pick("m"))
 
     name = F.concat_ws(" ", F.element_at(words, 1), F.when(first.isNotNull(), _by_script(first, given)), F.initcap(low))

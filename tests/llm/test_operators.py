@@ -249,7 +249,7 @@ def test_surrogates(spark):
         (1, "Mail anna.60@mail8.example.com or ANNA.60@MAIL8.EXAMPLE.COM, bob.1@mail8.example.com"),
         (2, "call +1 (621) 555-4974, ip 240.56.125.154 not 999.1.1.1 or 1.2.3.4.5"),
         (3, 'card 4516744854574821 and 4516-7448-5457-4821; token = "2b0cb261201f091f991b2c1144c292e775ffe40a"'),
-        (4, "Mrs Anna Smith met Mr. Smith and Господин Иванов"), (5, None), (6, ""), (None, "again anna.60@mail8.example.com"), (7, "nothing here"), (7, "nothing here"),
+        (4, "Mrs Anna Smith met Mr. Smith and Господин Иванов, Господин Иван Петров"), (5, None), (6, ""), (None, "again anna.60@mail8.example.com"), (7, "nothing here"), (7, "nothing here"),
     ]
     for options in ({}, {"exceptions": -1}):
         out = pii.replace_pii(frame(spark, rows), **options)
@@ -263,6 +263,7 @@ def test_surrogates(spark):
         assert e(3)[0][2] == e(3)[1][2].replace("-", "") != "4516744854574821" and re.fullmatch("[0-9a-f]{40}", e(3)[2][2])
         surnames = [s.split()[-1] for _, _, s in e(4)]
         assert surnames[0] == surnames[1] and re.fullmatch("[А-я]+", surnames[2]) and e(4)[0][2].split()[1] in pii.GIVEN["latin", "f"]
+        assert all(s.split()[-2] != m.split()[-2] or len(m.split()) < 3 for _, m, s in e(4))
         assert got[5][0]["text"] is None and got[6][0]["text"] == "" and len(got[7]) == 2 and got[7][0]["text"] == "nothing here"
         for i, t in rows:
             want = t
