@@ -185,7 +185,8 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS)
     )
     narrow = written(narrow, "narrow")
     sizes = narrow.groupBy(*GROUP).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    known = written(narrow.join(sizes, GROUP, "left"), "linked")
+    # a table of its own, so that the join may split the rows of a large group over tasks
+    known = written(narrow.join(written(sizes, "sizes"), GROUP, "left"), "linked")
     row = known.agg(F.count(F.lit(1)).alias("all"), F.count("n").alias("linked")).head()
     total, linked_rows = row["all"], row["linked"]
     quota = _even(total, shards)
