@@ -47,7 +47,14 @@ def cosine(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x * y).sum(axis=1) / np.sqrt((x * x).sum(axis=1) * (y * y).sum(axis=1)))
 
 
+@pandas_udf(T.ArrayType(T.LongType()))
+def lane_min(lanes: pd.Series) -> list:
+    """Lane-wise minimum of label arrays: the form without lane columns, for comparison."""
+    return np.stack(lanes.to_list()).min(axis=0).tolist()
+
+
 def register(spark: SparkSession) -> None:
     spark.udtf.register("component_labels", ComponentLabels)
     spark.udtf.register("combinations", Combinations)
     spark.udf.register("cosine", cosine)
+    spark.udf.register("lane_min", lane_min)

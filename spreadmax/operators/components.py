@@ -160,15 +160,25 @@ def components_local(sampled: DataFrame) -> DataFrame:
     return sampled.groupBy("sim").applyInPandas(solve, "sim int, id long, label long")
 
 
+#: Simulations of one wave: each wave is written and can be recomputed from the seed and its number alone.
+WAVE = 1024
+
+
 def components(
-    g: CascadeGraph, runs: int, strategy: str = "local", seed: int = 7, sampler: str = "xor", width: int = 8
+    g: CascadeGraph, runs: int, strategy: str = "local", seed: int = 7, sampler: str = "xor", width: int = 8, wave: int = WAVE
 ) -> DataFrame:
-    """The memo, by the named strategy; 'auto' asks the planner."""
+    """The memo, by the named strategy; 'auto' asks the planner. More than `wave` simulations are solved wave by wave."""
     if strategy == "auto":
         from spreadmax.plans.planner import choose
 
         strategy = choose(g, runs, width, seed, sampler).strategy
     if strategy == "lanes":
         return components_lanes(g, runs, width, seed, sampler=sampler)
-    sampled = fused_sample(g, runs, seed, sampler)
-    return {"local": components_local, "minlabel": components_minlabel, "star": components_star}[strategy](sampled)
+    solve = {"local": components_local, "minlabel": components_minlabel, "star": components_star}[strategy]
+    if runs <= wave:
+        return solve(fused_sample(g, runs, seed, sampler))
+    memo = None
+    for first in range(0, runs, wave):
+        part = written(solve(fused_sample(g, min(runs, first + wave), seed, sampler, first=first)), "wave")
+        memo = part if memo is None else memo.unionByName(part)
+    return memo

@@ -104,3 +104,27 @@ def memo_bytes(n: int, runs: int, memo_rows: int) -> dict[str, int]:
 def estimate_bias(self_sigma: float, score: float) -> float:
     """How far a method's own estimate lies above the independent score, as a share."""
     return (self_sigma - score) / score if score else 0.0
+
+
+def stage_shares(stages: dict[str, float]) -> dict[str, float]:
+    """Each stage's share of the total time."""
+    total = sum(stages.values()) or 1.0
+    return {k: round(v / total, 6) for k, v in stages.items()}
+
+
+def memory_report(spark: SparkSession) -> DataFrame:
+    """(measure, bytes): shuffle and spill over all stages so far, and the largest heap seen of an executor."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    totals = {"shuffle_write": 0, "spill_disk": 0, "spill_memory": 0, "heap_peak": 0}
+    stages = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+    for i in range(stages.size()):
+        stage = stages.apply(i)
+        totals["shuffle_write"] += stage.shuffleWriteBytes()
+        totals["spill_disk"] += stage.diskBytesSpilled()
+        totals["spill_memory"] += stage.memoryBytesSpilled()
+    executors = store.executorList(False)
+    for i in range(executors.size()):
+        peak = executors.apply(i).peakMemoryMetrics()
+        if peak.isDefined():
+            totals["heap_peak"] = max(totals["heap_peak"], peak.get().getMetricValue("JVMHeapMemory"))
+    return spark.createDataFrame(list(totals.items()), "measure string, bytes long")

@@ -56,11 +56,14 @@ def numbered(vertices: DataFrame) -> DataFrame:
     return dealt.select("id", (begin + F.row_number().over(own) - 1).alias("number"))
 
 
-def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED) -> DataFrame:
-    """(rr_id, id): the members of `count` sets. Set r has root hash(r, seed) mod n and draws of its own."""
+def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, order: DataFrame | None = None, n: int | None = None) -> DataFrame:
+    """(rr_id, id): the members of `count` sets. Set r has root hash(r, seed) mod n and draws of its own.
+
+    `order` and `n`: the numbered vertices and their count, where several calls share them.
+    """
     spark = g.edges.sparkSession
-    order = written(numbered(g.vertices), "numbered")
-    n = order.count()
+    order = order if order is not None else written(numbered(g.vertices), "numbered")
+    n = n if n is not None else order.count()
     roots = spark.range(first, first + count).select(F.col("id").alias("rr_id"), (hash31("id", seed) % n).cast("long").alias("number"))
     starts = roots.join(order, "number").select("rr_id", "id")
     keep = hash31("h", "rr_id", seed) <= F.col("thr")
@@ -85,19 +88,21 @@ def greedy_cover(rr: DataFrame, k: int) -> tuple[list[tuple[int, int]], int]:
 def rrset_greedy(g: CascadeGraph, k: int, eps: float, ell: float = 1.0, seed: int = RR_SEED, most: int | None = None) -> dict:
     """Seeds, their estimated spread and the number of sets. Guesses of the optimum are halved until one is
     confirmed; the last phase draws fresh sets. `most` bounds the sets of a run for tests."""
-    n = g.vertices.count()
+    order = written(numbered(g.vertices), "numbered")
+    g = CascadeGraph(g.vertices, written(g.edges, "edges"))
+    n = order.count()
     b = bounds(n, k, eps, ell)
     lower, first = 1.0, 0
     for i in range(1, max(2, math.ceil(math.log2(max(n, 2))))):
         guess = n / 2**i
         theta = math.ceil(b.search / guess)
         theta = min(theta, most) if most else theta
-        found, covered = greedy_cover(written(rr_sets(g, theta, first, seed), "rr"), k)
+        found, covered = greedy_cover(written(rr_sets(g, theta, first, seed, order, n), "rr"), k)
         first += theta
         if n * covered / theta >= (1 + b.slack) * guess:
             lower = n * covered / theta / (1 + b.slack)
             break
     theta = max(1, math.ceil(b.final / lower))
     theta = min(theta, most) if most else theta
-    seeds, covered = greedy_cover(written(rr_sets(g, theta, first, seed), "rr"), k)
+    seeds, covered = greedy_cover(written(rr_sets(g, theta, first, seed, order, n), "rr"), k)
     return {"seeds": seeds, "sigma": n * covered / theta, "sets": theta, "lower": lower}

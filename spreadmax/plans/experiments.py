@@ -86,6 +86,17 @@ def queue_visits(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "graph string, setting string, queue string, visits long, scans long")
 
 
+def memory_by_weight(s: SparkSession, d: str) -> DataFrame:
+    """Bytes of the dense memo, which do not depend on the weights, and of the sparse one, which do."""
+    rows = []
+    for n in SMALL:
+        for w in SETTINGS:
+            g = built(s, d, n, w)
+            found = measures.memo_bytes(g.vertices.count(), 64, components.components(g, 64).count())
+            rows.append((n, w, found["dense"], found["sparse"]))
+    return s.createDataFrame(rows, "graph string, setting string, dense_bytes long, sparse_bytes long")
+
+
 def live_against_all(s: SparkSession, d: str) -> DataFrame:
     """Rounds, live vertices and arcs visited when live vertices, all vertices or beside-live vertices take part."""
     rows = []
@@ -148,7 +159,7 @@ def scaling(s: SparkSession, d: str, cores: tuple[int, ...] = (1, 2, 4, 8)) -> D
 EXPERIMENTS: dict[str, Experiment] = {
     f.__name__: f
     for f in (
-        datasets, uniformity, against_baseline, against_comparator, comparator_speedup, speedup_breakdown, k_sweep, queue_visits, live_against_all, toy,
+        datasets, uniformity, against_baseline, against_comparator, comparator_speedup, speedup_breakdown, k_sweep, queue_visits, memory_by_weight, live_against_all, toy,
         cascade_models, made_undirected, samplers, scaling,
     )
 }

@@ -227,6 +227,7 @@ query("components_lanes_pull", _COMPONENTS)(lambda s, d: components.components_l
 query("components_sparse", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "minlabel"))
 query("components_star", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "star"))
 query("components_local", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "local"))
+query("components_waves", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "local", wave=6))
 query("components_auto", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "auto"))
 query(
     "components_critical",
@@ -451,7 +452,7 @@ query("rr_cover", _cover_sql())(_rr_cover)
 
 def _rrset(eps: float, most: int | None = None) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
-        got = rrset.rrset_greedy(_g(s, d, "supp_supp", 0.005), 2, eps, most=most)
+        got = rrset.rrset_greedy(_g(s, d, "supp_supp", 0.002), 2, eps, most=most)
         return s.createDataFrame([(i + 1, v, n, got["sets"]) for i, (v, n) in enumerate(got["seeds"])], "rank int, id long, covered long, sets long")
 
     return run
@@ -617,6 +618,23 @@ def _udtf(s: SparkSession, d: str) -> DataFrame:
 query("udtf_components", _COMPONENTS)(_udtf)
 
 
+def _lane_min(s: SparkSession, d: str) -> DataFrame:
+    g = _g(s, d)
+    sides = g.arcs.select("v", F.array("u", F.col("v")).alias("lanes"))
+    return sides.groupBy(F.col("v").alias("id")).agg(udfs.lane_min("lanes").alias("m")).select("id", F.get("m", F.lit(0)).alias("least"))
+
+
+query("udf_lane_min", f"WITH {_E2}, {o.ARCS} SELECT v AS id, min(u) AS least FROM ar GROUP BY v")(_lane_min)
+
+
+def _memory(s: SparkSession, d: str) -> DataFrame:
+    flagship(s, d).count()
+    return measures.memory_report(s)
+
+
+query("memory_report")(_memory)
+
+
 def _cosine(s: SparkSession, d: str) -> DataFrame:
     v = graphs.load(s, d, "embeddings", "vec_id", "embedding")
     a = v.select(F.col("vec_id").alias("a"), F.col("embedding").alias("ea"))
