@@ -9,10 +9,12 @@ import heapq
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spreadmax.operators.gains import Memo, marginal_gains
+from spreadmax.session import written
 
 BLOCK = 1024
 #: A commit that covers this share of all (vertex, simulation) pairs makes every stale bound useless.
@@ -63,7 +65,8 @@ class _Block:
     def __init__(self, memo: Memo, gains: DataFrame, size: int):
         self.memo, self.gains, self.size = memo, gains, size
         self.after: tuple[int, int] | None = None  # the last one fetched
-        self.labels: dict[int, list[tuple[int, int, int]]] = {}
+        #: For each fetched vertex: keys of its (label, sim) pairs and their sizes.
+        self.labels: dict[int, tuple[list[int], list[int]]] = {}
         self.ended = False
 
     def fetch(self) -> list[tuple[int, int]]:
@@ -77,9 +80,15 @@ class _Block:
             self.after = (rows[-1][1], rows[-1][0])
             own = _ids(self.memo.rows.sparkSession, [v for v, _ in rows])
             for v, _ in rows:
-                self.labels[v] = []
-            for r in self.memo.rows.join(F.broadcast(own), "id").select("id", "sim", "label", "size").collect():
-                self.labels[r["id"]].append((r["sim"], r["label"], r["size"]))
+                self.labels[v] = ([], [])
+            key = (F.col("label") * self.memo.runs + F.col("sim")).alias("key")
+            got = self.memo.rows.join(F.broadcast(own), "id").select("id", key, "size").toArrow()  # block x runs rows at most
+            ids, keys, sizes = (got.column(c).to_numpy() for c in ("id", "key", "size"))
+            order = np.argsort(ids, kind="stable")
+            ids, keys, sizes = ids[order], keys[order], sizes[order]
+            starts = np.flatnonzero(np.concatenate(([True], ids[1:] != ids[:-1]))) if len(ids) else np.zeros(0, int)
+            for a, b in zip(starts, np.append(starts[1:], len(ids)), strict=False):
+                self.labels[int(ids[a])] = (keys[a:b].tolist(), sizes[a:b].tolist())
         return rows
 
     def bound(self) -> tuple[int, int] | None:
@@ -99,7 +108,7 @@ def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False,
     out, covered = Selection(), set()
     chosen: set[int] = set()
     n = memo.vertices.count() if refresh else 0
-    top = _Block(memo, memo.gains().select("id", "gain_sum"), block)
+    top = _Block(memo, written(memo.gains().select("id", "gain_sum"), "gains"), block)
     heap: list[tuple[int, int, int]] = []  # (-gain, id, seeds at that time)
     ahead: dict[int, tuple[int, int, int]] = {}  # id -> (best of the round, seeds then, gain given it too)
 
@@ -109,13 +118,19 @@ def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False,
                 heapq.heappush(heap, (-g, v, stamp))
 
     def gain(v: int, besides: int | None = None) -> int:
-        taken = covered if besides is None else covered | {(s, label) for s, label, _ in top.labels[besides]}
-        own = top.labels[v]
-        alone = memo.runs - len(own)
-        return alone + sum(size for s, label, size in own if (s, label) not in taken)
+        taken = covered if besides is None else covered.union(top.labels[besides][0])
+        keys, sizes = top.labels[v]
+        return memo.runs - len(keys) + sum(size for key, size in zip(keys, sizes, strict=True) if key not in taken)
+
+    def renew() -> None:
+        nonlocal top, heap, stamp0, ahead
+        out.scans += 1
+        top = _Block(memo, written(_fresh_gains(memo, [x for x, _ in out.seeds]), "gains"), block)
+        heap, stamp0, ahead = [], len(out.seeds), {}
+        push(top.fetch(), stamp0)
 
     push(top.fetch(), 0)
-    stamp0 = 0
+    stamp0, tried = 0, 0
     best: tuple[int, int] | None = None  # best fresh vertex of this round
     while len(out.seeds) < k:
         bound = top.bound()
@@ -132,13 +147,14 @@ def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False,
         if stamp == len(out.seeds):
             out.seeds.append((v, g))
             chosen.add(v)
-            covered |= {(s, label) for s, label, _ in top.labels[v]}
-            best = None
+            covered.update(top.labels[v][0])
+            best, tried = None, 0
             if refresh and g > REFRESH_SHARE * n * memo.runs and len(out.seeds) < k:
-                out.scans += 1
-                top = _Block(memo, _fresh_gains(memo, [x for x, _ in out.seeds]), block)
-                heap, stamp0, ahead = [], len(out.seeds), {}
-                push(top.fetch(), stamp0)
+                renew()
+            continue
+        if refresh and tried >= block:  # bounds are too stale: one scan is cheaper than further visits
+            renew()
+            best, tried = None, 0
             continue
         seen = ahead.get(v)
         if lookahead and seen is not None and seen[1] == len(out.seeds) - 1 and out.seeds[-1][0] == seen[0]:
@@ -146,6 +162,7 @@ def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False,
         else:
             fresh = gain(v)
             out.visits += 1
+            tried += 1
         if lookahead and best is not None:
             ahead[v] = (best[0], len(out.seeds), gain(v, best[0]))
         if best is None or (fresh, -v) > (best[1], -best[0]):
