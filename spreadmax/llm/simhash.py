@@ -157,8 +157,8 @@ def _groups(batches):
         yield key, fps
 
 
-def _links(batches, split: int | None, free_of=None):
-    """Links within lists of sorted (key, fp) rows; lists longer than `split` are left to the next index."""
+def _links(batches, free_of=None):
+    """Links within lists of sorted (key, fp) rows; with `free_of`, long lists are searched by probing."""
     for keys, fps in _groups(batches):
         starts = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
         sizes = np.diff(np.append(starts, len(keys)))
@@ -171,8 +171,6 @@ def _links(batches, split: int | None, free_of=None):
             dst.append(fps[near + d])
         for a, n in zip(starts[sizes > 8], sizes[sizes > 8], strict=True):
             members = fps[a : a + n]
-            if split is not None and n > split:
-                continue
             pairs = _forest(members) if free_of is None or n <= LIST_ROWS else _forest_by_probes(members, free_of(keys[a]))
             if pairs:
                 both = np.array(pairs, np.uint64)
@@ -204,10 +202,11 @@ def links_of(fps: DataFrame, list_rows: int = LIST_ROWS) -> DataFrame:
     """Distinct (fp) -> (src, dst): links that connect exactly the fingerprints which the 3-bit rule connects."""
     sides = "src long, dst long"
     listed = written(_index(fps, TRIPLES), "index")
-    crowded = listed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.count(F.lit(1)).alias("m")).filter("n > 1")
-    sized = listed.join(crowded.select("key", "n"), "key")
-    sorted_lists = sized.repartition("key").sortWithinPartitions("key", "fp").select("key", "fp")
-    links = sorted_lists.mapInArrow(lambda b: _links(b, list_rows), sides)
+    crowded = listed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    sized = listed.join(crowded, "key")
+    # long lists never reach a task of this pass; the finer index below has them
+    short = sized.filter(F.col("n") <= list_rows).select("key", "fp")
+    links = short.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_links, sides)
     large = sized.filter(F.col("n") > list_rows).select("key", "fp")
     if not large.limit(1).count():
         return links
@@ -229,7 +228,7 @@ def links_of(fps: DataFrame, list_rows: int = LIST_ROWS) -> DataFrame:
         finer = finer.unionByName(p)
     free = [[p for p in range(8) if p not in s] for s in subsets]
     finer = finer.repartition("key").sortWithinPartitions("key", "fp")
-    return links.unionByName(finer.mapInArrow(lambda b: _links(b, None, lambda key: free[int(key) >> 40]), sides))
+    return links.unionByName(finer.mapInArrow(lambda b: _links(b, lambda key: free[int(key) >> 40]), sides))
 
 
 def near_duplicates(docs: DataFrame, list_rows: int = LIST_ROWS) -> DataFrame:
