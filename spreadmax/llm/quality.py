@@ -7,12 +7,14 @@ binary trees) that score a batch of documents by vectorised traversal.
 
 Defined cases: a null text counts as empty and gets the score of its (zero)
 statistics; labels that are null, and labelled documents that are missing, are
-not learned from; without any usable label the score is 0.5; repeated rows are
-scored alike; an empty table gives an empty result.
+not learned from; of labels of one id that disagree the smallest counts;
+without any usable label the score is 0.5; repeated rows are scored alike and
+learned from once; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -24,6 +26,8 @@ from spreadmax.llm.common import append_columns, text_bytes
 
 #: Labelled rows that a classifier is fitted on, at most.
 SAMPLE_ROWS = 8000
+#: Words of more bytes are long ones.
+LONG_WORD = 24
 STATISTICS = (
     "log_bytes", "log_words", "word_length", "upper", "digit", "space", "newline", "beyond_ascii", "stop", "symbol",
     "bracket", "quote", "byte_entropy", "distinct_words", "top_word", "distinct_lines", "line_words", "long_words",
@@ -58,13 +62,13 @@ def statistics(text: bytes) -> list[float]:
     k = max(1, len(words))
     seen = set(words)
     runs = sum(map(bytes.__eq__, words, words[1:]))
-    head = words[:64] + words[len(words) // 2 : len(words) // 2 + 64]
     loud = sum(map(bytes.isupper, words)) / k
-    top = max(map(words.count, set(head[:8])), default=0) / k if words else 0.0
+    top = max(Counter(words).values(), default=0) / k
+    long = sum(map(LONG_WORD.__lt__, map(len, words))) / k
     marked = sum(not w[-1:].isalnum() and w[-1] < 128 for w in words) / k
     return [
         np.log1p(n), np.log1p(len(words)), n / k, *shares, float(-(p * np.log2(p)).sum()),
-        len(seen) / k, top, len(set(lines)) / len(lines), k / len(lines), sum(len(w) > 24 for w in head) / max(1, len(head)),
+        len(seen) / k, top, len(set(lines)) / len(lines), k / len(lines), long,
         loud, marked, runs / k,
     ]
 
@@ -141,20 +145,20 @@ def grow(
     return Forest(start, feature, cut, value, depth)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, usable: Column, rows: int) -> DataFrame:
-    """(doc_id, text, y) of at most `rows` labelled documents, chosen by a hash of the id.
-
-    The ids of the sample are bounded by `rows`, so they are broadcast to the scan.
-    """
-    ids = (
+def labelled_ids(labels: DataFrame, label: str, usable: Column) -> DataFrame:
+    """(doc_id, y): one row per usable labelled id; of labels that disagree the smallest counts."""
+    return (
         labels.filter(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
         .select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("double").alias("y"))
         .filter(usable)
-        .orderBy(F.xxhash64("doc_id"), "doc_id", "y")
-        .limit(rows)
-        .dropDuplicates(["doc_id"])
+        .groupBy("doc_id")
+        .agg(F.min("y").alias("y"))
     )
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(ids), "doc_id")
+
+
+def sampled_ids(ids: DataFrame, rows: int) -> DataFrame:
+    """At most `rows` of the ids, chosen by a hash."""
+    return ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
 
 
 def held_out(parts: int, part: int) -> Column:
@@ -163,8 +167,11 @@ def held_out(parts: int, part: int) -> Column:
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> Forest:
-    sample = labelled_sample(docs, labels, "quality", ~held_out(3, 1), rows)
-    got = sorted(with_statistics(sample).select("doc_id", "stats", "y").collect(), key=lambda r: (r["doc_id"], r["stats"]))
+    ids = sampled_ids(labelled_ids(labels, "quality", ~held_out(3, 1)), rows)
+    sample = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(ids), "doc_id")
+    # rows that repeat an id are one, so the bound on ids bounds what the driver gets
+    once = with_statistics(sample).groupBy("doc_id", "y").agg(F.min("stats").alias("stats"))
+    got = sorted(once.collect(), key=lambda r: r["doc_id"])
     x = np.array([r["stats"] for r in got], float).reshape(len(got), len(STATISTICS))
     return grow(x, np.array([r["y"] for r in got]))
 

@@ -8,7 +8,8 @@ the words at the maxima. Scores never see the language; decision thresholds of
 `toxic_by_language` are calibrated per language on the training rows.
 
 Defined cases: a null text counts as empty; texts without words get the score
-of empty maxima; without usable labels of both kinds the score is the share of
+of empty maxima; of labels of one id that disagree the smallest counts, and
+repeated rows are learned from once; without usable labels of both kinds the score is the share of
 the label (0.5 without any); an empty table gives an empty result.
 """
 
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from spreadmax.llm.common import append_columns, text_bytes, words_of
-from spreadmax.llm.quality import held_out, labelled_sample
+from spreadmax.llm.quality import held_out, labelled_ids, sampled_ids
 
 SAMPLE_ROWS = 3_000
 BUCKETS = 1 << 15
@@ -248,15 +249,14 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) ->
 
 
 def _fit(docs: DataFrame, labels: DataFrame, rows: int):
-    usable = ~held_out(5, 0)
+    known = labelled_ids(labels, "toxic", ~held_out(5, 0))
     # toxic rows are rare: half of the bound is theirs
-    ill = labelled_sample(docs, labels.filter("toxic = 1"), "toxic", usable, rows // 2)
-    well = labelled_sample(docs, labels.filter("toxic = 0"), "toxic", usable, rows // 2)
-    both = ill.unionByName(well)
-    got = both.select("doc_id", F.col("text").cast("binary").alias("text"), "y")
-    langs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "lang") if "lang" in docs.columns else None
-    got = got.join(langs, "doc_id", "left") if langs is not None else got.withColumn("lang", F.lit(None).cast("string"))
-    got = sorted(got.collect(), key=lambda r: (r["doc_id"], r["y"]))
+    ids = sampled_ids(known.filter("y = 1"), rows // 2).unionByName(sampled_ids(known.filter("y = 0"), rows // 2))
+    lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct(F.col("text").cast("binary").alias("text"), lang.alias("lang")).alias("row"))
+    # rows that repeat an id are one, so the bound on ids bounds what the driver gets
+    once = own.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min("row").alias("row"))
+    got = sorted(once.select("doc_id", "y", "row.text", "row.lang").collect(), key=lambda r: r["doc_id"])
     got = [r.asDict() | {"text": bytes(r["text"] or b"")} for r in got]
     y = np.array([r["y"] for r in got])
     return train([r["text"] for r in got], y), got, y
