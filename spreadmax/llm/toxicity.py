@@ -2,7 +2,8 @@
 
 A word is the sum of hashed embeddings of itself and of its beginnings.
 Filters of several widths slide over the words of the whole text, each keeps
-its maximum, and a logistic layer reads the maxima. The model is trained by
+its largest different responses (so that one chance word and many bad ones are
+told apart), and a logistic layer reads these maxima. The model is trained by
 Adam on a bounded, hash-chosen sample of labelled rows; gradients reach only
 the words at the maxima. Scores never see the language; decision thresholds of
 `toxic_by_language` are calibrated per language on the training rows.
@@ -30,6 +31,8 @@ SAMPLE_ROWS = 3_000
 BUCKETS = 1 << 15
 WIDTHS = (1, 2, 3)
 FILTERS = 6
+#: Largest different responses that the pooling of a filter keeps.
+KEEP = 2
 SIZE = 8
 #: Bytes of a word's beginnings that have an embedding of their own.
 BEGINNINGS = (4, 5, 6, 7)
@@ -67,7 +70,7 @@ class ConvNet:
         #: One matrix per width and place in the window.
         self.filters = [(rng.standard_normal((w, SIZE, FILTERS)) * 0.4).astype(np.float32) for w in WIDTHS]
         self.bias = np.zeros(len(WIDTHS) * FILTERS, np.float32)
-        self.out = (rng.standard_normal(len(WIDTHS) * FILTERS) * 0.3).astype(np.float32)
+        self.out = (rng.standard_normal(KEEP * len(WIDTHS) * FILTERS) * 0.3).astype(np.float32)
         self.last = np.zeros(1, np.float32)
 
     def responses(self, vectors: np.ndarray) -> list[np.ndarray]:
@@ -78,12 +81,12 @@ class ConvNet:
         """Maxima over the windows of each text; texts begin at `starts` in `numbers`.
 
         Windows that do not fit into the text are left out; a text shorter than the
-        width has zero maxima. With `where`, also the window of each maximum.
+        width has zero maxima. Shape (texts, KEEP, filters). With `where`, also the window of each maximum.
         """
         n, docs = len(numbers), len(starts)
         ends = np.append(starts[1:], n)
-        top = np.zeros((docs, len(WIDTHS) * FILTERS), np.float32)
-        place = np.full((docs, len(WIDTHS) * FILTERS), -1, np.int64)
+        top = np.zeros((docs, KEEP, len(WIDTHS) * FILTERS), np.float32)
+        place = np.full((docs, KEEP, len(WIDTHS) * FILTERS), -1, np.int64)
         for i, w in enumerate(WIDTHS):
             cols = slice(i * FILTERS, (i + 1) * FILTERS)
             if n < w:
@@ -98,16 +101,20 @@ class ConvNet:
             if not len(have):
                 continue
             at = starts[have]
-            best = np.maximum.reduceat(conv, at, axis=0)  # the rest until the next start is cut off or infinite
-            best += self.bias[cols]
-            top[have, cols] = np.maximum(best, 0)
-            if where:
-                for k, d in enumerate(have):
-                    place[d, cols] = conv[starts[d] : ends[d] - w + 1].argmax(axis=0) + starts[d]
+            body = conv[at[0] :]
+            sizes = np.diff(np.append(at, len(conv)))
+            for k in range(KEEP):
+                best = np.maximum.reduceat(conv, at, axis=0)  # the rest until the next start is cut off or infinite
+                top[have, k, cols] = np.maximum(best + self.bias[cols], 0)
+                if where:
+                    for d in have:
+                        place[d, k, cols] = conv[starts[d] : ends[d] - w + 1].argmax(axis=0) + starts[d]
+                if k + 1 < KEEP:
+                    body[body == np.repeat(best, sizes, axis=0)] = -np.inf
         return (top, place) if where else top
 
     def score(self, top: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-(top @ self.out + self.last[0]).astype(np.float64)))
+        return 1 / (1 + np.exp(-(top.reshape(len(top), -1) @ self.out + self.last[0]).astype(np.float64)))
 
 
 class Scorer:
@@ -132,7 +139,7 @@ class Scorer:
             self.resp = [np.concatenate((a, b)) for a, b in zip(self.resp, self.net.responses(vectors), strict=True)]
 
     def score(self, texts: list[bytes]) -> np.ndarray:
-        top = np.zeros((len(texts), len(WIDTHS) * FILTERS), np.float32)
+        top = np.zeros((len(texts), KEEP, len(WIDTHS) * FILTERS), np.float32)
         reach = max(WIDTHS) - 1
         held: list[tuple[int, np.ndarray]] = []
         size = 0
@@ -156,11 +163,19 @@ class Scorer:
             lengths = np.array([len(p) for _, p in held])
             numbers = np.concatenate([p for _, p in held])
             starts = np.concatenate(([0], np.cumsum(lengths)[:-1]))
-            np.maximum.at(top, [d for d, _ in held], self.net.maxima(numbers, starts, self.resp))
+            for (d, _), own in zip(held, self.net.maxima(numbers, starts, self.resp), strict=True):
+                top[d] = _largest(top[d], own) if top[d].any() else own
         if len(self.index) > CACHE:
             self.reset()
 
 
+def _largest(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The KEEP largest different values of each column of both."""
+    both = -np.sort(-np.concatenate((a, b)), axis=0)
+    both[1:][both[1:] == both[:-1].copy()] = 0
+    return -np.sort(-both, axis=0)[:KEEP]
+
+
 class _Adam:
     def __init__(self, rate: float):
         self.rate, self.t, self.state = rate, 0, {}
@@ -216,12 +231,12 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
             top, place = net.maxima(numbers, starts[used], net.responses(vectors), where=True)
             error = ((net.score(top) - y[part][used]) * weight[part][used]).astype(np.float32) / len(used)
             adam.t += 1
+            top, place = top.reshape(len(top), -1), place.reshape(len(top), -1)
             back = error[:, None] * net.out * (top > 0)
             g_vec = np.zeros_like(vectors)
             g_filters = [np.zeros_like(f) for f in net.filters]
             for i, w in enumerate(WIDTHS):
-                for k in range(FILTERS):
-                    c = i * FILTERS + k
+                for k, c in ((k, (m * len(WIDTHS) + i) * FILTERS + k) for m in range(KEEP) for k in range(FILTERS)):
                     d = np.flatnonzero((place[:, c] >= 0) & (back[:, c] != 0))
                     for j in range(w):
                         at = numbers[place[d, c] + j]
@@ -229,7 +244,7 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
                         np.add.at(g_vec, at, back[d, c][:, None] * net.filters[i][j, :, k])
             adam.step("out", net.out, top.T @ error + 1e-3 * net.out)
             adam.step("last", net.last, np.array([error.sum()], np.float32))
-            adam.step("bias", net.bias, back.sum(axis=0))
+            adam.step("bias", net.bias, back.sum(axis=0).reshape(KEEP, -1).sum(axis=0))
             for i, g in enumerate(g_filters):
                 adam.step(f"f{i}", net.filters[i], g + 1e-4 * net.filters[i])
             hot = np.flatnonzero(np.abs(g_vec).sum(axis=1))

@@ -401,6 +401,29 @@ def test_blocks_of_long_texts_score_alike(monkeypatch):
         assert np.allclose(toxicity.Scorer(net).score([t]), s)
 
 
+def test_pooling_keeps_the_largest_different_responses():
+    net = toxicity.ConvNet(3)
+    rng = np.random.default_rng(5)
+    vectors = rng.standard_normal((40, toxicity.SIZE)).astype(np.float32)
+    lengths = [0, 1, 2, 3, 1, 60, 0, 7, 2]
+    numbers = rng.integers(0, 40, sum(lengths))
+    starts = np.concatenate(([0], np.cumsum(lengths)[:-1]))
+    used = np.flatnonzero(lengths)
+    top, place = net.maxima(numbers, starts[used], net.responses(vectors), where=True)
+    resp = net.responses(vectors)
+    for row, d in enumerate(used):
+        own = numbers[starts[d] : starts[d] + lengths[d]]
+        for i, w in enumerate(toxicity.WIDTHS):
+            for f in range(toxicity.FILTERS):
+                got = [sum(resp[i][own[a + j], j * toxicity.FILTERS + f] for j in range(w)) for a in range(len(own) - w + 1)]
+                want = sorted(set(np.float32(np.maximum(x, 0)) for x in got), reverse=True)[: toxicity.KEEP]
+                want += [0] * (toxicity.KEEP - len(want))
+                at = i * toxicity.FILTERS + f
+                assert np.allclose(top[row, :, at], want, atol=1e-5)
+                if top[row, 0, at] > 0:
+                    assert np.isclose(got[place[row, 0, at] - starts[d]], top[row, 0, at], atol=1e-5)
+
+
 def test_empty_tables(spark, texts):
     df = frame(spark, texts).limit(0)
     labels = spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int")
