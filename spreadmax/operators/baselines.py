@@ -53,24 +53,44 @@ def plain_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED) ->
 
 
 def lazy_forward(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED, lookahead: bool = False, ahead: int = 8) -> Selection:
-    """A lazy queue whose first bounds come from simulating every vertex. `lookahead` evaluates
-    the next vertices of the queue together with the best one, one loop for several rounds' needs."""
+    """A lazy queue whose first bounds come from simulating every vertex. `lookahead` also simulates a visited
+    vertex beside the best one of its round, in the same loop; the seeds are the same, the visits at most as many."""
     first = _spreads(g, [], _all_ids(g), runs, _fresh_draw(seed), _sims(g, runs))
-    return _simulated_queue(g, k, runs, seed, first, 1 if lookahead else ahead, Selection())
+    return _simulated_queue(g, k, runs, seed, first, ahead, Selection(), lookahead)
 
 
-def _simulated_queue(g: CascadeGraph, k: int, runs: int, seed: int, first: dict[int, float], ahead: int, out: Selection) -> Selection:
+def _mean_reach(g: CascadeGraph, sets: list[tuple[tuple[int, ...], int]], runs: int) -> list[float]:
+    """Mean reach of each (seed set, seed of its draws), all in one loop keyed (cand, sim)."""
+    rows = [(c, draw, v) for c, (ids, draw) in enumerate(sets) for v in ids]
+    starts = g.edges.sparkSession.createDataFrame(rows, "cand long, draw long, id long").crossJoin(F.broadcast(_sims(g, runs)))  # sets of one block, runs
+    keep = hash31(F.least("u", "v"), F.greatest("u", "v"), "sim", F.col("draw")) <= F.col("thr")
+    found = reach_loop(g.arcs.select("u", "v", "h", "thr"), starts, ["cand", "draw", "sim"], keep)
+    counts = {r["cand"]: r["n"] for r in found.groupBy("cand").agg(F.count(F.lit(1)).alias("n")).collect()}
+    return [counts.get(c, 0) / runs for c in range(len(sets))]
+
+
+def _simulated_queue(
+    g: CascadeGraph, k: int, runs: int, seed: int, first: dict[int, float], ahead: int, out: Selection, lookahead: bool = False
+) -> Selection:
+    """The queue with fresh simulations: the draws of a gain depend on the number of seeds it is given, nothing else."""
     sigmas: dict[tuple[int, ...], float] = {(): 0.0}
 
+    def gains(wanted: list[tuple[int, ...]]) -> list[float]:
+        """Each is a seed set whose last vertex is the candidate."""
+        bases = sorted({s[:-1] for s in wanted} - set(sigmas))
+        draws = lambda s, given: (s, seed + given)
+        reach = _mean_reach(g, [*[draws(s, len(s)) for s in bases], *[draws(s, len(s) - 1) for s in wanted]], runs)
+        sigmas.update(zip(bases, reach, strict=False))
+        return [round(x - sigmas[s[:-1]], 6) for s, x in zip(wanted, reach[len(bases) :], strict=True)]
+
     def evaluate(seeds: list[int], stale: list[int]) -> dict[int, float]:
-        key = tuple(seeds)
-        draw = _fresh_draw(seed + len(seeds))
-        if key not in sigmas:
-            sigmas[key] = _spreads(g, seeds[:-1], seeds[-1:], runs, draw, _sims(g, runs))[seeds[-1]]
-        spread = _spreads(g, seeds, stale, runs, draw, _sims(g, runs))
-        return {v: round(spread[v] - sigmas[key], 6) for v in stale}
+        return dict(zip(stale, gains([(*seeds, v) for v in stale]), strict=True))
 
-    out.seeds, out.visits = lazy_greedy(first, evaluate, k, ahead)
+    def beside(seeds: list[int], stale: list[int], best: int) -> tuple[dict[int, float], dict[int, float]]:
+        both = gains([*[(*seeds, v) for v in stale], *[(*seeds, best, v) for v in stale]])
+        return dict(zip(stale, both, strict=False)), dict(zip(stale, both[len(stale) :], strict=True))
+
+    out.seeds, out.visits = lazy_greedy(first, evaluate, k, ahead, beside if lookahead else None)
     return out
 
 

@@ -176,27 +176,42 @@ def select_refresh(memo: Memo, k: int, block: int = BLOCK) -> Selection:
 
 
 def lazy_greedy(
-    first: dict[int, float], evaluate: Callable[[list[int], list[int]], dict[int, float]], k: int, ahead: int = 8, start: list[int] | None = None
+    first: dict[int, float], evaluate: Callable[[list[int], list[int]], dict[int, float]], k: int, ahead: int = 8, beside: Callable | None = None
 ) -> tuple[list[tuple[int, float]], int]:
     """The queue of the simulated baselines: `evaluate(seeds, candidates)` gives fresh gains.
 
     The top `ahead` stale vertices are evaluated together; the choice rule is that
     of one at a time, since an estimate depends only on the seeds and the vertex.
+    `beside(seeds, candidates, best)` makes it a look-ahead queue: it also gives
+    the gains that follow if `best`, the best vertex of the round so far, is chosen;
+    where it is, those vertices are fresh without a further visit.
     """
     heap = [(-g, v, 0) for v, g in first.items()]
     heapq.heapify(heap)
     seeds: list[tuple[int, float]] = []
     visits = 0
+    best: tuple[float, int] | None = None  # (-gain, id)
+    known: dict[int, tuple[tuple[int, ...], float]] = {}  # id -> (seeds, gain given them)
     while heap and len(seeds) < k:
         if heap[0][2] == len(seeds):
             g, v, _ = heapq.heappop(heap)
             seeds.append((v, -g))
+            best = None
             continue
         stale = []
         while heap and len(stale) < ahead and heap[0][2] != len(seeds):
             stale.append(heapq.heappop(heap)[1])
-        fresh = evaluate([v for v, _ in seeds], stale)
-        visits += len(stale)
+        chosen = [v for v, _ in seeds]
+        fresh = {v: known[v][1] for v in stale if v in known and known[v][0] == tuple(chosen)}
+        visit = [v for v in stale if v not in fresh]
+        visits += len(visit)
+        if visit and beside is not None and best is not None:
+            gains, later = beside(chosen, visit, best[1])
+            fresh |= gains
+            known |= {v: ((*chosen, best[1]), g) for v, g in later.items()}
+        elif visit:
+            fresh |= evaluate(chosen, visit)
         for v in stale:
             heapq.heappush(heap, (-fresh[v], v, len(seeds)))
+            best = min(best or (-fresh[v], v), (-fresh[v], v))
     return seeds, visits

@@ -212,6 +212,26 @@ def test_estimates_meet_the_exact_spread(spark):
     assert baselines.component_greedy(g, 2, 64).seeds[0][0] == baselines.hybrid_lazy_greedy(g, 1, 64).seeds[0][0]
 
 
+def test_lookahead_keeps_the_seeds_of_the_simulated_queue(spark):
+    edges = spark.createDataFrame([(1, v) for v in range(2, 8)] + [(7, 8), (8, 9), (10, 11)], "src long, dst long").withColumn("mult", F.lit(1).cast("long"))
+    g = CascadeGraph.of(edges, 0.5)
+    plain = baselines.lazy_forward(g, 3, 16, ahead=1)
+    ahead = baselines.lazy_forward(g, 3, 16, ahead=1, lookahead=True)
+    assert ahead.seeds == plain.seeds and len(plain.seeds) == 3
+    assert ahead.visits <= plain.visits
+
+
+def test_lookahead_saves_a_visit():
+    covers = {1: set(range(1, 11)), 2: {1, 2, 3, *range(11, 17)}, 3: {1, 2, 3, 4, *range(17, 21)}, 4: {21}}
+    gain = lambda seeds, v: len(covers[v] - set().union(*(covers[x] for x in seeds)))
+    evaluate = lambda seeds, vs: {v: gain(seeds, v) for v in vs}
+    beside = lambda seeds, vs, best: (evaluate(seeds, vs), evaluate([*seeds, best], vs))
+    first = evaluate([], list(covers))
+    want = [(1, 10), (2, 6), (3, 4)]
+    assert selection.lazy_greedy(first, evaluate, 3, 1) == (want, 3)
+    assert selection.lazy_greedy(first, evaluate, 3, 1, beside) == (want, 2)
+
+
 def test_forest_closed_form(spark):
     edges = graphs.geo_forest(spark, "/root/testdata/sf0.01")
     exact = diffusion.forest_exact(edges, lambda c: F.pmod(c, F.lit(4)), 0.1)
