@@ -114,7 +114,7 @@ class ConvNet:
         return (top, place) if where else top
 
     def score(self, top: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-(top.reshape(len(top), -1) @ self.out + self.last[0]).astype(np.float64)))
+        return 1 / (1 + np.exp(-(top.reshape(len(top), len(self.out)) @ self.out + self.last[0]).astype(np.float64)))
 
 
 class Scorer:
@@ -231,7 +231,7 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
             top, place = net.maxima(numbers, starts[used], net.responses(vectors), where=True)
             error = ((net.score(top) - y[part][used]) * weight[part][used]).astype(np.float32) / len(used)
             adam.t += 1
-            top, place = top.reshape(len(top), -1), place.reshape(len(top), -1)
+            top, place = (x.reshape(len(x), len(net.out)) for x in (top, place))
             back = error[:, None] * net.out * (top > 0)
             g_vec = np.zeros_like(vectors)
             g_filters = [np.zeros_like(f) for f in net.filters]
