@@ -6,7 +6,8 @@ its largest different responses (so that one chance word and many bad ones are
 told apart), and a logistic layer reads these maxima. The model is trained by
 Adam on a bounded, hash-chosen sample of labelled rows; gradients reach only
 the words at the maxima. Scores never see the language; decision thresholds of
-`toxic_by_language` are calibrated per language on the training rows.
+`toxic_by_language` are calibrated per language on the scores of all labelled
+rows that are not held out, counted by bins of their log odds.
 
 Defined cases: a null text counts as empty; texts without words get the score
 of empty maxima; of labels of one id that disagree the smallest counts, and
@@ -26,6 +27,7 @@ from pyspark.sql import types as T
 
 from spreadmax.llm.common import append_columns, text_bytes, words_of
 from spreadmax.llm.quality import held_out, labelled_ids, sampled_ids
+from spreadmax.session import written
 
 SAMPLE_ROWS = 3_000
 BUCKETS = 1 << 15
@@ -40,6 +42,10 @@ BEGINNINGS = (4, 5, 6, 7)
 BLOCK = 1 << 16
 CACHE = 400_000
 PARTS = 1 + len(BEGINNINGS)
+#: Bins of log odds that thresholds are chosen from: their bound, their number a unit, and the rows of each kind that a language needs.
+ODDS = 32
+BINS = 64
+LEAST = 20
 _NONE = BUCKETS  # the row of an absent beginning: always zero
 
 
@@ -256,46 +262,54 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
     return net
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> tuple[ConvNet, dict[str, float]]:
-    """The net, and a threshold for each language of the training rows."""
-    net, got, y = _fit(docs, labels, rows)
-    scores = Scorer(net).score([r["text"] for r in got])
-    return net, calibrate(scores, y, [r["lang"] for r in got])
-
-
-def _fit(docs: DataFrame, labels: DataFrame, rows: int):
-    known = labelled_ids(labels, "toxic", ~held_out(5, 0))
+def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> ConvNet:
+    """The net, trained on at most `rows` labelled rows."""
+    known = _training_ids(labels)
     # toxic rows are rare: half of the bound is theirs
     ids = sampled_ids(known.filter("y = 1"), rows // 2).unionByName(sampled_ids(known.filter("y = 0"), rows // 2))
-    lang = F.col("lang").cast("string") if "lang" in docs.columns else F.lit(None).cast("string")
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct(F.col("text").cast("binary").alias("text"), lang.alias("lang")).alias("row"))
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
     # rows that repeat an id are one, so the bound on ids bounds what the driver gets
-    once = own.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min("row").alias("row"))
-    got = sorted(once.select("doc_id", "y", "row.text", "row.lang").collect(), key=lambda r: r["doc_id"])
-    got = [r.asDict() | {"text": bytes(r["text"] or b"")} for r in got]
-    y = np.array([r["y"] for r in got])
-    return train([r["text"] for r in got], y), got, y
-
-
-def calibrate(scores: np.ndarray, y: np.ndarray, langs: list[str | None], least: int = 20) -> dict[str, float]:
-    """Per language the threshold with the fewest errors (clean rows weigh double), the middle of the best gap."""
+    once = own.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min(F.struct("text")).alias("row"))
+    got = sorted(once.select("doc_id", "y", "row.text").collect(), key=lambda r: r["doc_id"])
+    return train([bytes(r["text"] or b"") for r in got], np.array([r["y"] for r in got]))
+
+
+def _training_ids(labels: DataFrame) -> DataFrame:
+    return labelled_ids(labels, "toxic", ~held_out(5, 0))
+
+
+def score_counts(scored: DataFrame, labels: DataFrame, least: int = LEAST) -> DataFrame:
+    """lang, bin, clean, toxic, low, high: all labelled training rows of `scored` (doc_id, lang, score) by log odds
+    of their score, for the languages with `least` rows of both kinds; low and high are the scores that a bin holds."""
+    own = scored.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct(F.col("lang").cast("string").alias("lang"), "score").alias("row"))
+    once = own.join(_training_ids(labels), "doc_id").groupBy("doc_id", "y").agg(F.min("row").alias("row")).select("y", "row.*")
+    odds = F.ln(F.col("score") / (1 - F.col("score")))
+    place = F.when(F.col("score") >= 1, ODDS).when(F.col("score") <= 0, -ODDS).otherwise(F.greatest(F.lit(-ODDS), F.least(F.lit(ODDS), odds)))
+    number = lambda y: F.sum((F.col("y") == y).cast("long"))
+    bins = once.filter("lang is not null").groupBy("lang", F.floor(place * BINS).cast("int").alias("bin")).agg(
+        number(0).alias("clean"), number(1).alias("toxic"), F.min("score").alias("low"), F.max("score").alias("high")
+    )
+    bins = written(bins, "scores")
+    enough = bins.groupBy("lang").agg(F.sum("clean").alias("c"), F.sum("toxic").alias("t")).filter((F.col("c") >= least) & (F.col("t") >= least))
+    return bins.join(enough.select("lang"), "lang")
+
+
+def calibrate(counts: list) -> dict[str, float]:
+    """Per language the threshold with the fewest errors (clean rows weigh double), the middle of the gap below it;
+    `counts`: rows of `score_counts`. Where any threshold takes more clean rows than it is worth, none is taken."""
     out: dict[str, float] = {}
-    for lang in {x for x in langs if x is not None}:
-        own = np.array([x == lang for x in langs])
-        s, t = scores[own], y[own]
-        if (t == 1).sum() < least or (t == 0).sum() < least:
-            continue
-        order = np.argsort(-s)
-        s, t = s[order], t[order]
-        cost = 2 * np.cumsum(t == 0) - np.cumsum(t == 1)
+    for lang in {r["lang"] for r in counts}:
+        own = sorted((r for r in counts if r["lang"] == lang), key=lambda r: -r["bin"])
+        cost = np.cumsum([2 * r["clean"] - r["toxic"] for r in own])
         k = int(cost.argmin())
-        out[lang] = float((s[k] + (s[k + 1] if k + 1 < len(s) else 0)) / 2)
+        below = own[k + 1]["high"] if k + 1 < len(own) else 0
+        out[lang] = float((own[k]["low"] + below) / 2) if cost[k] <= 0 else float(np.nextafter(own[0]["high"], 2))
     return out
 
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, keep_all: bool = False) -> DataFrame:
     """doc_id, held_out, score, predicted, toxic_by_language; with `keep_all`, `docs` and score, toxic_by_language."""
-    net, thresholds = fit_toxicity(docs, labels, rows)
+    net = fit_toxicity(docs, labels, rows)
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(net)  # of fixed size
 
@@ -305,8 +319,12 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS,
 
     own = docs if keep_all else docs.select("doc_id", "text", *[c for c in ("lang",) if c in docs.columns])
     scored = append_columns(own, ["text"], [("score", T.DoubleType())], maker)
+    scored = scored if keep_all else scored.drop("text")
     limit = F.lit(0.5)
     if "lang" in docs.columns:
+        # a table of its own: thresholds come from the scores of all labelled rows, and no text is scored twice
+        scored = written(scored, "scored")
+        thresholds = calibrate(score_counts(scored, labels).collect())  # at most 2 * ODDS * BINS + 1 rows a language
         for lang, cut in sorted(thresholds.items()):
             limit = F.when(F.col("lang") == lang, cut).otherwise(limit)
     scored = scored.withColumn("toxic_by_language", F.col("score") >= limit)

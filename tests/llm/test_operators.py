@@ -389,6 +389,27 @@ def test_quality_and_toxicity_on_labels(spark):
     assert kept.columns == df.columns and kept.count() < len(docs)
 
 
+def test_thresholds_count_all_labelled_rows(spark):
+    rng, v = random.Random(4), vocabulary(4)
+    docs, labels = [], []
+    for i in range(1500):  # one toxic row in fifteen; every bad word is in clean rows too, so the classes overlap
+        w = [rng.choice(v) for _ in range(rng.randint(5, 30))]
+        if i % 15 == 1 or i % 6 == 2:
+            w.insert(0, "vileword")
+        docs.append((i, " ".join(w)))
+        labels.append((i, 1, int(i % 15 == 1)))
+    docs.append((3, docs[3][1]))
+    df, lab = frame(spark, docs), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    got = toxicity.score_toxicity(df, lab, rows=80).collect()  # fitted on 80 rows, half toxic
+    truth, lang = {i: t for i, _, t in labels}, {r["doc_id"]: r["lang"] for r in df.collect()}
+    own = {r["doc_id"]: r for r in got if not r["held_out"] and lang[r["doc_id"]] == "en"}
+    errors = lambda taken: sum((2 if not truth[i] else -1) * taken(r) for i, r in own.items())
+    best = min(0, *(errors(lambda r, c=c: r["score"] >= c) for c in {r["score"] for r in own.values()}))
+    assert errors(lambda r: r["toxic_by_language"]) <= best + 2  # scores of one bin are not told apart
+    counts = toxicity.score_counts(spark.createDataFrame([(r["doc_id"], lang[r["doc_id"]], r["score"]) for r in got], "doc_id long, lang string, score double"), lab).collect()
+    assert sum(r["clean"] + r["toxic"] for r in counts) == len(own) > 80
+
+
 def test_blocks_of_long_texts_score_alike(monkeypatch):
     net = toxicity.ConvNet(3)
     rng, v = random.Random(6), vocabulary(6)
