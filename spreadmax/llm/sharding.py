@@ -5,7 +5,8 @@ for a law of counts, so the graph is kept as one row per group with its number
 of members in every shard. In each round the members of a group vote for the
 shard that holds most of them, and move there as far as quotas allow: flows
 between shards are scaled until no shard takes in more than it has room for and
-gives away. Documents without links fill what is left, which makes the counts
+gives away. At the end, groups that a shard holding a member has room for go
+there whole. Documents without links fill what is left, which makes the counts
 of all shards equal or one apart, exactly.
 
 Defined cases: a null text counts as empty (size 1) and is linked to empty
@@ -70,11 +71,13 @@ def _even(n: int, shards: int) -> list[int]:
     return [n // shards + (s < n % shards) for s in range(shards)]
 
 
-def _wish(shards: int, open_to: list[bool]) -> Column:
-    """The shard that a group's members vote for: most members, then the lower number, among those open."""
+def _wish(shards: int, open_to: list[bool], salt: int) -> Column:
+    """The shard that a group's members vote for: most members among those open; of equal ones a hash takes one,
+    so that the wishes of many groups for an exchange balance."""
     is_open = F.array(*[F.lit(x) for x in open_to])
-    ranked = F.transform("c", lambda x, i: F.struct(F.when(F.get(is_open, i), x).otherwise(-1).alias("x"), (-i).alias("i")))
-    return (-F.array_max(ranked)["i"]).cast("int")
+    lot = lambda i: F.xxhash64("g", "text_crc32", "size", i, F.lit(f"wish{salt}"))
+    ranked = F.transform("c", lambda x, i: F.struct(F.when(F.get(is_open, i), x).otherwise(-1).alias("x"), lot(i).alias("lot"), i.alias("i")))
+    return F.array_max(ranked)["i"].cast("int")
 
 
 def _moves(wish: Column, share, salt: int) -> Column:
@@ -82,7 +85,7 @@ def _moves(wish: Column, share, salt: int) -> Column:
 
     def leaving(x: Column, i: Column) -> Column:
         top = F.get(F.col("c"), wish)
-        wants = (i != wish) & ((x < top) | ((x == top) & (i > wish)))
+        wants = (i != wish) & (x <= top)  # a tie follows the wish from any shard, a closed one too
         part = share(i)
         chance = F.pmod(F.xxhash64("g", "text_crc32", "size", i, F.lit(salt)), F.lit(1 << 20)) / float(1 << 20)
         some = F.when(part >= 1, x).otherwise(F.floor(x * part + chance))
@@ -135,13 +138,50 @@ def propagate(groups: DataFrame, quota: list[int], rounds: int = ROUNDS) -> tupl
         if idle == 4:
             break
         swap = idle % 2 == 1
-    return groups, trace
+    return _gathered(groups, quota, now, loads, trace)
+
+
+def _gathered(groups: DataFrame, quota: list[int], now: list[int], loads, trace: list[dict]) -> tuple[DataFrame, list[dict]]:
+    """Groups that a shard holding a member has room for go there whole, until there is none.
+
+    In each pass a group tries one of these shards; those of a shard are taken in an order of
+    hashes while their members fit. Each pass with a candidate gathers one at least.
+    """
+    shards = len(quota)
+    total = F.aggregate("c", F.lit(0).cast("long"), lambda a, b: a + b)
+    while True:
+        room = [q - n for q, n in zip(quota, now, strict=True)]
+        if not any(x > 0 for x in room):
+            return groups, trace
+        free = F.array(*[F.lit(x).cast("long") for x in room])
+        fits = F.filter(
+            F.transform("c", lambda x, i: F.struct((total - x).alias("come"), F.xxhash64("g", "text_crc32", "size", i).alias("lot"), i.cast("int").alias("to"))),
+            lambda f: (F.get("c", f["to"]) > 0) & (f["come"] > 0) & (f["come"] <= F.get(free, f["to"])),
+        )
+        could = groups.withColumn("f", F.array_min(fits)).filter("f is not null")
+        could = written(could.select(*GROUP, "f.to", "f.come"), "could")
+        number = could.count()
+        if not number:
+            return groups, trace
+        buckets = max(1, -(-number // BUCKET_ROWS))
+        dealt = could.withColumn("b", F.pmod(F.xxhash64(*GROUP, F.lit("gather")), F.lit(buckets)))
+        before = Window.partitionBy("to").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+        begins = dealt.groupBy("to", "b").agg(F.sum("come").alias("n")).select("to", "b", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("at"))
+        own = Window.partitionBy("to", "b").orderBy("come", *GROUP).rowsBetween(Window.unboundedPreceding, 0)
+        upto = F.col("at") + F.sum("come").over(own)
+        taken = dealt.join(begins, ["to", "b"]).withColumn("upto", upto).filter(F.col("upto") <= F.get(free, F.col("to")))
+        there = F.transform("c", lambda x, i: F.when(F.col("to").isNull(), x).when(i == F.col("to"), total).otherwise(0).cast("long"))
+        moved = F.coalesce("come", F.lit(0)).alias("moved")
+        after = groups.join(taken.select(*GROUP, "to", "come"), GROUP, "left").select(*GROUP, there.alias("c"), moved)
+        after = written(after, "gathered")
+        groups, now = after.drop("moved"), loads(after)
+        trace.append({"round": len(trace), "swap": False, "moved": int(after.agg(F.sum("moved")).head()[0] or 0), "loads": now})
 
 
 def _round(groups: DataFrame, quota: list[int], now: list[int], room: list[int], open_to: list[bool], loads, salt: int):
     """One round of votes and moves: the groups after it, the loads, and how many members moved."""
     shards = len(quota)
-    wished = groups.withColumn("wish", _wish(shards, open_to))
+    wished = groups.withColumn("wish", _wish(shards, open_to, salt))
     every = _moves(F.col("wish"), lambda i: F.lit(1.0), salt)
     sums = wished.groupBy("wish").agg(*[F.sum(F.get(every, F.lit(s))).alias(f"s{s}") for s in range(shards)])
     want = [[0] * shards for _ in range(shards)]

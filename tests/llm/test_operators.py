@@ -331,6 +331,25 @@ def test_sharding(spark, texts, hot):
     assert sum(together) >= 0.6 * len(together)
 
 
+@pytest.mark.parametrize("single", [80, 400])
+def test_no_small_group_stays_cut_beside_room(spark, single):
+    rng, shards, rows = random.Random(9), 8, []
+    quota = sharding._even(800 + single, shards)
+    begin = [s for s, n in enumerate(quota) for _ in range(n)][:800]  # dealt in order: low shards begin full
+    rng.shuffle(begin)
+    for g in range(400):
+        rows.append((g, g, 10, [begin[2 * g : 2 * g + 2].count(s) for s in range(shards)]))
+    groups = spark.createDataFrame(rows, "g long, text_crc32 long, size long, c array<long>")
+    out, trace = sharding.propagate(groups, quota)
+    counts = [r["c"] for r in out.collect()]
+    loads = [sum(c[s] for c in counts) for s in range(shards)]
+    assert len(counts) == 400 and all(sum(c) == 2 for c in counts) and all(n <= q for n, q in zip(loads, quota, strict=True))
+    assert not [c for c in counts if max(c) == 1 and any(x and loads[s] < quota[s] for s, x in enumerate(c))]
+    cut = sharding.cut_links(out).head()
+    print("cut", sharding.cut_links(groups).head()["cut"], cut["cut"], len(trace))
+    assert cut["links"] == 400 and cut["cut"] <= 0.05 * 400
+
+
 def test_flows_respect_room():
     rng = random.Random(1)
     for _ in range(50):
