@@ -56,7 +56,7 @@ def run_method(g: CascadeGraph, method: str, k: int, runs: int, most_sets: int |
 
 def experiment(
     spark: SparkSession, sf_dir: str, graphs: list[str], weight_settings: list[str], methods: list[str], k: int = 10, runs: int = 64,
-    score_runs: int = 200, most_sets: int | None = 20_000,
+    score_runs: int = 200, most_sets: int | None = None,
 ) -> DataFrame:
     """The runs table: time, memory and independent score of methods on graphs and settings."""
     rows = []

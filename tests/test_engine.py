@@ -324,3 +324,17 @@ def test_graph_helpers(spark):
     ids = spark.range(10)
     assert induced_subgraph(g.edges, ids).filter("src > 9 OR dst > 9").count() == 0
     assert vertices_of(g.edges).count() == row["n"]
+
+
+def test_experiments_do_not_cap_the_comparator(spark, small, monkeypatch):
+    from spreadmax.plans import workloads
+
+    asked = []
+
+    def greedy(g, k, eps, **options):
+        asked.append((eps, options.get("most")))
+        return {"seeds": [(0, 1)], "sets": 1}
+
+    monkeypatch.setattr(workloads.rrset, "rrset_greedy", greedy)
+    workloads.experiment(spark, small, ["geo_forest"], ["c01"], ["rr_0.5", "rr_0.13"], k=1, runs=1, score_runs=1)
+    assert asked == [(0.5, None), (0.13, None)]
