@@ -7,11 +7,13 @@ in the same places, addresses for addresses, letters of the same case, names
 of the same gender and script. One unit has one surrogate in the whole corpus,
 so mentions still refer to the same thing.
 
-Numbers are permuted by keyed Feistel networks, so different ones stay
-different by construction. Other surrogates are drawn from a keyed digest and
-checked over all units of the corpus: of units that meet in one surrogate, or
-in a unit that really occurs, all but the first are drawn again, until none
-meet. Drawn-again units are few; up to EXCEPTIONS they are looked up in the
+A given name is a unit of its own beside its surname and gender. Numbers are
+permuted by keyed Feistel networks, so different ones stay different by
+construction; they are not compared with numbers that really occur. Other
+surrogates are drawn from a keyed digest and checked over all units of the
+corpus: of units that meet in one surrogate, or in a unit that really occurs,
+all but the first are drawn again, until none meet. Given names are first drawn
+from a list, then made of syllables. Drawn-again units are few; up to EXCEPTIONS they are looked up in the
 plan, more are joined by a shuffle of mentions.
 
 Defined cases: a null text stays null and has no entities; empty texts stay
@@ -55,6 +57,8 @@ GIVEN = {
     ("greek", "m"): ["Άρης", "Γιώργος", "Νίκος", "Πέτρος"],
 }
 _ONSETS = {"latin": "b d f g k l m n p r s t v z h j".split(), "cyrillic": "б в г д з к л м н п р с т ф х ш".split(), "greek": "β γ δ ζ κ λ μ ν π ρ σ τ φ χ θ ξ".split()}
+#: Endings of given names made of syllables: of women, of men.
+_ENDINGS = {"latin": ("na", "n"), "cyrillic": ("на", "н"), "greek": ("να", "ς")}
 _VOWELS = {"latin": "a e i o".split(), "cyrillic": "а е и о".split(), "greek": "α ε ι ο".split()}
 
 
@@ -142,6 +146,34 @@ def unit_of(mention: Column, kind: Column) -> Column:
     )
 
 
+def given_of(mention: Column, kind: Column) -> Column:
+    """The unit of a given name: surname, given name and gender; null where the mention has none."""
+    words = F.split(mention, " ")
+    title = F.regexp_replace(F.element_at(words, 1), r"\.$", "")
+    gender = F.when(title.isin(*_TITLES_F), "f").otherwise("m")
+    name = F.concat_ws("|", F.lower(F.element_at(words, -1)), F.lower(F.get(words, F.lit(1))), gender)
+    return F.when((kind == "name") & (F.size(words) > 2), name)
+
+
+def _given(unit: Column, attempt: Column, key: str) -> Column:
+    """The surrogate of a given name, in lower case: of the list at first, then of syllables with an ending of its gender."""
+    first = F.split_part(unit, F.lit("|"), F.lit(2))
+    female = unit.endswith("|f")
+
+    def by_script(script: str) -> Column:
+        def pick(g: str) -> Column:
+            names, n = F.array(*[F.lit(x.lower()) for x in GIVEN[script, g]]), len(GIVEN[script, g])
+            at = F.pmod(_hash(F.lit(f"{key}|given"), first), F.lit(n)).cast("int")
+            # never the name itself
+            return F.when(F.get(names, at) == first, F.get(names, F.pmod(at + 1, F.lit(n)))).otherwise(F.get(names, at))
+
+        made = _word(_hash(F.lit(f"{key}|given"), unit, attempt.cast("string")), 4, script)
+        f, m = _ENDINGS[script]
+        return F.when(attempt == 0, F.when(female, pick("f")).otherwise(pick("m"))).otherwise(F.concat(made, F.when(female, f).otherwise(m)))
+
+    return _by_script(first, by_script)
+
+
 def drawn(kind: Column, unit: Column, attempt: Column, key: str) -> Column:
     """Surrogates of the kinds that are drawn from a digest, in their lower-case form."""
     seed = _hash(F.lit(key), kind, unit, attempt.cast("string"))
@@ -154,7 +186,9 @@ def drawn(kind: Column, unit: Column, attempt: Column, key: str) -> Column:
         F.regexp_replace(host, "[0-9]+", F.pmod(more, F.lit(10)).cast("string")),
     )
     secret = F.substring(F.concat(F.sha2(F.concat_ws("|", F.lit(key), unit, attempt.cast("string")), 256)), F.lit(1), F.length(unit))
-    return F.when(kind == "email", email).when(kind == "secret", secret).otherwise(_by_script(unit, lambda s: _word(seed, 5, s)))
+    # a given name has to differ from others of its surname and gender only
+    own = F.concat_ws("|", F.split_part(unit, F.lit("|"), F.lit(1)), _given(unit, attempt, key), F.split_part(unit, F.lit("|"), F.lit(3)))
+    return F.when(kind == "email", email).when(kind == "secret", secret).when(kind == "given", own).otherwise(_by_script(unit, lambda s: _word(seed, 5, s)))
 
 
 def _cased(mention: Column, lower: Column) -> Column:
@@ -162,24 +196,11 @@ def _cased(mention: Column, lower: Column) -> Column:
     return F.when(loud, F.upper(lower)).otherwise(lower)
 
 
-def surrogate(mention: Column, kind: Column, low: Column, key: str) -> Column:
-    """The text that stands for a mention; `low` is the drawn surrogate of its unit, in lower case."""
+def surrogate(mention: Column, kind: Column, low: Column, given: Column, key: str) -> Column:
+    """The text that stands for a mention; `low` and `given` are the drawn surrogates of its unit and of its given name, in lower case."""
     words = F.split(mention, " ")
-    title = F.regexp_replace(F.element_at(words, 1), r"\.$", "")
-    female = title.isin(*_TITLES_F)
-    first = F.when(F.size(words) > 2, F.element_at(words, 2))
-
-    def given(script: str) -> Column:
-        def pick(g: str) -> Column:
-            names, n = F.array(*[F.lit(x) for x in GIVEN[script, g]]), len(GIVEN[script, g])
-            at = F.pmod(_hash(F.lit(f"{key}|given"), F.lower(first)), F.lit(n)).cast("int")
-            drawn_name = F.get(names, at)
-            # never the name itself
-            return F.when(F.lower(drawn_name) == F.lower(first), F.get(names, F.pmod(at + 1, F.lit(n)))).otherwise(drawn_name)
-
-        return F.when(female, pick("f")).otherwise(pick("m"))
-
-    name = F.concat_ws(" ", F.element_at(words, 1), F.when(first.isNotNull(), _by_script(first, given)), F.initcap(low))
+    first = F.initcap(F.split_part(given, F.lit("|"), F.lit(2)))
+    name = F.concat_ws(" ", F.element_at(words, 1), first, F.initcap(low))
     return (
         F.when(kind == "phone", _number(mention, 10, 100_000, 100_000, "phone", key))
         .when(kind == "ssn", _number(mention, 9, 10_000, 100_000, "ssn", key))
@@ -191,7 +212,7 @@ def surrogate(mention: Column, kind: Column, low: Column, key: str) -> Column:
 
 
 def _found(docs: DataFrame) -> DataFrame:
-    """`docs` with __m: an array of (mention, kind, unit) in the order of the text."""
+    """`docs` with __m: an array of (mention, kind, unit, given) in the order of the text."""
     text = F.coalesce(F.col("text"), F.lit(""))
     might = text.rlike("[0-9]") | text.rlike("|".join((*_TITLES_F, *_TITLES_M)))
     every = lambda pattern: F.regexp_extract_all(text, F.lit(f"({pattern})"), F.lit(1))
@@ -201,7 +222,7 @@ def _found(docs: DataFrame) -> DataFrame:
     known = docs.withColumn("__e", mentions)
     kinds = F.transform("__e", lambda e: F.struct(e.alias("mention"), kind_of(e).alias("kind")))
     return known.withColumn("__k", kinds).withColumn(
-        "__m", F.transform("__k", lambda x: F.struct(x["mention"], x["kind"], unit_of(x["mention"], x["kind"]).alias("unit")))
+        "__m", F.transform("__k", lambda x: F.struct(x["mention"], x["kind"], unit_of(x["mention"], x["kind"]).alias("unit"), given_of(x["mention"], x["kind"]).alias("given")))
     ).drop("__e", "__k")
 
 
@@ -238,34 +259,46 @@ def repeated_draws(units: DataFrame, key: str = KEY) -> DataFrame:
 def replace_pii(docs: DataFrame, key: str = KEY, exceptions: int = EXCEPTIONS) -> DataFrame:
     """`docs` with text replaced, and entities: an array of (kind, mention, surrogate) in the order of the text."""
     found = _found(docs)
-    mentions = found.select(F.explode("__m").alias("m")).select("m.kind", "m.unit").filter(F.col("kind").isin("email", "secret", "name"))
+    units = F.concat(
+        F.transform("__m", lambda x: F.struct(x["kind"].alias("kind"), x["unit"].alias("unit"))),
+        F.transform(F.filter("__m", lambda x: x["given"].isNotNull()), lambda x: F.struct(F.lit("given").alias("kind"), x["given"].alias("unit"))),
+    )
+    mentions = found.select(F.explode(units).alias("m")).select("m.kind", "m.unit").filter(F.col("kind").isin("email", "secret", "name", "given"))
     again = written(repeated_draws(mentions.distinct(), key), "again")
     few = again.limit(exceptions + 1).count() <= exceptions
     if few:
         listed = {(r["kind"], r["unit"]): r["attempt"] for r in again.collect()}  # at most `exceptions`
 
-        def low(x: Column) -> Column:
+        def again_of(kind: Column, unit: Column) -> Column:
             attempt = F.lit(0)
             if listed:
                 pairs = [F.lit(v) for (k, u), n in sorted(listed.items()) for v in (f"{k}|{u}", str(n))]
-                attempt = F.coalesce(F.try_element_at(F.create_map(*pairs), F.concat_ws("|", x["kind"], x["unit"])).cast("int"), F.lit(0))
-            return drawn(x["kind"], x["unit"], attempt, key)
+                attempt = F.coalesce(F.try_element_at(F.create_map(*pairs), F.concat_ws("|", kind, unit)).cast("int"), F.lit(0))
+            return drawn(kind, unit, attempt, key)
+
+        low = lambda x: again_of(x["kind"], x["unit"])
+        given = lambda x: F.when(x["given"].isNotNull(), again_of(F.lit("given"), x["given"]))
     else:
         rows = written(found.withColumn("__row", F.monotonically_increasing_id()), "mentions")
-        each = rows.select("__row", F.posexplode("__m").alias("at", "m")).select("__row", "at", "m.kind", "m.unit")
+        each = rows.select("__row", F.posexplode("__m").alias("at", "m")).select("__row", "at", "m.kind", "m.unit", "m.given")
+        # mentions without a given name have keys of their own, so no task gets them all
+        each = each.withColumn("own", F.coalesce("given", F.concat_ws(":", "__row", "at")))
+        firsts = again.filter("kind = 'given'").select(F.col("unit").alias("own"), F.col("low").alias("first"))
         lows = (
             each.join(again, ["kind", "unit"], "left")
+            .join(firsts, "own", "left")
+            .withColumn("first", F.when(F.col("given").isNotNull(), F.coalesce("first", drawn(F.lit("given"), F.col("given"), F.lit(0), key))))
             .withColumn("low", F.coalesce("low", drawn(F.col("kind"), F.col("unit"), F.lit(0), key)))
             .groupBy("__row")
-            .agg(F.array_sort(F.collect_list(F.struct("at", "low"))).alias("__low"))
+            .agg(F.array_sort(F.collect_list(F.struct("at", "low", "first"))).alias("__low"))
         )
         found = rows.join(lows, "__row", "left").withColumn(
-            "__m", F.transform("__m", lambda x, i: F.struct(x["mention"], x["kind"], x["unit"], F.get("__low", i)["low"].alias("low")))
+            "__m", F.transform("__m", lambda x, i: F.struct(x["mention"], x["kind"], x["unit"], F.get("__low", i)["low"].alias("low"), F.get("__low", i)["first"].alias("first")))
         ).drop("__row", "__low")
-        low = lambda x: x["low"]
+        low, given = lambda x: x["low"], lambda x: x["first"]
     shown = F.transform(
         "__m",
-        lambda x: F.struct(x["kind"].alias("kind"), x["mention"].alias("mention"), surrogate(x["mention"], x["kind"], low(x), key).alias("surrogate")),
+        lambda x: F.struct(x["kind"].alias("kind"), x["mention"].alias("mention"), surrogate(x["mention"], x["kind"], low(x), given(x), key).alias("surrogate")),
     )
     done = found.withColumn("entities", shown)
     between = F.when(F.col("text").contains("@"), F.split(F.col("text"), ANY, -1)).otherwise(F.split(F.col("text"), REST, -1))

@@ -272,6 +272,19 @@ def test_surrogates(spark):
             assert got[i][0]["text"] == want
 
 
+def test_people_of_one_surname_stay_apart(spark):
+    first = [f"{a}{b}" for a in ("Al", "Be", "Ca", "Do", "Em") for b in ("na", "ro", "lf", "mi", "ta")]
+    rows = [(i, f"{t} {f} Weber met Mr Weber") for i, (t, f) in enumerate((t, f) for t in ("Mr", "Mrs") for f in first)]
+    shown = []
+    for options in ({}, {"exceptions": -1}):
+        got = [r["entities"] for r in pii.replace_pii(frame(spark, rows), **options).orderBy("doc_id").collect()]
+        shown.append([[x["surrogate"] for x in e] for e in got])
+        assert len({e[0]["surrogate"] for e in got}) == len(rows)
+        assert {x["surrogate"].split()[-1] for e in got for x in e} == {got[0][1]["surrogate"].split()[-1]}
+        assert not {e[0]["surrogate"].split()[1] for e in got} & set(first)
+    assert shown[0] == shown[1]
+
+
 def test_permutations_are_distinct(spark):
     ids = spark.range(20_000).select(pii.permuted(F.col("id"), 100, 200, F.lit("k")).alias("p"))
     assert ids.distinct().count() == 20_000 and ids.agg(F.max("p"), F.min("p")).head()[:] == (19_999, 0)
