@@ -39,6 +39,21 @@ def words_of(text: bytes) -> list[bytes]:
     return text.translate(_WORDS).split()
 
 
+def fresh(taken: list[str], *names: str) -> list[str]:
+    """The names, each with as many underscores behind it as make it differ from the columns `taken`, whatever their case."""
+    used, out = {c.lower() for c in taken}, []
+    for name in names:
+        while name.lower() in used:
+            name += "_"
+        used.add(name.lower())
+        out.append(name)
+    return out
+
+
+def columns(df: DataFrame, names: list[str] | None = None) -> list[Column]:
+    return [F.col(f"`{c}`") for c in (df.columns if names is None else names)]
+
+
 def text_bytes(column: pa.Array) -> list[bytes]:
     """UTF-8 bytes of a text column; null counts as empty."""
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
