@@ -106,14 +106,33 @@ def test_decontamination(spark, texts):
     for limit in (decontaminate.PASS_BYTES, 40):  # in one pass, and in several
         got = defaultdict(list)
         for r in decontaminate.find_contamination(df, bench, pass_bytes=limit).collect():
-            got[r["doc_id"]].append((r["n_words"], r["n_hit"], r["n_items"], r["items_sha256"], r["contaminated"]))
+            assert r["n_words"] == 3  # an input column of that name stays
+            got[r["doc_id"]].append((r["n_words_"], r["n_hit"], r["n_items"], r["items_sha256"], r["contaminated"]))
         assert {k: sorted(x) for k, x in got.items()} == {k: sorted(x) for k, x in want.items()}
     kept = decontaminate.decontaminate(df, bench)
-    assert kept.columns == df.columns and {r["doc_id"] for r in kept.collect()}.isdisjoint({200, 201})
+    assert kept.columns == df.columns
+    clean = Counter(map(str, df.collect())) - Counter(map(str, kept.collect()))  # the rows that went
+    gone = {i for i, x in want.items() for r in x if r[4]}
+    assert {200, 201} <= gone and sum(clean.values()) == sum(r[4] for x in want.values() for r in x)
+    assert Counter(map(str, kept.collect())) <= Counter(map(str, df.collect()))
     empty = decontaminate.find_contamination(df, bench.limit(0)).agg(F.max("n_hit")).head()[0]
     assert empty == 0
 
 
+def test_pattern_tables_are_bounded():
+    rng, v = random.Random(11), vocabulary(11, 5000)
+    items = [(str(i), " ".join(rng.choice(v) for _ in range(400)).encode()) for i in range(400)]
+    made = decontaminate.PatternSet(items, 13)
+    words_in = sum(len(t.split()) for _, t in items)
+    fixed = len(made.tables) * ((1 << decontaminate.SHIFT_BITS) + (4 << decontaminate.BUCKET_BITS))
+    assert made.nbytes <= decontaminate.BYTES_A_WORD * words_in + fixed
+    whole = decontaminate.PASS_BYTES / sum(len(t) for _, t in items)
+    assert whole * decontaminate.BYTES_A_WORD * words_in + len(decontaminate.LENGTH_CLASSES) * ((1 << 22) + (4 << 18)) < 128 << 20
+    text = items[7][1].split()
+    mark, who = made.hits([b"intro", *text[50:70], b"end"])
+    assert mark.tolist() == [False] + [True] * 20 + [False] and who == {7}
+
+
 def test_token_counts(spark, texts):
     path = public_tokenizers.path("byte_bpe_50k.json")
     library = Tokenizer.from_file(path)
