@@ -28,6 +28,8 @@ from spreadmax.session import written
 
 #: Merged filters hold about this many fingerprints a block.
 BLOCK_ROWS = 1 << 20
+#: Fingerprints that a filter under construction collects before they are sorted in, at least.
+FOLD_ROWS = 1 << 16
 #: Classes of equal texts up to this number are broadcast (about 130 bytes each); more are joined by a salted shuffle.
 BROADCAST_ROWS = 200_000
 #: Rows of one group that go to one task in the salted join.
@@ -101,12 +103,19 @@ def repeated_fingerprints(docs: DataFrame, fp: str = "fp", block_rows: int = BLO
 
     def build(batches):
         keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+        held, size = [], 0
+
+        def folded():
+            new = np.concatenate(held) if held else np.zeros(0, np.uint64)
+            return _summed(np.concatenate((keys, new)), np.concatenate((counts, np.ones(len(new), np.uint64)))) if len(new) else (keys, counts)
+
         for batch in batches:
-            new = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-            if len(new):
-                keys, counts = _summed(
-                    np.concatenate((keys, new)), np.concatenate((counts, np.ones(len(new), np.uint64)))
-                )
+            held.append(batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64))
+            size += len(held[-1])
+            if size > max(len(keys), FOLD_ROWS):  # sorted again only when the keys have doubled
+                keys, counts = folded()
+                held, size = [], 0
+        keys, counts = folded()
         blocks = (keys >> cut).astype(np.int64)
         starts = np.flatnonzero(np.concatenate(([True], blocks[1:] != blocks[:-1]))) if len(keys) else np.zeros(0, int)
         for a, b in zip(starts, [*starts[1:], len(keys)], strict=True):
