@@ -77,6 +77,7 @@ class PrefixCounter:
         self.special = regex.compile("|".join(regex.escape(s) for s in vocabulary.specials)) if vocabulary.specials else None
         #: For each left token: which right tokens are stable beside it; at -1000 the token itself.
         self.stable = _Memory(lambda token: {-1000: token})
+        self.pairs = 0  # that `stable` holds
         self.cache = cache
         self.ending = ahocorasick.Automaton()
         for token, i in vocabulary.rank.items():
@@ -119,6 +120,7 @@ class PrefixCounter:
                 fits = follow[start].get(token)
                 if fits is None:
                     fits = follow[start][token] = self.is_stable(follow[start][-1000], token)
+                    self.pairs += 1
                 if not fits:
                     continue
             done += 1
@@ -144,8 +146,8 @@ class PrefixCounter:
     def total(self, text: str) -> int:
         counts = self.counts
         if self.special is not None and self.special.search(text):
-            return sum(1 if special else counts[p] for p, special in self.pieces(text))
-        if _SPACE_RUN.search(text):
+            found = sum(1 if special else counts[p] for p, special in self.pieces(text))
+        elif _SPACE_RUN.search(text):
             found = sum(map(counts.__getitem__, self.split.findall(text)))
         else:
             # No piece reaches over a space that a non-space follows, so what lies between spaces counts by itself.
@@ -158,7 +160,10 @@ class PrefixCounter:
         return self.table(piece.encode("utf-8", "surrogatepass"))[-1]
 
     def trim(self) -> None:
-        """Forget pieces beyond the bound."""
+        """Forget pieces and pairs beyond the bound."""
+        if self.pairs > self.cache:
+            self.stable.clear()
+            self.pairs = 0
         for memory in (self.counts, self.first, self.later):
             if len(memory) > self.cache:
                 memory.clear()
