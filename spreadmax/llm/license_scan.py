@@ -80,10 +80,13 @@ def folded(text: Column) -> Column:
 
 
 def votes(docs: DataFrame) -> DataFrame:
-    """row, doc_id, n_words and one row per match (template columns null where a text has none)."""
+    """doc_id, text_hash, n_words and one row per match; besides, one row without a match for every row of `docs`.
+
+    A text is known by its id and hash, which do not change when a task runs again.
+    """
     words = docs.select(
-        F.monotonically_increasing_id().alias("row"),
         F.col("doc_id").cast("long").alias("doc_id"),
+        F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"),
         F.regexp_extract_all(folded(F.col("text")), F.lit(WORD), F.lit(0)).alias("w"),
     )
     grams = F.transform(
@@ -92,52 +95,55 @@ def votes(docs: DataFrame) -> DataFrame:
             F.xxhash64(x, F.get(F.col("w"), i + 1)).alias("h"), x.alias("w1"), F.get(F.col("w"), i + 1).alias("w2")
         ),
     )
-    hashed = words.select("row", "doc_id", F.size("w").cast("long").alias("n_words"), grams.alias("gs"))
-    rolled = hashed.select("row", "doc_id", "n_words", F.posexplode_outer("gs").alias("pos", "g"))
-    rolled = rolled.select(
-        "row", "doc_id", "n_words", "pos", F.col("g.h").alias("gh"), F.col("g.w1").alias("w1"), F.col("g.w2").alias("w2")
-    )
+    mark = F.array(F.struct(F.lit(None).cast("long").alias("h"), F.lit(None).cast("string").alias("w1"), F.lit(None).cast("string").alias("w2")))
+    names = ["doc_id", "text_hash", "n_words"]
+    # the outer form: the inner one would bring a filter that extracts the words of a text once for each word
+    hashed = words.select("doc_id", "text_hash", F.size("w").cast("long").alias("n_words"), F.concat(mark, grams).alias("gs"))
+    rolled = hashed.select(*names, F.posexplode_outer("gs").alias("pos", "g"))
+    rolled = rolled.select(*names, (F.col("pos") - 1).alias("pos"), F.col("g.h").alias("gh"), F.col("g.w1").alias("w1"), F.col("g.w2").alias("w2"))
     met = rolled.join(F.broadcast(templates(docs.sparkSession)), F.col("gh") == F.col("h"), "left")
     same = F.coalesce((F.col("w1") == F.col("t1")) & (F.col("w2") == F.col("t2")), F.lit(False))
     return (
         met.withColumn("same", same)
-        .filter(F.col("same") | F.col("pos").isNull() | (F.col("pos") == 0))
+        .filter(F.col("same") | (F.col("pos") < 0))
         .select(
-            "row", "doc_id", "n_words", *[F.when(F.col("same"), F.col(c)).alias(c) for c in ("template", "label", "base", "size", "words", "vote", "pos")],
+            *names, *[F.when(F.col("same"), F.col(c)).alias(c) for c in ("template", "label", "base", "size", "words", "vote", "pos")],
             F.when(F.col("same"), F.col("pos") - F.col("at")).cast("long").alias("diagonal"),
         )
     )
 
 
 def scan_spans(docs: DataFrame) -> DataFrame:
-    """One row per verified span (and one without a span for every text): row, doc_id, n_words, label, base, start, stop, score."""
+    """One row per span (and one without a span for every text, with `copies`, the rows of `docs` that have it):
+    doc_id, text_hash, n_words, found, label, base, start, stop, share, copies."""
+    text = ["doc_id", "text_hash", "n_words"]
     by_diagonal = (
         votes(docs)
-        .repartition("row")
-        .groupBy("row", "doc_id", "n_words", "template", "label", "base", "size", "words", "diagonal")
+        .groupBy(*text, "template", "label", "base", "size", "words", "diagonal")
         .agg(
             F.expr("bit_or(shiftleft(1L, vote))").alias("voted"),
             F.min("pos").alias("start"),
             (F.max("pos") + 1).alias("stop"),
+            F.count(F.when(F.col("template").isNull(), 1)).alias("copies"),
         )
     )
-    near = Window.partitionBy("row", "template").orderBy("diagonal")
+    near = Window.partitionBy(*text, "template").orderBy("diagonal")
     apart = (F.col("diagonal") - F.lag("diagonal").over(near) > DRIFT) | F.col("base") | F.lag("diagonal").over(near).isNull()
     merged = (
         by_diagonal.withColumn("first", F.coalesce(apart, F.lit(True)).cast("int"))
         .withColumn("run", F.sum("first").over(near))
-        .groupBy("row", "doc_id", "n_words", "template", "label", "base", "size", "words", "run")
+        .groupBy(*text, "template", "label", "base", "size", "words", "run")
         .agg(
-            F.bit_or("voted").alias("voted"), F.min("start").alias("start"), F.max("stop").alias("stop"), F.min("diagonal").alias("diagonal")
+            F.max("copies").alias("copies"), F.bit_or("voted").alias("voted"), F.min("start").alias("start"), F.max("stop").alias("stop"), F.min("diagonal").alias("diagonal")
         )
     )
     share = F.bit_count("voted") / F.col("size")
     need = F.when(F.col("base") | (F.col("size") <= SHORT), 1.0).otherwise(SHARE)
     fits = F.col("stop") - F.col("start") + 1 <= 2 * F.col("words")
     return merged.select(
-        "row", "doc_id", "n_words", F.coalesce((share >= need) & fits, F.lit(False)).alias("found"),
+        *text, F.coalesce((share >= need) & fits, F.lit(False)).alias("found"),
         "label", "base", F.when(F.col("base"), F.col("diagonal")).otherwise(F.col("start")).cast("long").alias("start"),
-        F.col("stop").cast("long").alias("stop"), share.alias("share"),
+        F.col("stop").cast("long").alias("stop"), share.alias("share"), "copies",
     )
 
 
@@ -147,7 +153,7 @@ def scan_licenses(docs: DataFrame) -> DataFrame:
     names = lambda yes: F.concat_ws(",", F.array_sort(F.collect_set(F.when(yes, F.col("label")))))
     return (
         scan_spans(docs)
-        .groupBy("row", "doc_id", "n_words")
+        .groupBy("doc_id", "text_hash", "n_words")
         .agg(
             F.count(F.when(place, 1)).alias("n_base"),
             F.min(F.when(place, F.col("start"))).alias("first_word"),
@@ -155,8 +161,10 @@ def scan_licenses(docs: DataFrame) -> DataFrame:
             names(place).alias("base_labels"),
             names(F.col("found")).alias("labels"),
             F.coalesce(F.max(F.when(F.col("found"), F.col("share"))), F.lit(0.0)).alias("score"),
+            F.max("copies").alias("copies"),
         )
-        .drop("row")
+        .withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies")))  # repeated rows come back
+        .drop("text_hash", "copies", "copy")
     )
 
 
