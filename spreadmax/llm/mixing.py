@@ -18,6 +18,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from spreadmax.llm.common import columns, fresh
+
 SEED = 20
 #: Without given weights a source's target share is its size to this power.
 FLATTEN = 0.5
@@ -64,35 +66,41 @@ def _table(rate: Column) -> Column:
     return steps["sums"]
 
 
+RESULT = ("rate", "copies", "copy", "mix_key")
+
+
 def replicate(
     docs: DataFrame, weights: dict[str, float] | None = None, flatten: float = FLATTEN, seed: int = SEED
 ) -> DataFrame:
-    """`docs` with __rate, __copies (of the document), __copy (from 1) and __key, one row per copy, not yet shuffled."""
+    """`docs` with rate, copies (of the document), copy (from 1) and mix_key, one row per copy, not yet shuffled.
+
+    A result column whose name is taken gets an underscore; columns of `docs` stay as they are.
+    """
+    rate, copies, copy, mix_key = fresh(docs.columns, *RESULT)
+    of, parts, table, name, drawn = fresh([*docs.columns, rate, copies, copy, mix_key], "of_source", "parts", "distribution", "name", "drawn")
     rates = source_rates(docs, weights, flatten)
-    parts = F.greatest(F.lit(1), F.ceil(F.col("__rate") / PART)).cast("int")
-    rates = (
-        rates.select(F.col("source").alias("__source"), F.col("rate").alias("__rate"))
-        .withColumn("__parts", parts)
-        .withColumn("__table", _table(F.col("__rate") / F.col("__parts")))
-    )
+    rates = rates.select(
+        F.col("source").alias(of), F.col("rate").alias(rate), F.greatest(F.lit(1), F.ceil(F.col("rate") / PART)).cast("int").alias(parts)
+    ).withColumn(table, _table(F.col(rate) / F.col(parts)))
     if rates.count() <= BROADCAST_ROWS:
         rates = F.broadcast(rates)
-    name = F.coalesce(F.col("doc_id").cast("string"), F.md5(F.coalesce(F.col("text"), F.lit(""))))
-    joined = docs.join(rates, F.col("source").eqNullSafe(F.col("__source"))).drop("__source").withColumn("__name", name)
-    drawn = F.transform(
-        F.sequence(F.lit(1), F.col("__parts")),
-        lambda j: uniform(F.lit(str(seed)), j.cast("string"), F.col("__name")),
+    own = F.coalesce(F.col("doc_id").cast("string"), F.md5(F.coalesce(F.col("text"), F.lit(""))))
+    joined = docs.join(rates, F.col("source").eqNullSafe(F.col(of))).drop(of).withColumn(name, own)
+    draws = F.transform(
+        F.sequence(F.lit(1), F.col(parts)),
+        lambda j: uniform(F.lit(str(seed)), j.cast("string"), F.col(name)),
     )
     count = F.aggregate(
-        F.col("__drawn"), F.lit(0), lambda acc, u: acc + F.size(F.filter("__table", lambda c: c <= u))
+        F.col(drawn), F.lit(0), lambda acc, u: acc + F.size(F.filter(table, lambda c: c <= u))
     )
-    counted = joined.withColumn("__drawn", drawn).withColumn("__copies", count).drop("__drawn", "__table", "__parts")
-    copies = counted.filter("__copies > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("__copies"))))
-    key = F.md5(F.concat_ws(":", F.lit(f"order{seed}"), F.col("__copy").cast("string"), F.col("__name")))
-    return copies.withColumn("__key", F.substring(key, 1, 16)).drop("__name")
+    counted = joined.withColumn(drawn, draws).withColumn(copies, count).drop(drawn, table, parts)
+    each = counted.filter(F.col(copies) > 0).withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(copies))))
+    key = F.md5(F.concat_ws(":", F.lit(f"order{seed}"), F.col(copy).cast("string"), F.col(name)))
+    return each.withColumn(mix_key, F.substring(key, 1, 16)).drop(name)
 
 
 def mix(docs: DataFrame, weights: dict[str, float] | None = None, flatten: float = FLATTEN, seed: int = SEED) -> DataFrame:
     """The mixture in a global random order, with the columns of `docs`; copies are repeated rows."""
     out = replicate(docs, weights, flatten, seed)
-    return out.repartition("__key").sortWithinPartitions("__key").select(*[F.col(f"`{c}`") for c in docs.columns])
+    key = fresh(docs.columns, *RESULT)[-1]
+    return out.repartition(key).sortWithinPartitions(key).select(*columns(docs))

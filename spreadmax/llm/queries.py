@@ -62,15 +62,15 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    mixed = replicate(table(spark, sf_dir, "documents"))
-    out = mixed.select(
+    docs = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    out = replicate(docs).select(
         "doc_id",
         "source",
         F.octet_length(F.coalesce("text", F.lit(""))).cast("long").alias("n_bytes"),
-        F.round("__rate", 9).alias("rate"),
-        F.col("__copies").cast("long").alias("copies"),
-        F.col("__copy").cast("long").alias("copy"),
-        F.col("__key").alias("mix_key"),
+        F.round("rate", 9).alias("rate"),
+        F.col("copies").cast("long").alias("copies"),
+        F.col("copy").cast("long").alias("copy"),
+        "mix_key",
     )
     return out.repartition("mix_key").sortWithinPartitions("mix_key")
 

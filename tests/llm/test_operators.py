@@ -255,6 +255,12 @@ def test_license_scan(spark, texts):
     assert {k: sorted(map(str, x)) for k, x in got.items()} == {k: sorted(map(str, x)) for k, x in want.items()}
 
 
+def test_repeated_rows_of_a_license(spark):
+    rows = [(1, "mit license")] * 3 + [(1, "apache license"), (None, "mit license"), (None, "mit license"), (2, ""), (2, ""), (3, None), (3, "")]
+    got = Counter((r["doc_id"], r["n_words"], r["n_base"], r["labels"]) for r in license_scan.scan_licenses(frame(spark, rows)).collect())
+    assert got == {(1, 2, 1, "mit"): 3, (1, 2, 1, "apache"): 1, (None, 2, 1, "mit"): 2, (2, 0, 0, ""): 2, (3, 0, 0, ""): 2}
+
+
 def test_license_notices_with_changes(spark):
     notice = "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"
     changed = notice.replace("source and binary", "source, object and binary")
@@ -371,14 +377,25 @@ def test_mixing(spark, texts):
     size = df.groupBy("source").agg(F.sum(F.octet_length(F.coalesce("text", F.lit(""))) + 1)).collect()
     size = {r[0]: r[1] for r in size}
     assert rates["s0"] * size["s0"] / (rates["s1"] * size["s1"]) == pytest.approx(3)
-    again = sorted(map(str, mixing.replicate(df.repartition(7)).select("doc_id", "__copy", "__key").collect()))
-    assert sorted(map(str, mixing.replicate(df).select("doc_id", "__copy", "__key").collect())) == again
+    again = sorted(map(str, mixing.replicate(df.repartition(7)).select("doc_id", "copy", "mix_key").collect()))
+    assert sorted(map(str, mixing.replicate(df).select("doc_id", "copy", "mix_key").collect())) == again
+
+
+def test_mixing_leaves_columns_of_its_own_names(spark, texts):
+    taken = ["rate", "copies", "copy", "mix_key", "parts", "name", "drawn", "distribution", "of_source", "__rate", "__copies", "__copy", "__key", "__name"]
+    df = frame(spark, texts)
+    for i, c in enumerate(taken):
+        df = df.withColumn(c, F.lit(-i))
+    out, plain = mixing.mix(df), mixing.mix(frame(spark, texts))
+    assert out.columns == df.columns
+    assert sorted(str(r["doc_id"]) for r in out.collect()) == sorted(str(r["doc_id"]) for r in plain.collect())
+    assert out.select(*taken).distinct().collect() == df.select(*taken).distinct().collect()
 
 
 def test_poisson_counts_follow_their_rate(spark):
     rows = [(i, "x" * 9, "en", "rare" if i < 40 else "mass", 9) for i in range(4000)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
-    got = mixing.replicate(df, {"rare": 0.5, "mass": 0.5}).groupBy("source").agg(F.count(F.lit(1)).alias("n"), F.max("__rate").alias("rate")).collect()
+    got = mixing.replicate(df, {"rare": 0.5, "mass": 0.5}).groupBy("source").agg(F.count(F.lit(1)).alias("n"), F.max("rate").alias("rate")).collect()
     by = {r["source"]: r for r in got}
     assert by["rare"]["rate"] == pytest.approx(50) and abs(by["rare"]["n"] - 2000) < 5 * 2000**0.5
     assert by["mass"]["rate"] == pytest.approx(4000 / 2 / 3960) and abs(by["mass"]["n"] - 2000) < 5 * 2000**0.5
