@@ -3,19 +3,24 @@
 Fingerprints that differ in at most 3 bits differ in at most 3 of their 8 bytes,
 so at least 5 positional bytes are shared. Of the 8 triples of positions that
 lie within one half of the word, at least one is then shared whole (5 shared
-positions put 3 into one half). The index lists fingerprints by such triples;
-within a list, shared positional bytes are tallied for each pair, pairs below 5
-are dropped, and the rest is verified by counting differing bits. A list yields
-only a spanning forest of its links, never all pairs of a group of near copies.
+positions put 3 into one half). The index lists fingerprints by such triples.
+Within a list every other position has postings (byte -> members); postings of
+a fingerprint are tallied, members whose tally together with the triple reaches
+5 are retained, and only they are verified by counting differing bits. A list
+yields a spanning forest of its links, never all pairs of a group of copies.
+
 Lists beyond `LIST_ROWS` fingerprints are split by two further positions (two
-equal fingerprints of a triple share at least two of the five others): their
-members agree in 5 bytes, so they live in a space of 2**24 values whatever the
-size of the corpus, and links are found there by probing the possible flips.
+linked fingerprints of a triple share at least two of the five others), so that
+membership itself is the tally of 5. What is still beyond the bound agrees in
+40 bits; the other 24 are cut into 8 parts of 3 bits, of which at least 5 are
+shared, and lists by 5 parts hold 512 fingerprints at most. So no task ever
+holds a list beyond the bound, whatever the size of the corpus.
 
 Defined cases: a null text counts as empty; texts without words have the
 fingerprint zero, which links like any other; equal texts and equal
 fingerprints are one class; documents without an id get the component of their
-class (null if no id is in it); an empty table gives an empty result.
+class (null if no id is in it); an empty table gives an empty result; further
+columns of the input keep their names and values in `one_of_each`.
 """
 
 from __future__ import annotations
@@ -92,50 +97,51 @@ def with_fingerprint(docs: DataFrame, name: str = "fp") -> DataFrame:
     return append_columns(docs, ["text"], [(name, T.LongType())], maker)
 
 
-def _apart(a: np.ndarray, b: np.ndarray | np.uint64) -> np.ndarray:
-    """True where at least SHARED_BYTES positional bytes are shared and at most BITS_APART bits differ."""
-    differ = a ^ b
-    as_bytes = differ.view(np.uint8).reshape(-1, 8)
-    shared = (as_bytes == 0).sum(axis=1) >= SHARED_BYTES
-    out = np.zeros(len(differ), bool)
-    out[shared] = np.bitwise_count(differ[shared]) <= BITS_APART
-    return out
-
+def _tallied(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Positional bytes that each pair shares."""
+    tally = np.zeros(len(a), np.uint8)
+    for p in range(8):
+        tally += a.view(np.uint8)[p::8] == b.view(np.uint8)[p::8]
+    return tally
 
-def _forest(members: np.ndarray) -> list[tuple[int, int]]:
-    """Spanning links of distinct fingerprints: breadth-first, each member compared with those not yet reached."""
-    links: list[tuple[int, int]] = []
-    rest = members
-    while len(rest) > 1:
-        queue, rest = [rest[0]], rest[1:]
-        while queue and len(rest):
-            at = queue.pop()
-            near = _apart(rest, at)
-            if near.any():
-                found = rest[near]
-                links += [(int(at), int(x)) for x in found]
-                queue += list(found)
-                rest = rest[~near]
-    return links
 
+def _linked(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Numbers of the pairs that are retained by their tally and verified."""
+    retained = np.flatnonzero(_tallied(a, b) >= SHARED_BYTES)
+    return retained[np.bitwise_count(a[retained] ^ b[retained]) <= BITS_APART]
 
-def _flips(positions: list[int]) -> np.ndarray:
-    """All values with 1 to 3 bits set within the given byte positions (0 is the lowest)."""
-    bits = [np.uint64(1) << np.uint64(8 * p + b) for p in positions for b in range(8)]
-    return np.array([np.bitwise_or.reduce(c) for k in (1, 2, 3) for c in combinations(bits, k)], np.uint64)
 
-
-def _forest_by_probes(members: np.ndarray, free: list[int]) -> list[tuple[int, int]]:
-    """The same for members that agree outside the three `free` bytes: each probes its 2324 possible neighbours."""
-    flips, left, links = _flips(free), set(members.tolist()), []
-    while left:
-        queue = [left.pop()]
-        while queue and left:
+def _forest(members: np.ndarray, positions: tuple[int, ...] | list[int], need: int) -> list[tuple[int, int]]:
+    """Spanning links of distinct fingerprints, breadth-first: each tallies its postings at `positions`;
+    members with `need` shared bytes that are not yet reached are verified."""
+    n = len(members)
+    columns = members.view(np.uint8).reshape(n, 8)  # the lowest byte first
+    postings = []
+    for p in positions if need > 0 else ():
+        order = np.argsort(columns[:, p], kind="stable")
+        postings.append((p, order, np.searchsorted(columns[order, p], np.arange(257))))
+    left = np.ones(n, bool)
+    links: list[tuple[int, int]] = []
+    for root in range(n):
+        if not left[root]:
+            continue
+        left[root] = False
+        queue = [root]
+        while queue:
             at = queue.pop()
-            found = left.intersection((np.uint64(at) ^ flips).tolist())
-            links += [(at, x) for x in found]
-            queue += found
-            left -= found
+            if postings:
+                tally = np.zeros(n, np.uint8)
+                for p, order, starts in postings:
+                    byte = columns[at, p]
+                    tally[order[starts[byte] : starts[byte + 1]]] += 1
+                retained = np.flatnonzero((tally >= need) & left)
+            else:
+                retained = np.flatnonzero(left)
+            near = retained[np.bitwise_count(members[retained] ^ members[at]) <= BITS_APART]
+            if len(near):
+                left[near] = False
+                links += [(int(members[at]), int(members[x])) for x in near]
+                queue += near.tolist()
     return links
 
 
@@ -157,8 +163,8 @@ def _groups(batches):
         yield key, fps
 
 
-def _links(batches, free_of=None):
-    """Links within lists of sorted (key, fp) rows; with `free_of`, long lists are searched by probing."""
+def _links(batches, others=None):
+    """Links within lists of sorted (key, fp) rows. `others`: the positions beside the three of a key; without it, keys hold 5."""
     for keys, fps in _groups(batches):
         starts = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
         sizes = np.diff(np.append(starts, len(keys)))
@@ -166,12 +172,12 @@ def _links(batches, free_of=None):
         for d in range(1, 8):  # short lists: all their pairs at once, at most 28 each
             short = np.repeat((sizes > d) & (sizes <= 8), sizes)
             at = np.flatnonzero(short[:-d] & (keys[d:] == keys[:-d])) if len(keys) > d else np.zeros(0, int)
-            near = at[_apart(fps[at], fps[at + d])]
+            near = at[_linked(fps[at], fps[at + d])]
             src.append(fps[near])
             dst.append(fps[near + d])
         for a, n in zip(starts[sizes > 8], sizes[sizes > 8], strict=True):
-            members = fps[a : a + n]
-            pairs = _forest(members) if free_of is None or n <= LIST_ROWS else _forest_by_probes(members, free_of(keys[a]))
+            members = np.ascontiguousarray(fps[a : a + n])
+            pairs = _forest(members, (), 0) if others is None else _forest(members, others(int(keys[a])), SHARED_BYTES - 3)
             if pairs:
                 both = np.array(pairs, np.uint64)
                 src.append(both[:, 0])
@@ -181,12 +187,6 @@ def _links(batches, free_of=None):
             yield pa.RecordBatch.from_arrays([pa.array(src.view(np.int64)), pa.array(dst.view(np.int64))], names=["src", "dst"])
 
 
-def _mask(positions: tuple[int, ...]) -> int:
-    """A signed 64-bit mask of the byte positions."""
-    m = sum(0xFF << (8 * p) for p in positions)
-    return m - (1 << 64) if m >> 63 else m
-
-
 def _index(fps: DataFrame, subsets: list[tuple[int, ...]]) -> DataFrame:
     """(key, fp) rows for every subset of positions; keys of different subsets differ in their top byte's number."""
     packed = []
@@ -198,37 +198,51 @@ def _index(fps: DataFrame, subsets: list[tuple[int, ...]]) -> DataFrame:
     return fps.select(F.explode(F.array(*packed)).alias("key"), "fp")
 
 
+def _sized(listed: DataFrame) -> DataFrame:
+    """Lists of two fingerprints or more, with n, their number."""
+    return listed.join(listed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "key")
+
+
+def _searched(listed: DataFrame, others=None) -> DataFrame:
+    rows = listed.select("key", "fp").repartition("key").sortWithinPartitions("key", "fp")
+    return rows.mapInArrow(lambda batches: _links(batches, others), "src long, dst long")
+
+
+#: Keys of five positions, for each triple its ten; the number of one is in bits 40 and up of a key.
+FIVES = [(*t, *two) for t in TRIPLES for two in combinations([p for p in range(8) if p not in t], 2)]
+
+
 def links_of(fps: DataFrame, list_rows: int = LIST_ROWS) -> DataFrame:
     """Distinct (fp) -> (src, dst): links that connect exactly the fingerprints which the 3-bit rule connects."""
-    sides = "src long, dst long"
-    listed = written(_index(fps, TRIPLES), "index")
-    crowded = listed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
-    sized = listed.join(crowded, "key")
+    rest = [[p for p in range(8) if p not in t] for t in TRIPLES]
+    sized = _sized(written(_index(fps, TRIPLES), "index"))
     # long lists never reach a task of this pass; the finer index below has them
-    short = sized.filter(F.col("n") <= list_rows).select("key", "fp")
-    links = short.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_links, sides)
+    links = _searched(sized.filter(F.col("n") <= list_rows), lambda key: rest[key >> 24])
     large = sized.filter(F.col("n") > list_rows).select("key", "fp")
     if not large.limit(1).count():
         return links
-    subsets = []
-    for triple in TRIPLES:
-        others = [p for p in range(8) if p not in triple]
-        subsets += [(*triple, *two) for two in combinations(others, 2)]
-    position = {s: i for i, s in enumerate(subsets)}
-    pieces = []
-    for i, triple in enumerate(TRIPLES):
-        others = [p for p in range(8) if p not in triple]
-        own = large.filter(F.shiftright("key", 24) == i).select("fp")
-        chosen = [(*triple, *two) for two in combinations(others, 2)]
-        part = _index(own, chosen)
-        # renumber: the number within `chosen` becomes the number within all subsets
-        pieces.append(part.select((F.col("key") + F.lit(position[chosen[0]] << 40)).alias("key"), "fp"))
-    finer = pieces[0]
-    for p in pieces[1:]:
-        finer = finer.unionByName(p)
-    free = [[p for p in range(8) if p not in s] for s in subsets]
-    finer = finer.repartition("key").sortWithinPartitions("key", "fp")
-    return links.unionByName(finer.mapInArrow(lambda b: _links(b, lambda key: free[int(key) >> 40]), sides))
+    finer = None
+    for i in range(len(TRIPLES)):
+        own = _index(large.filter(F.shiftright("key", 24) == i).select("fp"), FIVES[10 * i : 10 * i + 10])
+        own = own.select((F.col("key") + F.lit((10 * i) << 40)).alias("key"), "fp")
+        finer = own if finer is None else finer.unionByName(own)
+    sized = _sized(written(finer, "index"))
+    links = links.unionByName(_searched(sized.filter(F.col("n") <= list_rows)))
+    crowded = sized.filter(F.col("n") > list_rows).select("key", "fp")
+    if not crowded.limit(1).count():
+        return links
+    return links.unionByName(_searched(_sized(written(_by_parts(crowded), "index"))))
+
+
+def _by_parts(crowded: DataFrame) -> DataFrame:
+    """(key, fp) rows for five of the eight parts of the 24 bits that a key leaves open, with keys of their own."""
+    free = F.array(*[F.array(*[F.lit(8 * p) for p in range(8) if p not in five]) for five in FIVES])
+    byte = lambda k: f"(shiftrightunsigned(fp, open[{k}]) & 255L)"
+    bits = F.expr(f"{byte(0)} | shiftleft({byte(1)}, 8) | shiftleft({byte(2)}, 16)")
+    opened = crowded.withColumn("open", F.get(free, F.shiftright("key", 40).cast("int"))).select("key", "fp", bits.alias("bits"))
+    part = lambda k: F.shiftright("bits", 3 * k).bitwiseAND(7)
+    keys = [F.xxhash64("key", F.lit(i), *[part(k) for k in five]) for i, five in enumerate(combinations(range(8), 5))]
+    return opened.select(F.explode(F.array(*keys)).alias("key"), "fp")
 
 
 def near_duplicates(docs: DataFrame, list_rows: int = LIST_ROWS) -> DataFrame:

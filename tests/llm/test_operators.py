@@ -232,11 +232,39 @@ def test_simhash_links_of_crowded_lists(spark):
                 assert (find(signed[a][0]) == find(signed[b][0])) == (roots[a] == roots[b])
 
 
-def test_probing_forest_equals_pairwise():
+def test_forests_connect_what_pairs_connect():
     rng = random.Random(5)
-    members = np.array(sorted({(0xABCDEF0123 << 24) | (rng.getrandbits(3) << rng.randrange(21)) for _ in range(120)}), np.uint64)
-    by_pairs, by_probes = simhash._forest(members), simhash._forest_by_probes(members, [0, 1, 2])
-    assert len(by_pairs) == len(by_probes)
+    members = sorted({(0xABCDEF0000 << 24) | (rng.getrandbits(3) << rng.randrange(37)) ^ (rng.getrandbits(4) << rng.randrange(36)) for _ in range(300)})
+    roots = _components(members)
+    found = simhash._forest(np.array(members, np.uint64), [0, 1, 2, 3, 4], 2)
+    assert len(found) == len(members) - len(set(roots)) and all(bin(a ^ b).count("1") <= 3 for a, b in found)
+    close = np.array(sorted({(0xABCDEF0123 << 24) | (rng.getrandbits(3) << rng.randrange(21)) for _ in range(120)}), np.uint64)
+    assert len(simhash._forest(close, (), 0)) == len(close) - len(set(_components(close.tolist())))
+
+
+def test_simhash_lists_of_one_bound(spark):
+    """Thousands of fingerprints that agree in 5 bytes: no list of the last index is long, components stay those of brute force."""
+    rng = random.Random(12)
+    prints = sorted({(0x1234567890 << 24) | rng.getrandbits(24) for _ in range(1500)} | {0x1234567890 << 24 | 1 << k for k in range(24)})
+    roots = _components(prints)
+    df = spark.createDataFrame([(p,) for p in prints], "fp long")
+    ids = {p: p for p in prints}
+
+    def find(x):
+        while ids[x] != x:
+            x = ids[x]
+        return x
+
+    for r in simhash.links_of(df, 100).collect():
+        assert bin(r["src"] ^ r["dst"]).count("1") <= 3
+        ids[find(r["src"])] = find(r["dst"])
+    by = defaultdict(set)
+    for p, root in zip(prints, roots, strict=True):
+        by[root].add(find(p))
+    assert all(len(x) == 1 for x in by.values()) and len({find(p) for p in prints}) == len(set(roots))
+    key = simhash.FIVES.index((4, 5, 6, 3, 7)) << 40
+    lists = simhash._by_parts(df.select(F.lit(key).alias("key"), "fp")).groupBy("key").count().agg(F.max("count")).head()[0]
+    assert lists <= 512
 
 
 def test_license_scan(spark, texts):
