@@ -6,13 +6,16 @@ its largest different responses (so that one chance word and many bad ones are
 told apart), and a logistic layer reads these maxima. The model is trained by
 Adam on a bounded, hash-chosen sample of labelled rows; gradients reach only
 the words at the maxima. Scores never see the language; decision thresholds of
-`toxic_by_language` are calibrated per language on the scores of all labelled
-rows that are not held out, counted by bins of their log odds.
+`toxic_by_language` are calibrated per language on all labelled rows that are
+not held out, counted by bins of the log odds of their scores. Rows that the
+net was trained on get scores of nets trained without them, in inner folds of
+the sample; all others get the scores of the net itself.
 
 Defined cases: a null text counts as empty; texts without words get the score
 of empty maxima; of labels of one id that disagree the smallest counts, and
 repeated rows are learned from once; without usable labels of both kinds the score is the share of
-the label (0.5 without any); an empty table gives an empty result.
+the label (0.5 without any); an empty table gives an empty result; columns of
+the input keep their names and values in `drop_toxic`.
 """
 
 from __future__ import annotations
@@ -25,16 +28,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from spreadmax.llm.common import append_columns, text_bytes, words_of
+from spreadmax.llm.common import append_columns, columns, fresh, text_bytes, words_of
 from spreadmax.llm.quality import held_out, labelled_ids, sampled_ids
 from spreadmax.session import written
 
+#: Labelled rows that the net is trained on, and bytes of their texts that the driver gets, at most.
 SAMPLE_ROWS = 3_000
+SAMPLE_BYTES = 64 << 20
+#: Inner folds of the sample.
+FOLDS = 3
 BUCKETS = 1 << 15
 WIDTHS = (1, 2, 3)
 FILTERS = 6
-#: Largest different responses that the pooling of a filter keeps.
-KEEP = 2
+#: Largest different responses that the pooling of a filter keeps: of 1, 2 and 3 the one with the least log loss in inner folds of training rows.
+KEEP = 3
 SIZE = 8
 #: Bytes of a word's beginnings that have an embedding of their own.
 BEGINNINGS = (4, 5, 6, 7)
@@ -262,27 +269,54 @@ def train(texts: list[bytes], y: np.ndarray, epochs: int = 6, batch: int = 64, r
     return net
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> ConvNet:
-    """The net, trained on at most `rows` labelled rows."""
+def crossfit(texts: list[bytes], y: np.ndarray, folds: int = FOLDS) -> np.ndarray:
+    """The score of each text by a net that was trained without its fold; folds take turns within each class."""
+    fold = np.zeros(len(y), np.int64)
+    for label in (0, 1):
+        own = np.flatnonzero(y == label)
+        fold[own] = np.arange(len(own)) % folds
+    out = np.zeros(len(y))
+    for f in range(folds):
+        rest, own = np.flatnonzero(fold != f), np.flatnonzero(fold == f)
+        out[own] = Scorer(train([texts[i] for i in rest], y[rest])).score([texts[i] for i in own])
+    return out
+
+
+def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, most: int = SAMPLE_BYTES) -> tuple[ConvNet, dict[int, float]]:
+    """The net, trained on at most `rows` labelled rows of at most `most` bytes, and the scores of these rows by inner folds."""
     known = _training_ids(labels)
     # toxic rows are rare: half of the bound is theirs
     ids = sampled_ids(known.filter("y = 1"), rows // 2).unionByName(sampled_ids(known.filter("y = 0"), rows // 2))
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
     # rows that repeat an id are one, so the bound on ids bounds what the driver gets
     once = own.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "y").agg(F.min(F.struct("text")).alias("row"))
-    got = sorted(once.select("doc_id", "y", "row.text").collect(), key=lambda r: r["doc_id"])
-    return train([bytes(r["text"] or b"") for r in got], np.array([r["y"] for r in got]))
+    once = written(once.select("doc_id", "y", F.coalesce("row.text", F.lit(b"")).alias("text")), "sample")
+    sizes = once.select("doc_id", "y", F.octet_length("text").alias("n"), F.xxhash64("doc_id").alias("h")).collect()  # at most `rows`
+    kept, left = [], {0.0: most // 2, 1.0: most // 2}
+    for r in sorted(sizes, key=lambda r: (r["h"], r["doc_id"])):
+        left[r["y"]] = left.get(r["y"], 0) - r["n"]
+        if left[r["y"]] >= 0:
+            kept.append(r["doc_id"])
+    if len(kept) < len(sizes):
+        once = once.join(F.broadcast(docs.sparkSession.createDataFrame([(i,) for i in kept], "doc_id long")), "doc_id")
+    got = sorted(once.collect(), key=lambda r: r["doc_id"])
+    texts, y = [bytes(r["text"]) for r in got], np.array([r["y"] for r in got])
+    inner = dict(zip([r["doc_id"] for r in got], crossfit(texts, y).tolist(), strict=True)) if len(got) else {}
+    return train(texts, y), inner
 
 
 def _training_ids(labels: DataFrame) -> DataFrame:
     return labelled_ids(labels, "toxic", ~held_out(5, 0))
 
 
-def score_counts(scored: DataFrame, labels: DataFrame, least: int = LEAST) -> DataFrame:
+def score_counts(scored: DataFrame, labels: DataFrame, inner: dict[int, float] | None = None, least: int = LEAST) -> DataFrame:
     """lang, bin, clean, toxic, low, high: all labelled training rows of `scored` (doc_id, lang, score) by log odds
-    of their score, for the languages with `least` rows of both kinds; low and high are the scores that a bin holds."""
+    of their score, for the languages with `least` rows of both kinds; low and high are the scores that a bin holds.
+    `inner`: scores that stand for those of the rows that the net was trained on."""
     own = scored.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct(F.col("lang").cast("string").alias("lang"), "score").alias("row"))
-    once = own.join(_training_ids(labels), "doc_id").groupBy("doc_id", "y").agg(F.min("row").alias("row")).select("y", "row.*")
+    once = own.join(_training_ids(labels), "doc_id").groupBy("doc_id", "y").agg(F.min("row").alias("row"))
+    other = scored.sparkSession.createDataFrame(sorted((inner or {}).items()), "doc_id long, inner double")  # at most SAMPLE_ROWS
+    once = once.join(F.broadcast(other), "doc_id", "left").select("y", "row.lang", F.coalesce("inner", "row.score").alias("score"))
     odds = F.ln(F.col("score") / (1 - F.col("score")))
     place = F.when(F.col("score") >= 1, ODDS).when(F.col("score") <= 0, -ODDS).otherwise(F.greatest(F.lit(-ODDS), F.least(F.lit(ODDS), odds)))
     number = lambda y: F.sum((F.col("y") == y).cast("long"))
@@ -307,9 +341,9 @@ def calibrate(counts: list) -> dict[str, float]:
     return out
 
 
-def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS, keep_all: bool = False) -> DataFrame:
-    """doc_id, held_out, score, predicted, toxic_by_language; with `keep_all`, `docs` and score, toxic_by_language."""
-    net = fit_toxicity(docs, labels, rows)
+def _scored(docs: DataFrame, labels: DataFrame, rows: int, score: str, toxic: str) -> DataFrame:
+    """`docs` with the columns `score` and `toxic`: whether the score reaches the threshold of its language."""
+    net, inner = fit_toxicity(docs, labels, rows)
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(net)  # of fixed size
 
@@ -317,21 +351,23 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS,
         scorer = Scorer(shared.value)
         return lambda texts: [scorer.score(text_bytes(texts))]
 
-    own = docs if keep_all else docs.select("doc_id", "text", *[c for c in ("lang",) if c in docs.columns])
-    scored = append_columns(own, ["text"], [("score", T.DoubleType())], maker)
-    scored = scored if keep_all else scored.drop("text")
+    scored = append_columns(docs, ["text"], [(score, T.DoubleType())], maker)
     limit = F.lit(0.5)
     if "lang" in docs.columns:
         # a table of its own: thresholds come from the scores of all labelled rows, and no text is scored twice
         scored = written(scored, "scored")
-        thresholds = calibrate(score_counts(scored, labels).collect())  # at most 2 * ODDS * BINS + 1 rows a language
-        for lang, cut in sorted(thresholds.items()):
+        # at most 2 * ODDS * BINS + 1 rows a language
+        counts = score_counts(scored.select("doc_id", "lang", F.col(f"`{score}`").alias("score")), labels, inner).collect()
+        for lang, cut in sorted(calibrate(counts).items()):
             limit = F.when(F.col("lang") == lang, cut).otherwise(limit)
-    scored = scored.withColumn("toxic_by_language", F.col("score") >= limit)
-    if keep_all:
-        return scored
-    return scored.select(
-        F.col("doc_id").cast("long").alias("doc_id"),
+    return scored.withColumn(toxic, F.col(f"`{score}`") >= limit)
+
+
+def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -> DataFrame:
+    """doc_id, held_out, score, predicted, toxic_by_language."""
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *[c for c in ("lang",) if c in docs.columns])
+    return _scored(own, labels, rows, "score", "toxic_by_language").select(
+        "doc_id",
         held_out(5, 0).alias("held_out"),
         "score",
         (F.col("score") >= 0.5).cast("int").alias("predicted"),
@@ -340,5 +376,6 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS,
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """`docs` without those above the threshold of their language, same columns."""
-    return score_toxicity(docs, labels, keep_all=True).filter("not toxic_by_language").select(*[F.col(f"`{c}`") for c in docs.columns])
+    """`docs` without those above the threshold of their language, same columns and values."""
+    score, toxic = fresh(docs.columns, "score", "toxic")
+    return _scored(docs, labels, SAMPLE_ROWS, score, toxic).filter(~F.col(toxic)).select(*columns(docs))

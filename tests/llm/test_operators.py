@@ -527,6 +527,9 @@ def test_quality_and_toxicity_on_labels(spark):
     assert np.mean([r["predicted"] == truth[r["doc_id"]][1] for r in held]) > 0.95
     kept = toxicity.drop_toxic(df, lab)
     assert kept.columns == df.columns and kept.count() < len(docs)
+    left = Counter(str(r) for r in df.collect())
+    left.subtract(str(r) for r in kept.collect())
+    assert min(left.values()) == 0  # every row that stays is one of the input, in all columns
 
 
 def test_thresholds_count_all_labelled_rows(spark):
@@ -550,6 +553,22 @@ def test_thresholds_count_all_labelled_rows(spark):
     assert sum(r["clean"] + r["toxic"] for r in counts) == len(own) > 80
 
 
+def test_sample_is_bounded_in_bytes(spark):
+    rng, v = random.Random(2), vocabulary(2)
+    docs = [(i, " ".join(rng.choice(v) for _ in range(2000 if i % 9 == 4 else 20)) + (" vileword" if i % 3 == 0 else "")) for i in range(120)]
+    lab = spark.createDataFrame([(i, 1, int(i % 3 == 0)) for i in range(120)], "doc_id long, quality int, toxic int")
+    whole, bounded = ({i for i in toxicity.fit_toxicity(frame(spark, docs), lab, most=most)[1]} for most in (1 << 30, 40_000))
+    assert bounded < whole and sum(len(t) for i, t in docs if i in bounded) <= 40_000 and len(bounded) > 20
+
+
+def test_inner_folds_never_see_their_rows():
+    texts = [b"vileword plain" if i % 2 else b"plain words" for i in range(60)]
+    y = np.array([float(i % 2) for i in range(60)])
+    assert (((toxicity.crossfit(texts, y) >= 0.5) == y).mean()) == 1
+    y[0] = 1.0  # a label that the text does not explain: nets without this row score it as the others of its text
+    assert toxicity.crossfit(texts, y)[0] < 0.5
+
+
 def test_blocks_of_long_texts_score_alike(monkeypatch):
     net = toxicity.ConvNet(3)
     rng, v = random.Random(6), vocabulary(6)
