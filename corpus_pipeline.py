@@ -4,6 +4,12 @@ weights, and what is left is dealt to shards.
 
 Every stage takes (spark, docs, sf_dir) and returns a DataFrame that is written
 as Parquet and read again as the next stage's docs.
+
+Defined cases: null and empty texts are documents like any other (without words
+they are not toxic by any word, and near copies of each other); documents
+without an id stay in near_dedup; repeated rows are judged alike, and each has
+copies of its own; an empty table stays empty. All stages but the last return
+the columns they got.
 """
 
 from __future__ import annotations

@@ -215,7 +215,10 @@ def cut_links(groups: DataFrame) -> DataFrame:
 
 
 def shard_documents(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
-    """doc_id, size, text_crc32, law ('rows'), shard, slot, grown_shard (null), group_size."""
+    """doc_id, size, text_crc32, law ('rows'), shard, slot, grown_shard (null), group_size, links_cut.
+
+    links_cut: the linked documents that are in other shards; half the sum over all documents is the cut.
+    """
     text = F.coalesce(F.col("text"), F.lit(""))
     narrow = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
@@ -254,11 +257,12 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS)
             ),
         )["shard"]
         placed = ranked.join(groups, GROUP).withColumn("shard", at.cast("int"))
+        placed = placed.withColumn("links_cut", F.col("n") - F.get("c", F.col("shard")))
     rest = _sums([q - n for q, n in zip(quota, load, strict=True)])
     alone = _ranked(free.withColumn("one", F.lit(1)), ["one"], F.lit(total - linked_rows), 64).withColumn(
         "shard", _interval(F.col("rank"), rest)
-    )
-    columns = ["doc_id", "size", "text_crc32", "n", "shard"]
+    ).withColumn("links_cut", F.lit(0).cast("long"))
+    columns = ["doc_id", "size", "text_crc32", "n", "shard", "links_cut"]
     both = alone.select(*columns) if placed is None else alone.select(*columns).unionByName(placed.select(*columns))
     both = written(both, "dealt")
     slotted = _ranked(both, ["shard"], F.lit(max(quota, default=0)), 16)
@@ -271,4 +275,5 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS)
         F.col("rank").cast("long").alias("slot"),
         F.lit(None).cast("int").alias("grown_shard"),
         F.coalesce("n", F.lit(1)).cast("long").alias("group_size"),
+        "links_cut",
     )
