@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadmax.functions.hashing import constant_list, hash31, kept
@@ -12,7 +12,7 @@ from spreadmax.operators.gains import component_sizes, initial_gains, marginal_g
 from spreadmax.operators.graph import CascadeGraph, degrees
 from spreadmax.operators.sampling import SCORE_SEED, fused_sample, sample_edges
 from spreadmax.operators.selection import Selection, lazy_greedy
-from spreadmax.session import written
+from spreadmax.session import release, rewritten, written
 
 
 def _spreads(g: CascadeGraph, seeds: list[int], candidates: list[int], runs: int, keep, keys: DataFrame) -> dict[int, float]:
@@ -34,28 +34,34 @@ def _sims(g: CascadeGraph, runs: int) -> DataFrame:
     return g.edges.sparkSession.range(runs).select(F.col("id").cast("int").alias("sim"))
 
 
-def _all_ids(g: CascadeGraph) -> list[int]:
-    return [r["id"] for r in g.vertices.orderBy("id").collect()]
+def simulated_spreads(g: CascadeGraph, seeds: list[int], runs: int, seed: int = SCORE_SEED) -> DataFrame:
+    """(id, gain_sum): the mean reach of seeds + {id} of every vertex that is not a seed, on fresh samples; n x runs starts."""
+    each = F.explode(F.array(F.col("id"), *[F.lit(v).cast("long") for v in seeds]))
+    rest = g.vertices.filter(~F.col("id").isin(seeds)) if seeds else g.vertices
+    starts = rest.select(F.col("id").alias("cand"), each.alias("id")).select("*", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("sim"))
+    found = reach_loop(g.arcs.select("u", "v", "h", "thr"), starts, ["cand", "sim"], _fresh_draw(seed))
+    return found.groupBy(F.col("cand").alias("id")).agg((F.count(F.lit(1)) / runs).alias("gain_sum"))
 
 
 def plain_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED) -> Selection:
     """Every vertex simulated in every round, on fresh samples: for small graphs only."""
     out, sigma = Selection(), 0.0
-    ids = _all_ids(g)
-    for r in range(min(k, len(ids))):
-        rest = [v for v in ids if v not in {x for x, _ in out.seeds}]
-        spread = _spreads(g, [v for v, _ in out.seeds], rest, runs, _fresh_draw(seed + r), _sims(g, runs))
-        out.visits += len(rest)
-        best = min(rest, key=lambda v: (-spread[v], v))
-        out.seeds.append((best, round(spread[best] - sigma, 6)))
-        sigma = spread[best]
+    for r in range(k):
+        spreads = written(simulated_spreads(g, [v for v, _ in out.seeds], runs, seed + r), "spreads")
+        best = spreads.orderBy(F.desc("gain_sum"), "id").limit(1).collect()
+        if not best:
+            break
+        out.visits += spreads.count()
+        release(spreads)
+        out.seeds.append((best[0]["id"], round(best[0]["gain_sum"] - sigma, 6)))
+        sigma = best[0]["gain_sum"]
     return out
 
 
 def lazy_forward(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED, lookahead: bool = False, ahead: int = 8) -> Selection:
     """A lazy queue whose first bounds come from simulating every vertex. `lookahead` also simulates a visited
     vertex beside the best one of its round, in the same loop; the seeds are the same, the visits at most as many."""
-    first = _spreads(g, [], _all_ids(g), runs, _fresh_draw(seed), _sims(g, runs))
+    first = written(simulated_spreads(g, [], runs, seed), "spreads")
     return _simulated_queue(g, k, runs, seed, first, ahead, Selection(), lookahead)
 
 
@@ -70,9 +76,12 @@ def _mean_reach(g: CascadeGraph, sets: list[tuple[tuple[int, ...], int]], runs:
 
 
 def _simulated_queue(
-    g: CascadeGraph, k: int, runs: int, seed: int, first: dict[int, float], ahead: int, out: Selection, lookahead: bool = False
+    g: CascadeGraph, k: int, runs: int, seed: int, first: DataFrame, ahead: int, out: Selection, lookahead: bool = False
 ) -> Selection:
-    """The queue with fresh simulations: the draws of a gain depend on the number of seeds it is given, nothing else."""
+    """The queue with fresh simulations: the draws of a gain depend on the number of seeds it is given, nothing else.
+
+    `first` (id, gain_sum) is fetched in blocks, as far as the queue needs it.
+    """
     sigmas: dict[tuple[int, ...], float] = {(): 0.0}
 
     def gains(wanted: list[tuple[int, ...]]) -> list[float]:
@@ -91,6 +100,7 @@ def _simulated_queue(
         return dict(zip(stale, both, strict=False)), dict(zip(stale, both[len(stale) :], strict=True))
 
     out.seeds, out.visits = lazy_greedy(first, evaluate, k, ahead, beside if lookahead else None)
+    release(first)
     return out
 
 
@@ -107,6 +117,7 @@ def component_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED)
         else:
             gains = initial_gains(g.vertices, memo, component_sizes(memo), runs)
         best = gains.orderBy(F.desc("gain_sum"), "id").limit(1).collect()
+        release(memo)
         if not best:
             break
         out.seeds.append((best[0]["id"], round(best[0]["gain_sum"] / runs, 6)))
@@ -114,30 +125,25 @@ def component_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED)
     return out
 
 
-def _component_gains(g: CascadeGraph, runs: int, sampled: DataFrame) -> DataFrame:
-    memo = written(components_local(sampled), "memo")
-    return initial_gains(g.vertices, memo, component_sizes(memo), runs)
-
-
 def hybrid_lazy_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED, ahead: int = 8) -> Selection:
     """One component round for all first bounds, then the lazy queue with fresh simulations: the sequential baseline."""
-    gains = _component_gains(g, runs, sample_edges(g, runs, seed))
-    first = {r["id"]: r["gain"] for r in gains.select("id", "gain").collect()}  # the queue of the baseline holds every vertex
+    memo = written(components_local(sample_edges(g, runs, seed)), "memo")
+    gains = initial_gains(g.vertices, memo, component_sizes(memo), runs)
+    first = written(gains.select("id", F.col("gain").alias("gain_sum")), "gains")
+    release(memo)
     return _simulated_queue(g, k, runs, seed, first, ahead, Selection())
 
 
 def fused_greedy(g: CascadeGraph, k: int, runs: int, seed: int = 7, ahead: int = 8) -> Selection:
     """Hash draws in place of stored samples, one simulation after the other, no memo: gains are re-simulated on the same draws."""
     spark = g.edges.sparkSession
-    total = None
+    held, total = None, None
     for r in range(runs):  # simulations one by one, as the variant is described
-        one = fused_sample(g, r + 1, seed, first=r)
-        gains = _component_gains_of_one(g, one)
+        memo = components_local(fused_sample(g, r + 1, seed, first=r))
+        gains = initial_gains(g.vertices, memo, component_sizes(memo), 1).select("id", "gain_sum")
         total = gains if total is None else total.unionByName(gains)
-        if r % 8 == 7:
-            total = written(total.groupBy("id").agg(F.sum("gain_sum").alias("gain_sum")), "total")
-    total = total.groupBy("id").agg(F.sum("gain_sum").alias("gain_sum"))
-    first = {r["id"]: r["gain_sum"] for r in total.collect()}
+        if r % 8 == 7 or r + 1 == runs:
+            held = total = rewritten(held, total.groupBy("id").agg(F.sum("gain_sum").alias("gain_sum")), "total")
     xs = constant_list(spark, runs, seed)
     keys = spark.createDataFrame(list(enumerate(xs)), "sim int, x int")
     sigmas: dict[tuple[int, ...], int] = {}
@@ -151,30 +157,20 @@ def fused_greedy(g: CascadeGraph, k: int, runs: int, seed: int = 7, ahead: int =
         return {v: round(spread[v] * runs) - sigmas[key] for v in stale}
 
     out = Selection()
-    out.seeds, out.visits = lazy_greedy(first, evaluate, k, ahead)
+    out.seeds, out.visits = lazy_greedy(total, evaluate, k, ahead)
     out.seeds = [(v, int(x)) for v, x in out.seeds]
+    release(total)
     return out
 
 
-def _component_gains_of_one(g: CascadeGraph, sampled: DataFrame) -> DataFrame:
-    memo = components_local(sampled)
-    return initial_gains(g.vertices, memo, component_sizes(memo), 1).select("id", "gain_sum")
-
-
 def degree_seeds(edges: DataFrame, k: int) -> DataFrame:
     """(rank, id, deg): the k vertices of largest degree."""
-    from pyspark.sql import Window
-
     top = degrees(edges).orderBy(F.desc("deg"), "id").limit(k)
-    return top.select(F.row_number().over(Window.orderBy(F.desc("deg"), "id")).alias("rank"), "id", "deg")
+    return top.select(F.row_number().over(Window.orderBy(F.desc("deg"), "id")).alias("rank"), "id", "deg")  # k rows
 
 
 def random_seeds(vertices: DataFrame, k: int, seed: int = 5) -> DataFrame:
     """(rank, id): the first k vertices in the order of a seeded hash."""
-    from pyspark.sql import Window
-
     h = hash31("id", seed)
     top = vertices.withColumn("r", h).orderBy("r", "id").limit(k)
-    return top.select(F.row_number().over(Window.orderBy("r", "id")).alias("rank"), "id")
-
-
+    return top.select(F.row_number().over(Window.orderBy("r", "id")).alias("rank"), "id")  # k rows

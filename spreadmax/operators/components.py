@@ -18,9 +18,11 @@ from spreadmax.functions.hashing import constant_list, draw
 from spreadmax.operators.connectivity import contracted_components
 from spreadmax.operators.graph import CascadeGraph
 from spreadmax.operators.sampling import fused_sample
-from spreadmax.session import written
+from spreadmax.session import release, rewritten, written
 
-PUSHES = ("live", "all", "pull")
+PUSHES = ("live", "all", "pull", "auto")
+#: 'auto' sends from all vertices as long as live ones have this share of the arcs: choosing arcs then costs more than it saves.
+DENSE_SHARE = 0.3
 
 
 @dataclass
@@ -75,7 +77,8 @@ def components_lanes(
     g: CascadeGraph, runs: int, width: int = 8, seed: int = 7, push: str = "live", sampler: str = "xor", trace: Trace | None = None
 ) -> DataFrame:
     """Batched label propagation. push: 'live' sends from changed vertices, 'all' from every vertex,
-    'pull' lets vertices beside changed ones read all their neighbours."""
+    'pull' lets vertices beside changed ones read all their neighbours, 'auto' takes 'all' in rounds whose
+    live vertices have many arcs and 'live' in the others."""
     if push not in PUSHES:
         raise ValueError(f"push is one of {PUSHES}")
     spark = g.edges.sparkSession
@@ -83,11 +86,16 @@ def components_lanes(
     arcs = written(g.arcs.select("u", "v", "h", "thr"), "arcs")
     columns = [f"l{j}" for j in range(width)]
     lanes = written(lanes_init(g, batches, width).withColumn("live", F.lit(True)), "lanes")
-    n = 0
+    degree = written(arcs.groupBy("u").agg(F.count(F.lit(1)).alias("deg")), "degree") if push == "auto" else None
+    every = arcs.count() if push == "auto" else 0
+    n, dense = 0, True
     while True:
-        if push == "all":
+        if degree is not None and n:
+            sent = lanes.filter("live").select(F.col("id").alias("u")).distinct().join(degree, "u").agg(F.sum("deg")).head()[0]
+            dense = (sent or 0) > DENSE_SHARE * every
+        if push == "all" or (push == "auto" and dense):
             senders, over = lanes, arcs
-        elif push == "live":
+        elif push in ("live", "auto"):
             senders, over = lanes.filter("live"), arcs
         else:
             beside = arcs.join(lanes.filter("live").select(F.col("id").alias("u")).distinct(), "u", "left_semi").select("v").distinct()
@@ -98,6 +106,7 @@ def components_lanes(
         if trace is not None:
             visited = senders.select(F.col("id").alias("u")).join(over, "u").count()
             trace.rounds.append({"round": n, "live": changed, "arcs_visited": visited})
+        release(lanes)
         lanes, n = after, n + 1
         if not changed:
             break
@@ -107,9 +116,12 @@ def components_lanes(
 
 
 def without_singletons(memo: DataFrame) -> DataFrame:
-    """Drop components of one vertex: those whose label is their only member."""
-    several = memo.filter("id <> label").select("sim", "label").distinct()
-    return memo.join(several, ["sim", "label"], "left_semi").select("sim", "id", "label")
+    """Drop components of one vertex: those whose label is their only member. Only rows that are their own label
+    are joined, so a giant component is no hot key."""
+    others = memo.filter("id <> label")
+    several = others.select("sim", "label").distinct()
+    firsts = memo.filter("id = label").join(several, ["sim", "label"], "left_semi")
+    return others.select("sim", "id", "label").unionByName(firsts.select("sim", "id", "label"))
 
 
 def components_minlabel(sampled: DataFrame) -> DataFrame:
@@ -122,12 +134,11 @@ def components_minlabel(sampled: DataFrame) -> DataFrame:
     while labels.filter("live").limit(1).count():
         sent = labels.filter("live").select("sim", F.col("id").alias("u"), "label")
         least = sent.join(arcs, ["sim", "u"]).groupBy("sim", F.col("v").alias("id")).agg(F.min("label").alias("m"))
-        labels = written(
-            labels.join(least, ["sim", "id"], "left").select(
-                "sim", "id", F.least("label", "m").alias("label"), F.coalesce(F.col("m") < F.col("label"), F.lit(False)).alias("live")
-            ),
-            "labels",
+        after = labels.join(least, ["sim", "id"], "left").select(
+            "sim", "id", F.least("label", "m").alias("label"), F.coalesce(F.col("m") < F.col("label"), F.lit(False)).alias("live")
         )
+        labels = rewritten(labels, after, "labels")
+    release(arcs)
     return labels.select("sim", "id", "label")
 
 
@@ -165,13 +176,14 @@ WAVE = 1024
 
 
 def components(
-    g: CascadeGraph, runs: int, strategy: str = "local", seed: int = 7, sampler: str = "xor", width: int = 8, wave: int = WAVE
+    g: CascadeGraph, runs: int, strategy: str = "auto", seed: int = 7, sampler: str = "xor", width: int = 8, wave: int = WAVE
 ) -> DataFrame:
     """The memo, by the named strategy; 'auto' asks the planner. More than `wave` simulations are solved wave by wave."""
     if strategy == "auto":
-        from spreadmax.plans.planner import choose
+        from spreadmax.plans.planner import choose, wave_of
 
-        strategy = choose(g, runs, width, seed, sampler).strategy
+        plan = choose(g, runs, width, seed, sampler)
+        strategy, wave = plan.strategy, min(wave, wave_of(plan, runs))
     if strategy == "lanes":
         return components_lanes(g, runs, width, seed, sampler=sampler)
     solve = {"local": components_local, "minlabel": components_minlabel, "star": components_star}[strategy]

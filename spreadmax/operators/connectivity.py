@@ -12,17 +12,20 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spreadmax.session import written
+from spreadmax.session import release, written
 
 
 def _flatten(parent: DataFrame, by: list[str], keep) -> DataFrame:
-    """Pointer jumping until every vertex points at a root."""
+    """Pointer jumping until every vertex points at a root; `parent` is a table of its own, which goes."""
+    parent_table = parent
     while True:
         above = parent.select(*by, F.col("id").alias("root"), F.col("root").alias("upper"))
         jumped = parent.join(above, [*by, "root"], "left").select(
             *by, "id", F.coalesce("upper", "root").alias("root"), (F.col("upper") < F.col("root")).alias("moved")
         )
-        jumped = keep(jumped)
+        after = keep(jumped)
+        release(parent_table)
+        jumped = parent_table = after
         if not jumped.filter("moved").limit(1).count():
             return jumped.select(*by, "id", "root")
         parent = jumped.select(*by, "id", "root")

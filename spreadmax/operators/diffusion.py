@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from spreadmax.functions.hashing import INT_MAX, hash31, kept, sim_constants
 from spreadmax.operators.graph import CascadeGraph, degrees, symmetrise
-from spreadmax.operators.sampling import SCORE_SEED
+from spreadmax.operators.sampling import SCORE_SEED, sample_edges
 from spreadmax.session import written
 
 
@@ -114,9 +114,31 @@ def spread_mc(g: CascadeGraph, seeds: DataFrame, runs: int, model: str = "ic", s
     return reached_per_sim(found)
 
 
-def score_seeds(g: CascadeGraph, seeds: DataFrame, runs: int = 1000, seed: int = SCORE_SEED) -> DataFrame:
-    """(sigma, se): the independent score that all methods are judged by."""
-    per_sim = spread_mc(g, seeds, runs, "ic", seed)
+def reached_by_components(g: CascadeGraph, seeds: DataFrame, runs: int, seed: int = SCORE_SEED) -> DataFrame:
+    """(sim, reached) on the same draws as `cascade_rounds`, without rounds: in an undirected graph seeds reach
+    the components of a sample that hold one of them. `seeds` are broadcast: they are few."""
+    from spreadmax.operators.components import components_local, components_star
+    from spreadmax.plans.planner import fits_task
+
+    own = F.broadcast(seeds.select("id").distinct())
+    sampled = written(sample_edges(g, runs, seed), "sampled")
+    memo = written((components_local if fits_task(sampled, runs) else components_star)(sampled), "memo")
+    held = memo.join(own, "id", "left_semi")
+    touched = F.broadcast(held.select("sim", "label").distinct())  # at most seeds x runs rows
+    inside = memo.join(touched, ["sim", "label"], "left_semi").groupBy("sim").agg(F.count(F.lit(1)).alias("n"))
+    hits = held.groupBy("sim").agg(F.count(F.lit(1)).alias("hits"))
+    sims = g.edges.sparkSession.range(runs).select(F.col("id").cast("int").alias("sim"))
+    alone = seeds.select("id").distinct().count()
+    total = alone - F.coalesce("hits", F.lit(0)) + F.coalesce("n", F.lit(0))  # a seed without a kept edge reaches itself
+    return sims.join(hits, "sim", "left").join(inside, "sim", "left").select("sim", total.alias("reached"))
+
+
+def score_seeds(g: CascadeGraph, seeds: DataFrame, runs: int = 1000, seed: int = SCORE_SEED, by: str = "components") -> DataFrame:
+    """(sigma, se): the independent score that all methods are judged by. by: 'components', or 'rounds' of a cascade; both agree."""
+    if by == "components":
+        per_sim = reached_by_components(g, seeds, runs, seed).filter("reached > 0")
+    else:
+        per_sim = spread_mc(g, seeds, runs, "ic", seed)
     return per_sim.agg(
         F.round(F.avg("reached"), 6).alias("sigma"), F.round(F.stddev_samp("reached") / F.sqrt(F.lit(float(runs))), 6).alias("se")
     )

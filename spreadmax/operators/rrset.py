@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 from spreadmax.functions.hashing import hash31
 from spreadmax.operators.diffusion import reach_loop
 from spreadmax.operators.graph import CascadeGraph
-from spreadmax.session import written
+from spreadmax.operators.selection import SetCoverage, select
+from spreadmax.session import release, written
 
 RR_SEED = 31
 BUCKETS = 64
@@ -64,6 +65,8 @@ def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, or
     spark = g.edges.sparkSession
     order = order if order is not None else written(numbered(g.vertices), "numbered")
     n = n if n is not None else order.count()
+    if not n:
+        return spark.createDataFrame([], "rr_id long, id long")
     roots = spark.range(first, first + count).select(F.col("id").alias("rr_id"), (hash31("id", seed) % n).cast("long").alias("number"))
     starts = roots.join(order, "number").select("rr_id", "id")
     keep = hash31("h", "rr_id", seed) <= F.col("thr")
@@ -71,38 +74,47 @@ def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, or
 
 
 def greedy_cover(rr: DataFrame, k: int) -> tuple[list[tuple[int, int]], int]:
-    """[(id, newly covered sets)] and the covered number: k counts over the sets not yet covered."""
-    seeds: list[tuple[int, int]] = []
-    rest = rr
-    for _ in range(k):
-        best = rest.groupBy("id").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "id").limit(1).collect()
-        if not best:
-            break
-        v, n = best[0]["id"], best[0]["n"]
-        seeds.append((v, n))
-        hit = rest.filter(F.col("id") == v).select("rr_id")
-        rest = written(rest.join(hit, "rr_id", "left_anti"), "rest")
+    """[(id, newly covered sets)] and the covered number: one count of all members, then the lazy queue over blocks."""
+    seeds = select(SetCoverage(rr), k, refresh=True).seeds
     return seeds, sum(n for _, n in seeds)
 
 
 def rrset_greedy(g: CascadeGraph, k: int, eps: float, ell: float = 1.0, seed: int = RR_SEED, most: int | None = None) -> dict:
-    """Seeds, their estimated spread and the number of sets. Guesses of the optimum are halved until one is
-    confirmed; the last phase draws fresh sets. `most` bounds the sets of a run for tests."""
+    """Seeds, their estimated spread, the number of sets of the last phase and the most members of any phase.
+
+    Guesses of the optimum are halved until one is confirmed; the last phase draws
+    fresh sets. `most` bounds the sets of a run for tests. A graph without vertices has no seeds.
+    """
     order = written(numbered(g.vertices), "numbered")
-    g = CascadeGraph(g.vertices, written(g.edges, "edges"))
     n = order.count()
+    if not n:
+        return {"seeds": [], "sigma": 0.0, "sets": 0, "lower": 0.0, "members": 0}
+    edges = written(g.edges, "edges")
+    g = CascadeGraph(g.vertices, edges)
     b = bounds(n, k, eps, ell)
+    members = 0
+
+    def phase(theta: int, first: int) -> tuple[list[tuple[int, int]], int]:
+        nonlocal members
+        rr = written(rr_sets(g, theta, first, seed, order, n), "rr")
+        members = max(members, rr.count())
+        found = greedy_cover(rr, k)
+        release(rr)
+        return found
+
     lower, first = 1.0, 0
     for i in range(1, max(2, math.ceil(math.log2(max(n, 2))))):
         guess = n / 2**i
         theta = math.ceil(b.search / guess)
         theta = min(theta, most) if most else theta
-        found, covered = greedy_cover(written(rr_sets(g, theta, first, seed, order, n), "rr"), k)
+        _, covered = phase(theta, first)
         first += theta
         if n * covered / theta >= (1 + b.slack) * guess:
             lower = n * covered / theta / (1 + b.slack)
             break
     theta = max(1, math.ceil(b.final / lower))
     theta = min(theta, most) if most else theta
-    seeds, covered = greedy_cover(written(rr_sets(g, theta, first, seed, order, n), "rr"), k)
-    return {"seeds": seeds, "sigma": n * covered / theta, "sets": theta, "lower": lower}
+    seeds, covered = phase(theta, first)
+    release(edges)
+    release(order)
+    return {"seeds": seeds, "sigma": n * covered / theta, "sets": theta, "lower": lower, "members": members}

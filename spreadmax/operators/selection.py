@@ -1,6 +1,9 @@
-"""Choosing seeds from the memo: full scans, a lazy queue over blocks, refreshed bounds.
+"""Choosing seeds from coverage: full scans, a lazy queue over blocks, refreshed bounds.
 
-All variants choose the same seeds: the largest exact gain, then the smaller id.
+A memo and a collection of reverse-reachable sets have one interface: rows
+(id, key, size) say that vertex `id` gains `size` as long as `key` is not
+covered. All variants choose the same seeds: the largest exact gain, then the
+smaller id.
 """
 
 from __future__ import annotations
@@ -14,11 +17,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spreadmax.operators.gains import Memo, marginal_gains
-from spreadmax.session import written
+from spreadmax.session import release, rewritten, written
 
 BLOCK = 1024
 #: A commit that covers this share of all (vertex, simulation) pairs makes every stale bound useless.
 REFRESH_SHARE = 0.05
+#: (key, size) pairs that the driver holds at most, 16 bytes each; vertices beyond it are read again when they are visited.
+HELD_PAIRS = 8_000_000
 
 
 @dataclass
@@ -39,19 +44,55 @@ def _ids(spark: SparkSession, ids: list[int]) -> DataFrame:
     return spark.createDataFrame([(i,) for i in ids], "id long")
 
 
-def _fresh_gains(memo: Memo, seeds: list[int]) -> DataFrame:
-    if not seeds:
-        return memo.gains().select("id", "gain_sum")
-    own = _ids(memo.rows.sparkSession, seeds)
-    covered = memo.rows.join(F.broadcast(own), "id", "left_semi").select("sim", "label").distinct()
-    return marginal_gains(memo.vertices, memo.rows, covered, own, memo.runs)
+class MemoCoverage:
+    """The memo: a key is a component of a simulation; a simulation without a row of the vertex adds 1."""
+
+    def __init__(self, memo: Memo):
+        self.memo, self.single = memo, memo.runs
+        top = memo.rows.agg(F.max(F.abs("label")).alias("m")).head()["m"] or 0
+        exact = top < (1 << 62) // max(1, memo.runs)
+        key = F.col("label") * memo.runs + F.col("sim") if exact else F.xxhash64("sim", "label")
+        self.rows = memo.rows.select("id", key.alias("key"), "size")
+
+    def gains(self, seeds: list[int]) -> DataFrame:
+        if not seeds:
+            return self.memo.gains().select("id", "gain_sum")
+        own = _ids(self.rows.sparkSession, seeds)
+        covered = self.memo.rows.join(F.broadcast(own), "id", "left_semi").select("sim", "label").distinct()
+        return marginal_gains(self.memo.vertices, self.memo.rows, covered, own, self.memo.runs)
+
+    def much(self) -> float:
+        """A gain beyond which new bounds are worth a scan."""
+        return REFRESH_SHARE * self.memo.vertices.count() * self.memo.runs
+
+
+class SetCoverage:
+    """Sets (set_id, id): a key is a set, worth 1; vertices in no open set gain nothing and are not chosen."""
+
+    single = 0
+
+    def __init__(self, sets: DataFrame, set_id: str = "rr_id"):
+        self.rows = sets.select("id", F.col(set_id).alias("key"), F.lit(1).cast("long").alias("size"))
+
+    def gains(self, seeds: list[int]) -> DataFrame:
+        rows = self.rows
+        if seeds:
+            hit = rows.join(F.broadcast(_ids(rows.sparkSession, seeds)), "id", "left_semi").select("key").distinct()
+            rows = rows.join(hit, "key", "left_anti")
+        return rows.groupBy("id").agg(F.sum("size").alias("gain_sum"))
+
+    def much(self) -> float:
+        return float("inf")
+
+
+Coverage = MemoCoverage | SetCoverage
 
 
 def select_scan(memo: Memo, k: int) -> Selection:
     """Exact gains of all vertices before every choice: k anti joins and aggregates."""
-    out = Selection()
+    out, source = Selection(), MemoCoverage(memo)
     while len(out.seeds) < k:
-        best = _fresh_gains(memo, [v for v, _ in out.seeds]).orderBy(F.desc("gain_sum"), "id").limit(1).collect()
+        best = source.gains([v for v, _ in out.seeds]).orderBy(F.desc("gain_sum"), "id").limit(1).collect()
         out.scans += 1
         if not best:
             break
@@ -59,17 +100,15 @@ def select_scan(memo: Memo, k: int) -> Selection:
     return out
 
 
-class _Block:
-    """The top of a gain table by (gain, id), fetched block by block with the memo rows of its vertices."""
+class _Bounds:
+    """A table (id, gain_sum) in the order of (gain, id), fetched block by block."""
 
-    def __init__(self, memo: Memo, gains: DataFrame, size: int):
-        self.memo, self.gains, self.size = memo, gains, size
-        self.after: tuple[int, int] | None = None  # the last one fetched
-        #: For each fetched vertex: keys of its (label, sim) pairs and their sizes.
-        self.labels: dict[int, tuple[list[int], list[int]]] = {}
+    def __init__(self, gains: DataFrame, size: int):
+        self.gains, self.size = gains, size
+        self.after: tuple[float, int] | None = None  # the last one fetched
         self.ended = False
 
-    def fetch(self) -> list[tuple[int, int]]:
+    def fetch(self) -> list[tuple[int, float]]:
         rest = self.gains
         if self.after is not None:
             g, v = self.after
@@ -78,25 +117,46 @@ class _Block:
         self.ended = len(rows) < self.size
         if rows:
             self.after = (rows[-1][1], rows[-1][0])
-            own = _ids(self.memo.rows.sparkSession, [v for v, _ in rows])
-            for v, _ in rows:
-                self.labels[v] = ([], [])
-            key = (F.col("label") * self.memo.runs + F.col("sim")).alias("key")
-            got = self.memo.rows.join(F.broadcast(own), "id").select("id", key, "size").toArrow()  # block x runs rows at most
-            ids, keys, sizes = (got.column(c).to_numpy() for c in ("id", "key", "size"))
-            order = np.argsort(ids, kind="stable")
-            ids, keys, sizes = ids[order], keys[order], sizes[order]
-            starts = np.flatnonzero(np.concatenate(([True], ids[1:] != ids[:-1]))) if len(ids) else np.zeros(0, int)
-            for a, b in zip(starts, np.append(starts[1:], len(ids)), strict=False):
-                self.labels[int(ids[a])] = (keys[a:b].tolist(), sizes[a:b].tolist())
         return rows
 
-    def bound(self) -> tuple[int, int] | None:
-        """No vertex that is not fetched has more than this gain, nor this gain and a smaller id."""
-        return None if self.ended else self.after
+    def beats(self, gain: float, v: int) -> bool:
+        """Whether a vertex that is not fetched may have a larger gain, or the same and a smaller id."""
+        return not self.ended and (self.after is None or gain < self.after[0] or (gain == self.after[0] and v > self.after[1]))
+
+
+class _Pairs:
+    """(keys, sizes) of vertices, read in blocks and held within a bound."""
+
+    def __init__(self, rows: DataFrame, most: int):
+        self.rows, self.most, self.held = rows, most, 0
+        self.of: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
+    def load(self, ids: list[int]) -> None:
+        if self.held > self.most:
+            self.of, self.held = {}, 0
+        new = [v for v in ids if v not in self.of]
+        if not new:
+            return
+        none = np.zeros(0, np.int64)
+        self.of |= {v: (none, none) for v in new}
+        got = self.rows.join(F.broadcast(_ids(self.rows.sparkSession, new)), "id").toArrow()  # rows of one block
+        ids_, keys, sizes = (got.column(c).to_numpy() for c in ("id", "key", "size"))
+        order = np.argsort(ids_, kind="stable")
+        ids_, keys, sizes = ids_[order], keys[order], sizes[order]
+        starts = np.flatnonzero(np.concatenate(([True], ids_[1:] != ids_[:-1]))) if len(ids_) else np.zeros(0, int)
+        for a, b in zip(starts, np.append(starts[1:], len(ids_)), strict=False):
+            self.of[int(ids_[a])] = (keys[a:b].copy(), sizes[a:b].copy())
+        self.held += len(ids_)
 
-def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False, refresh: bool = False) -> Selection:
+
+def _within(keys: np.ndarray, taken: np.ndarray) -> np.ndarray:
+    """Which keys are in `taken`, which is sorted."""
+    if not len(taken):
+        return np.zeros(len(keys), bool)
+    return taken[np.minimum(np.searchsorted(taken, keys), len(taken) - 1)] == keys
+
+
+def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False, refresh: bool = False, held: int = HELD_PAIRS) -> Selection:
     """A lazy queue: stale gains are upper bounds, so a vertex whose fresh gain stays on top is chosen.
 
     Only blocks of the queue leave the cluster; a further block is fetched before a
@@ -105,101 +165,120 @@ def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False,
     chosen. `refresh` recomputes all gains in one scan after a choice that covers
     much, and begins the queue anew from exact bounds.
     """
-    out, covered = Selection(), set()
+    out, covered = Selection(), np.zeros(0, np.int64)
     chosen: set[int] = set()
-    n = memo.vertices.count() if refresh else 0
-    top = _Block(memo, written(memo.gains().select("id", "gain_sum"), "gains"), block)
+    much = source.much() if refresh else 0.0
+    table = written(source.gains([]), "gains")
+    top, pairs = _Bounds(table, block), _Pairs(source.rows, held)
     heap: list[tuple[int, int, int]] = []  # (-gain, id, seeds at that time)
     ahead: dict[int, tuple[int, int, int]] = {}  # id -> (best of the round, seeds then, gain given it too)
 
-    def push(rows, stamp):
-        for v, g in rows:
+    def push(stamp: int) -> None:
+        for v, g in top.fetch():
             if v not in chosen:
                 heapq.heappush(heap, (-g, v, stamp))
 
-    def gain(v: int, besides: int | None = None) -> int:
-        taken = covered if besides is None else covered.union(top.labels[besides][0])
-        keys, sizes = top.labels[v]
-        return memo.runs - len(keys) + sum(size for key, size in zip(keys, sizes, strict=True) if key not in taken)
+    def keys_of(v: int) -> tuple[np.ndarray, np.ndarray]:
+        if v not in pairs.of:  # with those that are likely to be visited next
+            pairs.load([v, *[x for _, x, _ in heapq.nsmallest(block, heap)]])
+        return pairs.of[v]
 
-    def renew() -> None:
-        nonlocal top, heap, stamp0, ahead
-        out.scans += 1
-        top = _Block(memo, written(_fresh_gains(memo, [x for x, _ in out.seeds]), "gains"), block)
-        heap, stamp0, ahead = [], len(out.seeds), {}
-        push(top.fetch(), stamp0)
+    def gain(v: int, besides: int | None = None) -> int:
+        keys, sizes = keys_of(v)
+        gone = _within(keys, covered)
+        if besides is not None:
+            gone = gone | _within(keys, np.sort(keys_of(besides)[0]))
+        return (source.single - len(keys) if source.single else 0) + int(sizes[~gone].sum())
 
-    push(top.fetch(), 0)
+    push(0)
     stamp0, tried = 0, 0
     best: tuple[int, int] | None = None  # best fresh vertex of this round
     while len(out.seeds) < k:
-        bound = top.bound()
         if not heap:
-            if bound is None:
+            if top.ended:
                 break
-            push(top.fetch(), stamp0)
+            push(stamp0)
             continue
         g, v, stamp = -heap[0][0], heap[0][1], heap[0][2]
-        if bound is not None and (g < bound[0] or (g == bound[0] and v > bound[1])):
-            push(top.fetch(), stamp0)
+        if top.beats(g, v):
+            push(stamp0)
             continue
+        if g <= 0 and not source.single:
+            break
         heapq.heappop(heap)
         if stamp == len(out.seeds):
-            out.seeds.append((v, g))
+            covered = np.union1d(covered, keys_of(v)[0])
+            out.seeds.append((v, int(g)))
             chosen.add(v)
-            covered.update(top.labels[v][0])
             best, tried = None, 0
-            if refresh and g > REFRESH_SHARE * n * memo.runs and len(out.seeds) < k:
-                renew()
+            if not (refresh and g > much and len(out.seeds) < k):
+                continue
+        elif not (refresh and tried >= block):  # else bounds are too stale: one scan is cheaper than further visits
+            seen = ahead.get(v)
+            if lookahead and seen is not None and seen[1] == len(out.seeds) - 1 and out.seeds[-1][0] == seen[0]:
+                fresh = seen[2]
+            else:
+                fresh = gain(v)
+                out.visits += 1
+                tried += 1
+            if lookahead and best is not None:
+                ahead[v] = (best[0], len(out.seeds), gain(v, best[0]))
+            if best is None or (fresh, -v) > (best[1], -best[0]):
+                best = (v, fresh)
+            heapq.heappush(heap, (-fresh, v, len(out.seeds)))
             continue
-        if refresh and tried >= block:  # bounds are too stale: one scan is cheaper than further visits
-            renew()
-            best, tried = None, 0
-            continue
-        seen = ahead.get(v)
-        if lookahead and seen is not None and seen[1] == len(out.seeds) - 1 and out.seeds[-1][0] == seen[0]:
-            fresh = seen[2]
-        else:
-            fresh = gain(v)
-            out.visits += 1
-            tried += 1
-        if lookahead and best is not None:
-            ahead[v] = (best[0], len(out.seeds), gain(v, best[0]))
-        if best is None or (fresh, -v) > (best[1], -best[0]):
-            best = (v, fresh)
-        heapq.heappush(heap, (-fresh, v, len(out.seeds)))
+        out.scans += 1
+        table = rewritten(table, source.gains([x for x, _ in out.seeds]), "gains")
+        top, pairs = _Bounds(table, block), _Pairs(source.rows, held)
+        heap, stamp0, ahead, best, tried = [], len(out.seeds), {}, None, 0
+        push(stamp0)
+    release(table)
     return out
 
 
+def select_lazy(memo: Memo, k: int, block: int = BLOCK, lookahead: bool = False, refresh: bool = False, held: int = HELD_PAIRS) -> Selection:
+    return select(MemoCoverage(memo), k, block, lookahead, refresh, held)
+
+
 def select_refresh(memo: Memo, k: int, block: int = BLOCK) -> Selection:
     return select_lazy(memo, k, block, refresh=True)
 
 
 def lazy_greedy(
-    first: dict[int, float], evaluate: Callable[[list[int], list[int]], dict[int, float]], k: int, ahead: int = 8, beside: Callable | None = None
-) -> tuple[list[tuple[int, float]], int]:
+    first: dict[int, float] | DataFrame, evaluate: Callable[[list[int], list[int]], dict[int, float]], k: int, ahead: int = 8,
+    beside: Callable | None = None, block: int = BLOCK,
+) -> tuple[list[tuple[int, float]], int]:
     """The queue of the simulated baselines: `evaluate(seeds, candidates)` gives fresh gains.
 
-    The top `ahead` stale vertices are evaluated together; the choice rule is that
-    of one at a time, since an estimate depends only on the seeds and the vertex.
-    `beside(seeds, candidates, best)` makes it a look-ahead queue: it also gives
-    the gains that follow if `best`, the best vertex of the round so far, is chosen;
-    where it is, those vertices are fresh without a further visit.
+    `first`: the bounds to begin with, of which a table (id, gain_sum) is fetched in
+    blocks as far as the queue needs it. The top `ahead` stale vertices are
+    evaluated together. `beside(seeds, candidates, best)` makes it a look-ahead
+    queue: it also gives the gains that follow if `best`, the best vertex of the
+    round so far, is chosen; where it is, those vertices are fresh without a further visit.
     """
-    heap = [(-g, v, 0) for v, g in first.items()]
+    table = None if isinstance(first, dict) else _Bounds(first, block)
+    heap = [(-g, v, 0) for v, g in first.items()] if table is None else []
     heapq.heapify(heap)
     seeds: list[tuple[int, float]] = []
     visits = 0
     best: tuple[float, int] | None = None  # (-gain, id)
     known: dict[int, tuple[tuple[int, ...], float]] = {}  # id -> (seeds, gain given them)
-    while heap and len(seeds) < k:
+
+    def filled() -> bool:
+        """Whether there is a top, once every bound that may beat it is fetched."""
+        while table is not None and not table.ended and (not heap or table.beats(-heap[0][0], heap[0][1])):
+            for v, g in table.fetch():
+                heapq.heappush(heap, (-g, v, 0))
+        return bool(heap)
+
+    while len(seeds) < k and filled():
         if heap[0][2] == len(seeds):
             g, v, _ = heapq.heappop(heap)
             seeds.append((v, -g))
             best = None
             continue
         stale = []
-        while heap and len(stale) < ahead and heap[0][2] != len(seeds):
+        while len(stale) < ahead and filled() and heap[0][2] != len(seeds):
             stale.append(heapq.heappop(heap)[1])
         chosen = [v for v, _ in seeds]
         fresh = {v: known[v][1] for v in stale if v in known and known[v][0] == tuple(chosen)}

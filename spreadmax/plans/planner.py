@@ -29,6 +29,11 @@ class Plan:
     waves: int
 
 
+def fits_task(sampled, runs: int, task_bytes: int = TASK_BYTES) -> bool:
+    """Whether one task holds any simulation of a stored sample (sim, src, dst), going by their mean number of edges."""
+    return sampled.count() / max(1, runs) * EDGE_BYTES <= task_bytes
+
+
 def choose(g: CascadeGraph, runs: int, width: int = 8, seed: int = 7, sampler: str = "xor", task_bytes: int = TASK_BYTES) -> Plan:
     from spreadmax.operators.sampling import fused_sample
 
@@ -41,3 +46,8 @@ def choose(g: CascadeGraph, runs: int, width: int = 8, seed: int = 7, sampler: s
     if m and kept / m * width < 1.5:
         return Plan("star", width, kept, waves)
     return Plan("lanes", width, kept, waves)
+
+
+def wave_of(plan: Plan, runs: int) -> int:
+    """Simulations of a wave, so that none gives more than WAVE_ROWS rows."""
+    return max(1, -(-runs // plan.waves))

@@ -40,7 +40,7 @@ def run_method(g: CascadeGraph, method: str, k: int, runs: int, most_sets: int |
             return [(v, x / runs) for v, x in out.seeds]
         if method.startswith("rr_"):
             got = rrset.rrset_greedy(g, k, float(method[3:]), most=most_sets)
-            extra["memo_bytes"] = 16 * got["sets"]
+            extra["memo_bytes"] = 16 * got["members"]
             return [(v, 0.0) for v, _ in got["seeds"]]
         if method == "degree":
             return [(r["id"], 0.0) for r in baselines.degree_seeds(g.edges, k).orderBy("rank").collect()]

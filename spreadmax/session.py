@@ -32,16 +32,18 @@ def local_session(cores: int = 4, partitions: int = 8, memory: str = "4g") -> Sp
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: `spark.checkpoint.dir`.
 
-    Where the session names none (tests on one machine), a temporary folder of
-    this process is used.
+    Where the session names none, a folder in the warehouse; on one machine
+    (tests) a temporary folder of this process.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
-        _OWN[app] = "file://" + tempfile.mkdtemp(prefix="spreadmax-")
-        spark.sparkContext.setCheckpointDir(_OWN[app])
+        if spark.sparkContext.master.startswith("local"):
+            _OWN[app] = "file://" + tempfile.mkdtemp(prefix="spreadmax-")
+        else:
+            _OWN[app] = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + f"/spreadmax-{app}"
     return _OWN[app]
 
 
@@ -57,16 +59,26 @@ def _remove(spark: SparkSession, path: str) -> None:
 def written(df: DataFrame, tag: str = "t") -> DataFrame:
     """Cut the lineage of `df` through a Parquet table in the shared folder.
 
-    The table survives lost executors and is deleted when the driver ends.
+    The table survives lost executors; it is deleted by `release`, or when the driver ends.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/spreadmax/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_to = path
+    return out
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint that keeps the partitioning; never localCheckpoint."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
+def release(df: DataFrame | None) -> None:
+    """Delete the files of a table that `written` gave, once nothing reads them any more (other DataFrames are left alone)."""
+    path = getattr(df, "_written_to", None)
+    if path is not None:
+        _remove(df.sparkSession, path)
+
+
+def rewritten(before: DataFrame | None, df: DataFrame, tag: str = "t") -> DataFrame:
+    """The next version of a table: written, then the version before it goes. Only for tables that nothing else reads."""
+    out = written(df, tag)
+    release(before)
+    return out

@@ -333,7 +333,7 @@ def test_experiments_do_not_cap_the_comparator(spark, small, monkeypatch):
 
     def greedy(g, k, eps, **options):
         asked.append((eps, options.get("most")))
-        return {"seeds": [(0, 1)], "sets": 1}
+        return {"seeds": [(0, 1)], "sets": 1, "members": 1}
 
     monkeypatch.setattr(workloads.rrset, "rrset_greedy", greedy)
     workloads.experiment(spark, small, ["geo_forest"], ["c01"], ["rr_0.5", "rr_0.13"], k=1, runs=1, score_runs=1)
