@@ -112,8 +112,44 @@ def stage_shares(stages: dict[str, float]) -> dict[str, float]:
     return {k: round(v / total, 6) for k, v in stages.items()}
 
 
+def draw_tiles(drawn: DataFrame, tiles: int, bins: int = 256) -> DataFrame:
+    """(tile, n, top): the draws in `tiles` parts of equal number in the order of their value. Ranks come from counts of
+    bins of the value and the order within a bin, so no task sees all draws."""
+    binned = drawn.withColumn("bin", F.floor(F.col("d") / ((INT_MAX + 1) // bins)).cast("int"))
+    counts = binned.groupBy("bin").agg(F.count(F.lit(1)).alias("c"))
+    upto = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)  # a row per bin
+    begins = counts.select("bin", F.coalesce(F.sum("c").over(upto), F.lit(0)).alias("begin"), F.sum("c").over(Window.partitionBy(F.lit(1))).alias("all"))
+    own = Window.partitionBy("bin").orderBy("d", "src", "dst", "sim")
+    ranked = binned.join(F.broadcast(begins), "bin").withColumn("rank", F.col("begin") + F.row_number().over(own) - 1)
+    size, more = F.expr(f"`all` div {tiles}"), F.col("all") % tiles  # the first tiles are larger by one
+    wide = more * (size + 1)
+    tile = F.when(F.col("rank") < wide, F.floor(F.col("rank") / (size + 1))).otherwise(more + F.floor((F.col("rank") - wide) / F.greatest(size, F.lit(1))))
+    return ranked.groupBy((tile + 1).cast("int").alias("tile")).agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("top"))
+
+
+def gain_ranks(gains: DataFrame) -> DataFrame:
+    """(id, gain_sum, rk, dr): rank and dense rank by gain, from a row per different gain (few) in place of one per vertex."""
+    counts = gains.groupBy("gain_sum").agg(F.count(F.lit(1)).alias("c"))
+    order = Window.orderBy(F.desc("gain_sum"))
+    above = F.coalesce(F.sum("c").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranks = counts.select("gain_sum", (above + 1).cast("int").alias("rk"), F.row_number().over(order).alias("dr"))
+    return gains.join(ranks, "gain_sum").select("id", "gain_sum", "rk", "dr")
+
+
+def approx_ratio(chosen: float, best: float, k: int) -> tuple[float, float, bool]:
+    """The ratio of a greedy choice to the optimum, the ratio that is guaranteed, and whether it holds."""
+    bound = 1 - (1 - 1 / k) ** k
+    ratio = chosen / best if best else 1.0
+    return ratio, bound, ratio >= bound - 1e-9
+
+
 def memory_report(spark: SparkSession) -> DataFrame:
     """(measure, bytes): shuffle and spill over all stages so far, and the largest heap seen of an executor."""
+    return spark.createDataFrame(list(memory_now(spark).items()), "measure string, bytes long")
+
+
+def memory_now(spark: SparkSession) -> dict[str, int]:
+    """The same as numbers; a run's own are the differences of two calls."""
     store = spark.sparkContext._jsc.sc().statusStore()
     totals = {"shuffle_write": 0, "spill_disk": 0, "spill_memory": 0, "heap_peak": 0}
     stages = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
@@ -127,4 +163,4 @@ def memory_report(spark: SparkSession) -> DataFrame:
         peak = executors.apply(i).peakMemoryMetrics()
         if peak.isDefined():
             totals["heap_peak"] = max(totals["heap_peak"], peak.get().getMetricValue("JVMHeapMemory"))
-    return spark.createDataFrame(list(totals.items()), "measure string, bytes long")
+    return totals

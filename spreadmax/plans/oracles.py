@@ -10,9 +10,9 @@ INT_MAX = 2147483647
 M = 4294967296
 
 
-def hash_ctes(name: str, source: str, parts: list[str], out: str = "h", where: str = "") -> str:
-    """CTEs that add column `out` (31-bit Murmur3 of the BIGINT `parts`) to `source`; the last one is `name`."""
-    steps = [f"SELECT *, CAST(42 AS UBIGINT) AS _s, CAST(0 AS UBIGINT) AS _k FROM {source} {where}"]
+def hash_steps(parts: list[str], out: str = "h") -> list[str]:
+    """SELECTs, each over the one before (@), that add column `out`: the 31-bit Murmur3 of the BIGINT `parts`."""
+    steps = ["SELECT *, CAST(42 AS UBIGINT) AS _s, CAST(0 AS UBIGINT) AS _k FROM @"]
     for p in parts:
         for half in (f"CAST(({p}) & 4294967295 AS UBIGINT)", f"CAST((({p}) >> 32) & 4294967295 AS UBIGINT)"):
             steps += [
@@ -27,8 +27,12 @@ def hash_ctes(name: str, source: str, parts: list[str], out: str = "h", where: s
             f"SELECT * REPLACE ((xor(_s, _s >> 13) * 3266489909) % {M} AS _s) FROM @",
             "SELECT * REPLACE (xor(_s, _s >> 16) AS _s) FROM @",
         ]
-    steps.append(f"SELECT * EXCLUDE (_s, _k), CAST(_s & {INT_MAX} AS BIGINT) AS {out} FROM @")
-    text, before = [], ""
+    return [*steps, f"SELECT * EXCLUDE (_s, _k), CAST(_s & {INT_MAX} AS BIGINT) AS {out} FROM @"]
+
+
+def chained(name: str, source: str, steps: list[str]) -> str:
+    """The steps as common table expressions; the last one is `name`."""
+    text, before = [], source
     for i, step in enumerate(steps):
         own = name if i == len(steps) - 1 else f"{name}_{i}"
         text.append(f"{own} AS ({step.replace('@', before)})")
@@ -36,10 +40,22 @@ def hash_ctes(name: str, source: str, parts: list[str], out: str = "h", where: s
     return ",\n".join(text)
 
 
+def nested(source: str, steps: list[str]) -> str:
+    """The steps as subqueries of one SELECT over the query `source`."""
+    for step in steps:
+        source = step.replace("@", f"({source})")
+    return source
+
+
+def hash_ctes(name: str, source: str, parts: list[str], out: str = "h") -> str:
+    """CTEs that add column `out` (31-bit Murmur3 of the BIGINT `parts`) to `source`; the last one is `name`."""
+    return chained(name, source, hash_steps(parts, out))
+
+
 _PAIRS = """b AS (SELECT DISTINCT l_orderkey AS k, {item} AS i FROM lineitem),
 e AS (SELECT x.i AS src, y.i AS dst, count(*) AS mult FROM b x JOIN b y ON x.k = y.k AND x.i < y.i GROUP BY ALL)"""
 _CANON = """e AS (SELECT least(a, b) AS src, greatest(a, b) AS dst, count(*) AS mult FROM raw WHERE a IS NOT NULL AND b IS NOT NULL AND a <> b GROUP BY ALL)"""
-_CODE = "(CAST('0x' || substr(md5({0}), 1, 12) AS BIGINT) & 140737488355327)"
+_CODE = "CAST('0x' || substr(md5({0}), 1, 15) AS BIGINT)"
 
 EDGES = {
     "copurchase": _PAIRS.format(item="l_partkey"),

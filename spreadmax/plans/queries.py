@@ -13,6 +13,7 @@ from spreadmax.operators import baselines, components, diffusion, gains, measure
 from spreadmax.operators import graph as gr
 from spreadmax.operators.graph import CascadeGraph
 from spreadmax.plans import oracles as o
+from spreadmax.plans import queue_sql as qs
 from spreadmax.session import shared_dir, written
 from spreadmax.sources import files, graphs
 from spreadmax.streaming import edges as stream
@@ -105,14 +106,15 @@ query(
 
 # --- hashes, draws --------------------------------------------------------------------------------------------------
 
-query("edge_hash_murmur", f"WITH {o.graph('cust_part')} SELECT src, dst, h FROM g")(
+_E2X = o.EDGES["cust_part"]
+query("edge_hash_murmur",f"WITH {o.graph('cust_part')} SELECT src, dst, h FROM g")(
     lambda s, d: graphs.cust_part(s, d).select("src", "dst", hashing.edge_hash().cast("long").alias("h"))
 )
 query(
     "edge_hash_md5",
     f"WITH {o.EDGES['cust_part']} SELECT src, dst, CAST('0x' || substr(md5(src || '-' || dst), 1, 8) AS BIGINT) & 2147483647 AS h FROM e",
 )(lambda s, d: graphs.cust_part(s, d).select("src", "dst", hashing.edge_hash(fn="md5").cast("long").alias("h")))
-query("edge_hash_xx")(lambda s, d: graphs.cust_part(s, d).select("src", "dst", hashing.edge_hash(fn="xxhash64").cast("long").alias("h")))
+query("edge_hash_xx", f"WITH {_E2X}, {qs.xx64('zz', 'e', ['src', 'dst'])} SELECT src, dst, CAST(z & 2147483647 AS BIGINT) AS h FROM zz")(lambda s, d: graphs.cust_part(s, d).select("src", "dst", hashing.edge_hash(fn="xxhash64").cast("long").alias("h")))
 query("sim_constants", f"WITH {o.sims(256)} SELECT CAST(sim AS INT) AS sim, CAST(x AS INT) AS x FROM sims")(
     lambda s, d: hashing.sim_constants(s, 256)
 )
@@ -224,6 +226,7 @@ _COMPONENTS = o.with_(o.graph("cust_part"), o.sampled(R), o.MEMO, select="SELECT
 query("components_lanes", _COMPONENTS)(lambda s, d: components.components_lanes(_g(s, d), R, 8))
 query("components_lanes_all", _COMPONENTS)(lambda s, d: components.components_lanes(_g(s, d), R, 16, push="all"))
 query("components_lanes_pull", _COMPONENTS)(lambda s, d: components.components_lanes(_g(s, d), R, 16, push="pull"))
+query("components_lanes_hybrid", _COMPONENTS)(lambda s, d: components.components_lanes(_g(s, d), R, 16, push="auto"))
 query("components_sparse", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "minlabel"))
 query("components_star", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "star"))
 query("components_local", _COMPONENTS)(lambda s, d: components.components(_g(s, d), R, "local"))
@@ -245,6 +248,13 @@ query(
         select="SELECT CAST(sim AS INT) AS sim, max(size) AS largest, round(max(size) / (SELECT count(*) FROM v), 6) AS share FROM sizes GROUP BY sim",
     ),
 )(lambda s, d: (lambda g: gains.giant_share(gains.component_sizes(components.components(g, R)), g.vertices.count()))(_g(s, d, w=0.1)))
+query(
+    "giant_labels",
+    o.with_(
+        o.graph("cust_part"), o.sampled(R), o.MEMO,
+        select="SELECT CAST(sim AS INT) AS sim, label, size FROM (SELECT *, row_number() OVER (PARTITION BY sim ORDER BY size DESC, label) AS k FROM sizes) WHERE k = 1",
+    ),
+)(lambda s, d: gains.giant_labels(gains.component_sizes(components.components(_g(s, d), R))))
 query("initial_gains", o.with_(o.graph("cust_part"), o.sampled(R), o.MEMO, select=o.gains(R)))(
     lambda s, d: _memo(s, d).gains().select("id", "gain_sum")
 )
@@ -399,9 +409,11 @@ def _frame(s: SparkSession, out: selection.Selection) -> DataFrame:
     return s.createDataFrame(rows, "rank int, id long, gain double")
 
 
-query("plain_greedy")(lambda s, d: _frame(s, baselines.plain_greedy(_toy(s), 2, 32)))
-query("lazy_forward")(lambda s, d: _frame(s, baselines.lazy_forward(_toy(s), 2, 32)))
-query("lazy_forward_lookahead")(lambda s, d: _frame(s, baselines.lazy_forward(_toy(s), 2, 32, lookahead=True)))
+query("plain_greedy", qs.plain("geo_forest", T01, R, 2))(lambda s, d: _frame(s, baselines.plain_greedy(_g(s, d, "geo_forest", 0.1), 2, R)))
+query("lazy_forward", qs.lazy("geo_forest", T01, R, 2))(lambda s, d: _frame(s, baselines.lazy_forward(_g(s, d, "geo_forest", 0.1), 2, R)))
+query("lazy_forward_lookahead", qs.lazy("geo_forest", T01, R, 2))(
+    lambda s, d: _frame(s, baselines.lazy_forward(_g(s, d, "geo_forest", 0.1), 2, R, lookahead=True))
+)
 
 
 def _component_sql() -> str:
@@ -418,7 +430,7 @@ def _component_sql() -> str:
 
 
 query("component_greedy", _component_sql())(lambda s, d: _frame(s, baselines.component_greedy(_g(s, d, "geo_forest", 0.1), 2, R)))
-query("hybrid_lazy_greedy")(lambda s, d: _frame(s, baselines.hybrid_lazy_greedy(_g(s, d, "geo_forest", 0.1), 3, R)))
+query("hybrid_lazy_greedy", qs.lazy("geo_forest", T01, R, 3))(lambda s, d: _frame(s, baselines.hybrid_lazy_greedy(_g(s, d, "geo_forest", 0.1), 3, R)))
 
 _RR = (
     o.graph("supp_supp"), "nv AS MATERIALIZED (SELECT id, row_number() OVER (ORDER BY id % 64, id) - 1 AS number FROM v)",
@@ -458,8 +470,9 @@ def _rrset(eps: float, most: int | None = None) -> Query:
     return run
 
 
-query("rrset_greedy_05")(_rrset(0.5))
-query("rrset_greedy_013")(_rrset(0.13))
+_T0002 = str(math.floor(0.002 * 2147483647))
+query("rrset_greedy_05", qs.rrset("supp_supp", _T0002, 2, 0.5, 6))(_rrset(0.5))
+query("rrset_greedy_013", qs.rrset("supp_supp", _T0002, 2, 0.13, 6))(_rrset(0.13))
 query("degree_seeds", f"WITH {_E2}, {o.DEG} SELECT CAST(row_number() OVER (ORDER BY d DESC, id) AS INT) AS rank, id, d AS deg FROM dg ORDER BY d DESC, id LIMIT 5")(
     lambda s, d: baselines.degree_seeds(graphs.cust_part(s, d), 5)
 )
@@ -495,7 +508,7 @@ def _visits(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "method string, p double, visits long, scans long")
 
 
-query("lazy_visits")(_visits)
+query("lazy_visits", f"({qs.visits('cust_part', T1, 0.01, 8, 5)}) UNION ALL ({qs.visits('cust_part', T01, 0.1, 8, 5)})")(_visits)
 
 
 def _trace(s: SparkSession, d: str) -> DataFrame:
@@ -507,7 +520,7 @@ def _trace(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "push string, round int, live long, arcs_visited long")
 
 
-query("frontier_trace")(_trace)
+query("frontier_trace", qs.trace("cust_part", T1, R))(_trace)
 
 
 def _toy_trace(s: SparkSession, d: str) -> DataFrame:
@@ -545,10 +558,8 @@ query(
 )(lambda s, d: measures.report_pivot(_runs(s)))
 _GAINS = o.with_(o.graph("cust_part"), o.sampled(R), o.MEMO, select=o.gains(R))
 query("gains_rank_window", f"SELECT id, gain_sum, CAST(rank() OVER (ORDER BY gain_sum DESC) AS INT) AS rk, CAST(dense_rank() OVER (ORDER BY gain_sum DESC) AS INT) AS dr FROM ({_GAINS})")(
-    lambda s, d: _memo(s, d).gains().select(
-        "id", "gain_sum", F.rank().over(Window.orderBy(F.desc("gain_sum"))).alias("rk"), F.dense_rank().over(Window.orderBy(F.desc("gain_sum"))).alias("dr")
-    )
-)
+    lambda s, d: measures.gain_ranks(_memo(s, d).gains().select("id", "gain_sum"))
+)
 
 
 def _per_nation(s: SparkSession, d: str) -> DataFrame:
@@ -565,12 +576,8 @@ query(
 query("sigma_running", f"SELECT rank, id, gain_sum, sigma_sum FROM {_G5}")(lambda s, d: gains.running_sigma(flagship(s, d).drop("sigma_sum")))
 query(
     "draw_ntile",
-    f"WITH {_DRAW['xor']}, q AS (SELECT d, ntile(4) OVER (ORDER BY d, src, dst, sim) AS tile FROM dr WHERE sim < 2) SELECT CAST(tile AS INT) AS tile, count(*) AS n, CAST(max(d) AS INT) AS top FROM q GROUP BY tile",
-)(
-    lambda s, d: measures.draws(_g(s, d, "user_key"), R).filter("sim < 2")
-    .select("d", F.ntile(4).over(Window.orderBy("d", "src", "dst", "sim")).alias("tile"))
-    .groupBy("tile").agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("top"))
-)
+    f"WITH {_DRAW['xor']}, q AS (SELECT d, ntile(4) OVER (ORDER BY d, src, dst, sim) AS tile FROM dr) SELECT CAST(tile AS INT) AS tile, count(*) AS n, CAST(max(d) AS INT) AS top FROM q GROUP BY tile",
+)(lambda s, d: measures.draw_tiles(measures.draws(_g(s, d, "user_key"), R), 4))
 query("approx_reach")(lambda s, d: _memo(s, d).rows.agg(F.approx_count_distinct("id").alias("reached"), F.percentile_approx("size", 0.5).alias("median_size")))
 query(
     "setops_seeds",
@@ -647,17 +654,29 @@ query(
     "SELECT a.vec_id, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cosine FROM embeddings a JOIN embeddings b ON a.vec_id = b.vec_id + 1",
 )(_cosine)
 _EV = "ev AS (SELECT 2 * user_id AS src, 2 * CAST(json_extract(props, '$.k') AS BIGINT) + 1 AS dst, ts FROM events)"
-query("stream_edges_windowed", f"WITH {_EV} SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, src, dst, count(*) AS mult FROM ev GROUP BY ALL")(
+_CLOSED = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"  # the watermark: later windows are not closed yet
+query(
+    "stream_edges_windowed",
+    f"WITH {_EV} SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS start, src, dst, count(*) AS mult FROM ev WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= {_CLOSED} GROUP BY ALL",
+)(
     lambda s, d: stream.drained(stream.windowed_edges(stream.edge_stream(s, d))).withColumn("start", F.col("start").cast("timestamp_ntz"))
 )
 query(
     "stream_session",
     f"WITH {_EV}, nx AS (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY src, dst ORDER BY ts) + INTERVAL 1 DAY OR lag(ts) OVER (PARTITION BY src, dst ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS nw FROM ev), "
     "gp AS (SELECT *, sum(nw) OVER (PARTITION BY src, dst ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM nx) "
-    "SELECT CAST(min(ts) AS TIMESTAMP) AS start, src, dst, count(*) AS mult FROM gp GROUP BY src, dst, s",
+    f"SELECT CAST(min(ts) AS TIMESTAMP) AS start, src, dst, count(*) AS mult FROM gp GROUP BY src, dst, s HAVING max(ts) + INTERVAL 1 DAY <= {_CLOSED}",
 )(lambda s, d: stream.drained(stream.windowed_edges(stream.edge_stream(s, d), "session")).withColumn("start", F.col("start").cast("timestamp_ntz")))
 query("stream_degree", f"WITH {_EV} SELECT id, count(*) AS interactions FROM (SELECT unnest([src, dst]) AS id FROM ev) GROUP BY id")(
-    lambda s, d: stream.drained(stream.running_degree(stream.edge_stream(s, d)))
+    lambda s, d: stream.latest(stream.running_degree(stream.edge_stream(s, d)), ["id"])
+)
+query(
+    "stream_sliding",
+    f"WITH {_EV}, sl AS (SELECT src, dst, time_bucket(INTERVAL 12 HOUR, ts, TIMESTAMP '1970-01-01') - k * INTERVAL 12 HOUR AS start FROM ev, (VALUES (0), (1)) t(k)) "
+    f"SELECT CAST(start AS TIMESTAMP) AS start, src, dst, count(*) AS mult FROM sl WHERE start + INTERVAL 1 DAY <= {_CLOSED} GROUP BY ALL",
+)(lambda s, d: stream.drained(stream.windowed_edges(stream.edge_stream(s, d), "sliding")).withColumn("start", F.col("start").cast("timestamp_ntz")))
+query("stream_dedup", f"WITH {_EV} SELECT DISTINCT src, dst FROM ev")(
+    lambda s, d: stream.drained(stream.dedup_edges(stream.edge_stream(s, d)).select("src", "dst")).distinct()
 )
 query("stream_memo", o.with_(o.graph("user_key"), o.sampled(8), o.MEMO, select="SELECT CAST(sim AS INT) AS sim, id, label FROM memo"))(
     lambda s, d: stream.stream_memo(s, d, P, 8)

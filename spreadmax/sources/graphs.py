@@ -103,8 +103,9 @@ def embed_sim(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame
 
 
 def string_id(text: str):
-    """A 47-bit number for a string, from md5: dictionary coding without a global numbering."""
-    return F.conv(F.substring(F.md5(text), 1, 12), 16, 10).cast("long").bitwiseAND((1 << 47) - 1)
+    """A 60-bit number for a string, from md5: dictionary coding without a global numbering. Of 1e8 different
+    strings two meet with a chance of 0.4 %."""
+    return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
 
 
 def page_link(spark: SparkSession, sf_dir: str) -> DataFrame:
