@@ -20,6 +20,8 @@ from spreadmax.sources import graphs
 SMALL = ["geo_forest", "cust_part"]
 LARGE = ["copurchase", "cust_part", "part_supp", "cust_supp", "user_key", "geo_forest"]
 SETTINGS = ["c001", "c01", "normal", "uniform"]
+#: Seconds after which a run is stopped and reported without figures.
+LIMIT = 60.0
 Experiment = Callable[[SparkSession, str], DataFrame]
 
 
@@ -45,12 +47,12 @@ def uniformity(s: SparkSession, d: str) -> DataFrame:
 
 def against_baseline(s: SparkSession, d: str) -> DataFrame:
     """Time, memory and score of the sequential baseline, the fused variant and the full method (k and k = 1), p = 0.01."""
-    return experiment(s, d, SMALL, ["c001"], ["hybrid_lazy", "fused", "fused_memo", "fused_memo_k1"], k=5, runs=16)
+    return experiment(s, d, LARGE, ["c001"], ["hybrid_lazy", "fused", "fused_memo", "fused_memo_k1"], k=50, runs=64, score_runs=1000, limit=LIMIT)
 
 
 def against_comparator(s: SparkSession, d: str) -> DataFrame:
     """Time, memory and score of the full method and both comparator settings over the four weight settings."""
-    return experiment(s, d, ["geo_forest"], SETTINGS, ["rr_0.5", "rr_0.13", "fused_memo"], k=5, runs=64)
+    return experiment(s, d, LARGE, SETTINGS, ["rr_0.5", "rr_0.13", "fused_memo"], k=50, runs=64, score_runs=1000, limit=LIMIT)
 
 
 def comparator_speedup(s: SparkSession, d: str) -> DataFrame:
@@ -67,7 +69,7 @@ def k_sweep(s: SparkSession, d: str) -> DataFrame:
     m = gains.Memo.build(built(s, d, "cust_part", "c001"), 64)
     stage = time.perf_counter() - start
     rows = []
-    for k in (1, 5, 10, 25, 50, 100):
+    for k in (1, 5, 10, 25, 50, 100, 500):
         start = time.perf_counter()
         out = selection.select_refresh(m, k)
         took = time.perf_counter() - start
@@ -77,11 +79,11 @@ def k_sweep(s: SparkSession, d: str) -> DataFrame:
 
 def queue_visits(s: SparkSession, d: str) -> DataFrame:
     rows = []
-    for n in SMALL:
+    for n in LARGE:
         for w in ("c001", "c01"):
-            m = gains.Memo.build(built(s, d, n, w), 32)
+            m = gains.Memo.build(built(s, d, n, w), 64)
             for kind, f in (("lazy", selection.select_lazy), ("refresh", selection.select_refresh)):
-                out = f(m, 10)
+                out = f(m, 50)
                 rows.append((n, w, kind, out.visits, out.scans))
     return s.createDataFrame(rows, "graph string, setting string, queue string, visits long, scans long")
 
@@ -143,24 +145,47 @@ def samplers(s: SparkSession, d: str) -> DataFrame:
 
 
 def scaling(s: SparkSession, d: str, cores: tuple[int, ...] = (1, 2, 4, 8)) -> DataFrame:
-    """Seconds of the component stage by number of cores, each in a process of its own."""
+    """Seconds of the component stage by graph, weights and number of cores, each in a process of its own."""
     code = (
         "import sys, time\nfrom spreadmax.session import local_session\nfrom spreadmax.operators import gains\nfrom spreadmax.plans.workloads import built\n"
-        "s = local_session(int(sys.argv[1]), 8)\ng = built(s, sys.argv[2], 'cust_part', 'c001')\ngains.Memo.build(g, 8)\nt = time.perf_counter()\n"
+        "s = local_session(int(sys.argv[1]), 8)\ng = built(s, *sys.argv[2:5])\ngains.Memo.build(g, 8)\nt = time.perf_counter()\n"
         "gains.Memo.build(g, 256)\nprint('SECONDS', time.perf_counter() - t)"
     )
     rows = []
-    for c in cores:
-        out = subprocess.run([sys.executable, "-c", code, str(c), d], capture_output=True, text=True, check=True).stdout
-        rows.append((c, float(out.rsplit("SECONDS", 1)[1])))
-    return s.createDataFrame([(c, t, rows[0][1] / t) for c, t in rows], "cores int, seconds double, speedup double")
+    for graph in ("copurchase", "cust_part"):
+        for setting in ("c001", "c01"):
+            first = None
+            for c in cores:
+                out = subprocess.run([sys.executable, "-c", code, str(c), d, graph, setting], capture_output=True, text=True, check=True).stdout
+                took = float(out.rsplit("SECONDS", 1)[1])
+                first = first or took
+                rows.append((graph, setting, c, took, first / took))
+    return s.createDataFrame(rows, "graph string, setting string, cores int, seconds double, speedup double")
+
+
+def ratio(s: SparkSession, d: str) -> DataFrame:
+    """Exact spread of the greedy seeds over that of the best seeds, on the complete toy graph and a path with a star."""
+    edges = {
+        "complete": graphs.cycle_of_friends(s),
+        "star_path": s.createDataFrame([(1, 2, 1), (1, 3, 1), (1, 4, 1), (4, 5, 1), (5, 6, 1), (6, 7, 1), (7, 8, 1)], "src long, dst long, mult long"),
+    }
+    rows = []
+    for name, e in edges.items():
+        g = CascadeGraph.of(e, 0.3)
+        m = gains.Memo.build(g, 512, sampler="remix")
+        for k in (1, 2):
+            own = [v for v, _ in selection.select_lazy(m, k).seeds]
+            found = diffusion.spread_exact(g.edges, s.createDataFrame([("greedy", v) for v in own], "set string, id long")).head()["sigma"]
+            best = diffusion.optimal_seeds(g.edges, k).head()["sigma"]
+            rows.append((name, k, found, best, *measures.approx_ratio(found, best, k)))
+    return s.createDataFrame(rows, "graph string, k int, greedy double, best double, ratio double, bound double, holds boolean")
 
 
 EXPERIMENTS: dict[str, Experiment] = {
     f.__name__: f
     for f in (
         datasets, uniformity, against_baseline, against_comparator, comparator_speedup, speedup_breakdown, k_sweep, queue_visits, memory_by_weight, live_against_all, toy,
-        cascade_models, made_undirected, samplers, scaling,
+        cascade_models, made_undirected, samplers, scaling, ratio,
     )
 }
 

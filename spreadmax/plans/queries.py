@@ -538,24 +538,32 @@ query(
 )(lambda s, d: measures.jaccard(flagship(s, d), baselines.degree_seeds(graphs.cust_part(s, d), 5)))
 
 
-def _runs(s: SparkSession) -> DataFrame:
-    rows = [(g, w, m, float(len(g) * 3 + len(w) + 2 * len(m))) for g in ("cust_part", "geo_forest") for w in ("c001", "c01") for m in ("fused_memo", "degree")]
-    return s.createDataFrame(rows, "graph string, setting string, method string, score double")
+def _runs(s: SparkSession, d: str) -> DataFrame:
+    from spreadmax.plans.workloads import experiment
 
+    return experiment(s, d, ["geo_forest", "user_key"], ["c001", "c01"], ["fused_memo", "degree"], k=3, runs=R, score_runs=64)
 
-_RUNS = (
-    "rn AS (SELECT g AS graph, w AS setting, m AS method, CAST(len(g) * 3 + len(w) + 2 * len(m) AS DOUBLE) AS score FROM "
-    "(VALUES ('cust_part'), ('geo_forest')) a(g), (VALUES ('c001'), ('c01')) b(w), (VALUES ('fused_memo'), ('degree')) c(m))"
-)
+
+def _runs_sql() -> str:
+    parts = []
+    for g in ("geo_forest", "user_key"):
+        for w, thr in (("c001", T1), ("c01", T01)):
+            top = f"WITH {o.EDGES[g]}, {o.DEG} SELECT id FROM dg ORDER BY d DESC, id LIMIT 3"
+            for m, seeds in (("fused_memo", f"SELECT id FROM ({o.seeds_sql(g, R, 3, thr)})"), ("degree", top)):
+                parts.append(f"SELECT '{g}' AS graph, '{w}' AS setting, '{m}' AS method, sigma AS score, se AS score_se FROM ({qs.score(g, thr, seeds, 64)})")
+    return " UNION ALL ".join(parts)
+
+
+_RUNS = f"rn AS MATERIALIZED ({_runs_sql()})"
 query(
     "report_cube",
     f"WITH {_RUNS} SELECT graph, setting, method, round(avg(score), 4) AS score, count(*) AS n, grouping(graph, setting, method) AS level FROM rn GROUP BY CUBE (graph, setting, method)",
-)(lambda s, d: measures.report_cube(_runs(s)))
+)(lambda s, d: measures.report_cube(_runs(s, d)))
 query(
     "report_pivot",
-    f"WITH {_RUNS} SELECT graph, max(score) FILTER (method = 'degree' AND setting = 'c001') AS degree_c001, max(score) FILTER (method = 'degree' AND setting = 'c01') AS degree_c01, "
-    "max(score) FILTER (method = 'fused_memo' AND setting = 'c001') AS fused_memo_c001, max(score) FILTER (method = 'fused_memo' AND setting = 'c01') AS fused_memo_c01 FROM rn GROUP BY graph",
-)(lambda s, d: measures.report_pivot(_runs(s)))
+    f"WITH {_RUNS} SELECT graph, round(max(score) FILTER (method = 'degree' AND setting = 'c001'), 4) AS degree_c001, round(max(score) FILTER (method = 'degree' AND setting = 'c01'), 4) AS degree_c01, "
+    "round(max(score) FILTER (method = 'fused_memo' AND setting = 'c001'), 4) AS fused_memo_c001, round(max(score) FILTER (method = 'fused_memo' AND setting = 'c01'), 4) AS fused_memo_c01 FROM rn GROUP BY graph",
+)(lambda s, d: measures.report_pivot(_runs(s, d)))
 _GAINS = o.with_(o.graph("cust_part"), o.sampled(R), o.MEMO, select=o.gains(R))
 query("gains_rank_window", f"SELECT id, gain_sum, CAST(rank() OVER (ORDER BY gain_sum DESC) AS INT) AS rk, CAST(dense_rank() OVER (ORDER BY gain_sum DESC) AS INT) AS dr FROM ({_GAINS})")(
     lambda s, d: measures.gain_ranks(_memo(s, d).gains().select("id", "gain_sum"))
@@ -683,12 +691,16 @@ query("stream_memo", o.with_(o.graph("user_key"), o.sampled(8), o.MEMO, select="
 )
 
 
-def _experiment(s: SparkSession, d: str) -> DataFrame:
-    from spreadmax.plans.workloads import experiment
+query("experiment_scores", f"WITH {_RUNS} SELECT graph, setting, method, score, score_se FROM rn")(
+    lambda s, d: _runs(s, d).select("graph", "setting", "method", "score", "score_se")
+)
+
+
+def _ratio(s: SparkSession, d: str) -> DataFrame:
+    from spreadmax.plans.experiments import ratio
 
-    runs = experiment(s, d, ["geo_forest"], ["c01"], ["fused_memo", "degree"], k=3, runs=16, score_runs=64)
-    return runs.select("graph", "setting", "method", "k", "score", "score_se", "visits")
+    return ratio(s, d)
 
 
-query("experiment_scores")(_experiment)
+query("approx_ratio")(_ratio)
 assert math.isclose(math.floor(0.01 * 2147483647), int(T1))

@@ -338,3 +338,59 @@ def test_experiments_do_not_cap_the_comparator(spark, small, monkeypatch):
     monkeypatch.setattr(workloads.rrset, "rrset_greedy", greedy)
     workloads.experiment(spark, small, ["geo_forest"], ["c01"], ["rr_0.5", "rr_0.13"], k=1, runs=1, score_runs=1)
     assert asked == [(0.5, None), (0.13, None)]
+
+
+def test_runs_beyond_their_limit_are_stopped(spark):
+    import time
+
+    from spreadmax.plans.workloads import limited
+
+    slow = lambda: [spark.range(3_000_000_000, numPartitions=400).selectExpr("sum(sqrt(id) * sin(id))").head() for _ in range(50)]
+    start = time.perf_counter()
+    assert limited(spark, 1.0, slow) is None and time.perf_counter() - start < 30
+    assert limited(spark, 30.0, lambda: spark.range(5).count()) == 5 == limited(spark, None, lambda: spark.range(5).count())
+    with pytest.raises(ZeroDivisionError):
+        limited(spark, 30.0, lambda: 1 / 0)
+
+
+def test_scores_by_components_and_by_rounds_agree(spark):
+    g = random_graph(spark)
+    for ids in ([0], [3, 41, 7], [41]):
+        seeds = spark.createDataFrame([(i,) for i in ids], "id long")
+        assert diffusion.score_seeds(g, seeds, 40).head() == diffusion.score_seeds(g, seeds, 40, by="rounds").head()
+
+
+def test_driver_memory_of_the_queue_is_bounded(spark):
+    m = gains.Memo.build(random_graph(spark), 16)
+    want = selection.select_scan(m, 6).seeds
+    assert selection.select_lazy(m, 6, block=3, held=1).seeds == want
+    assert selection.select_lazy(m, 6, block=3, held=1, lookahead=True).seeds == want
+    heavy = gains.sized(m.rows.select("sim", "id", "label"), gains.component_sizes(m.rows), heavy_rows=1, heavy_labels=3)
+    assert sorted(map(tuple, heavy.select("sim", "id", "label", "size").collect())) == sorted(map(tuple, m.rows.select("sim", "id", "label", "size").collect()))
+
+
+def test_comparator_without_vertices(spark):
+    empty = CascadeGraph.of(spark.createDataFrame([], "src long, dst long, mult long"), 0.1)
+    assert rrset.rrset_greedy(empty, 2, 0.5)["seeds"] == [] and rrset.rr_sets(empty, 5).count() == 0
+
+
+def test_stream_memo_goes_on_where_it_stopped(spark, tmp_path):
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    from spreadmax.streaming import edges as stream
+
+    rng = random.Random(3)
+    rows = [(i, None, rng.randrange(30), "view", 1.0, '{"k": %d}' % rng.randrange(30)) for i in range(240)]
+    all_rows = spark.createDataFrame(rows, stream.EVENTS)
+    place, source = f"file://{tmp_path}/place", tmp_path / "source"
+    source.mkdir()
+    kinds = [pa.int64(), pa.timestamp("us"), pa.int64(), pa.string(), pa.float64(), pa.string()]
+    names = ["event_id", "ts", "user_id", "event_type", "value", "props"]
+    for part in range(3):
+        own = zip(*[r for r in rows if r[0] % 3 == part], strict=True)
+        pq.write_table(pa.table([pa.array(x, t) for x, t in zip(own, kinds, strict=True)], names=names), source / f"events{part}.parquet")
+        got = stream.stream_memo(spark, str(source), 0.3, 4, place=place)
+    whole = canonicalise(all_rows.selectExpr("2 * user_id AS src", "2 * CAST(get_json_object(props, '$.k') AS BIGINT) + 1 AS dst"))
+    assert memo_rows(got) == brute_memo(sampling.fused_sample(CascadeGraph.of(whole, 0.3), 4))
+    assert len(stream._versions(spark, f"{place}/memo")) == 2
