@@ -81,23 +81,34 @@ def geo_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return canonicalise(low.unionByName(high))
 
 
-def embed_sim(spark: SparkSession, sf_dir: str, least: float = 0.3) -> DataFrame:
+def embed_sim(spark: SparkSession, sf_dir: str, least: float = 0.3, block_rows: int = 512) -> DataFrame:
     """Pairs of vectors with a cosine above `least`, with w = cosine scaled from `least` .. 1 into 0 .. 1.
 
-    A stated comparison of all vectors with all: the smaller side is broadcast in
-    blocks by the caller where the table is large.
+    A stated comparison of all vectors with all, by pairs of blocks: every vector goes to each block pair that its
+    block belongs to, so a task holds `2 * block_rows` vectors on average and nothing is broadcast.
     """
     dot = lambda a, b: F.aggregate(
         F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x
     )
-    v = load(spark, sf_dir, "embeddings", "vec_id", "embedding")
-    unit = v.select("vec_id", "embedding", F.sqrt(dot(F.col("embedding"), F.col("embedding"))).alias("len"))
-    a = unit.select(F.col("vec_id").alias("src"), F.col("embedding").alias("ea"), F.col("len").alias("la"))
-    b = unit.select(F.col("vec_id").alias("dst"), F.col("embedding").alias("eb"), F.col("len").alias("lb"))
+    v = load(spark, sf_dir, "embeddings", "vec_id", "embedding").withColumn("vec_id", F.col("vec_id").cast("long")).filter("vec_id IS NOT NULL")
+    blocks = max(1, -(-v.count() // block_rows))
+    unit = v.select(
+        "vec_id", "embedding", F.sqrt(dot(F.col("embedding"), F.col("embedding"))).alias("len"),
+        F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("block"),
+    )
+    a = unit.select(
+        F.col("block").alias("low"), F.explode(F.sequence("block", F.lit(blocks - 1))).alias("high"),
+        F.col("vec_id").alias("ia"), F.col("embedding").alias("ea"), F.col("len").alias("la"),
+    )
+    b = unit.select(
+        F.explode(F.sequence(F.lit(0), "block")).alias("low"), F.col("block").alias("high"),
+        F.col("vec_id").alias("ib"), F.col("embedding").alias("eb"), F.col("len").alias("lb"),
+    )
     cosine = dot(F.col("ea"), F.col("eb")) / (F.col("la") * F.col("lb"))
-    pairs = a.join(b, F.col("src") < F.col("dst")).withColumn("cosine", F.round(cosine, 6))
+    once = a.join(b.hint("shuffle_hash"), ["low", "high"]).filter("low < high OR ia < ib")
+    pairs = once.withColumn("cosine", F.round(cosine, 6))
     return pairs.filter(F.col("cosine") > least).select(
-        F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst"), F.lit(1).cast("long").alias("mult"),
+        F.least("ia", "ib").alias("src"), F.greatest("ia", "ib").alias("dst"), F.lit(1).cast("long").alias("mult"),
         F.round((F.col("cosine") - least) / (1 - least), 6).alias("w"),
     )
 
@@ -163,13 +174,29 @@ def graph_between(spark: SparkSession, sf_dir: str, begin: str, end: str) -> Dat
     )
 
 
-def graph_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Reply graph: each event's user and the user of the latest earlier event with the same key."""
+def latest_before(events: DataFrame, span: int = 3600) -> DataFrame:
+    """(event_id, user_id, k, ts) with `before`: the user of the latest earlier event of the same key that has a user.
+
+    The events of a key are ordered within spans of `span` seconds, not in one task: a key hands the last user of
+    each span on to its next one, so a window over whole keys sees one row per span. Ties of ts go by event_id;
+    events without a time come first; events without a key are one group.
+    """
     from pyspark.sql import Window
 
-    events = interactions_with_ids(spark, sf_dir)
-    earlier = Window.partitionBy("k").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
-    replies = events.withColumn("before", F.last("user_id", ignorenulls=True).over(earlier)).filter("before IS NOT NULL")
+    cut = events.withColumn("part", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / span))
+    newest = F.max(F.when(F.col("user_id").isNotNull(), F.struct("ts", "event_id", "user_id")))
+    ends = cut.groupBy("k", "part").agg(newest.alias("newest"))
+    parts = Window.partitionBy("k").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    handed = ends.select("k", "part", F.last("newest.user_id", ignorenulls=True).over(parts).alias("user_id")).filter("user_id IS NOT NULL")
+    first = handed.withColumn("own", F.lit(False))
+    both = cut.withColumn("own", F.lit(True)).unionByName(first, allowMissingColumns=True)
+    earlier = Window.partitionBy("k", "part").orderBy("own", "ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
+    return both.withColumn("before", F.last("user_id", ignorenulls=True).over(earlier)).filter("own").drop("own", "part")
+
+
+def graph_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Reply graph: each event's user and the user of the latest earlier event with the same key."""
+    replies = latest_before(interactions_with_ids(spark, sf_dir)).filter("before IS NOT NULL")
     return canonicalise(replies.select(F.col("user_id").alias("src"), F.col("before").alias("dst")))
 
 

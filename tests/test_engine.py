@@ -3,6 +3,7 @@
 import math
 import random
 import re
+from datetime import datetime, timedelta
 from itertools import combinations
 
 import pytest
@@ -394,3 +395,25 @@ def test_stream_memo_goes_on_where_it_stopped(spark, tmp_path):
     whole = canonicalise(all_rows.selectExpr("2 * user_id AS src", "2 * CAST(get_json_object(props, '$.k') AS BIGINT) + 1 AS dst"))
     assert memo_rows(got) == brute_memo(sampling.fused_sample(CascadeGraph.of(whole, 0.3), 4))
     assert len(stream._versions(spark, f"{place}/memo")) == 2
+
+
+def test_latest_before(spark):
+    rng = random.Random(3)
+    rows = []
+    for i in range(600):  # a hot key, ties, gaps of several spans, missing users, keys and times
+        at = None if i % 97 == 0 else datetime(2024, 1, 1) + timedelta(seconds=40 * rng.randrange(900))
+        rows.append((i, None if i % 7 == 0 else rng.randrange(50), None if i % 31 == 0 else rng.choice([1, 1, 2, 3]), at))
+    events = spark.createDataFrame(rows, "event_id long, user_id long, k long, ts timestamp_ntz")
+    got = {r["event_id"]: r["before"] for r in graphs.latest_before(events, span=300).collect()}
+    last, want = {}, {}
+    for i, user, k, _ in sorted(rows, key=lambda r: (r[3] is not None, r[3] or datetime.min, r[0])):
+        want[i] = last.get(k)
+        last[k] = last.get(k) if user is None else user
+    assert got == want
+    assert graphs.latest_before(events.limit(0)).count() == 0
+
+
+def test_similar_vectors_by_blocks(spark, small):
+    one, many = (graphs.embed_sim(spark, small, block_rows=n) for n in (1 << 20, 37))
+    assert "NestedLoop" not in many._jdf.queryExecution().toString()
+    assert sorted(map(tuple, one.collect())) == sorted(map(tuple, many.collect()))
