@@ -18,7 +18,7 @@ from spreadmax.functions.hashing import constant_list, draw
 from spreadmax.operators.connectivity import contracted_components
 from spreadmax.operators.graph import CascadeGraph
 from spreadmax.operators.sampling import fused_sample
-from spreadmax.session import release, rewritten, written
+from spreadmax.session import bucketed, release, rewritten, written
 
 PUSHES = ("live", "all", "pull", "auto")
 #: 'auto' sends from all vertices as long as live ones have this share of the arcs: choosing arcs then costs more than it saves.
@@ -83,7 +83,7 @@ def components_lanes(
         raise ValueError(f"push is one of {PUSHES}")
     spark = g.edges.sparkSession
     batches = batch_table(spark, runs, width, seed)
-    arcs = written(g.arcs.select("u", "v", "h", "thr"), "arcs")
+    arcs = bucketed(g.arcs.select("u", "v", "h", "thr"), "u", "arcs")  # every round joins them on u
     columns = [f"l{j}" for j in range(width)]
     lanes = written(lanes_init(g, batches, width).withColumn("live", F.lit(True)), "lanes")
     degree = written(arcs.groupBy("u").agg(F.count(F.lit(1)).alias("deg")), "degree") if push == "auto" else None
@@ -110,6 +110,8 @@ def components_lanes(
         lanes, n = after, n + 1
         if not changed:
             break
+    release(arcs)
+    release(degree)
     flat = F.explode(F.array(*[F.struct((F.col("batch") * width + j).alias("sim"), F.col(f"l{j}").alias("label")) for j in range(width)]))
     memo = lanes.select("id", flat.alias("s")).select("s.sim", "id", "s.label").filter(F.col("sim") < runs)
     return without_singletons(memo)
@@ -184,6 +186,8 @@ def components(
 
         plan = choose(g, runs, width, seed, sampler)
         strategy, wave = plan.strategy, min(wave, wave_of(plan, runs))
+        if sampler == "independent" and strategy == "lanes":
+            strategy = "star"  # lanes share one hash of an edge
     if strategy == "lanes":
         return components_lanes(g, runs, width, seed, sampler=sampler)
     solve = {"local": components_local, "minlabel": components_minlabel, "star": components_star}[strategy]

@@ -25,9 +25,12 @@ def with_sims(df: DataFrame, runs: int, seed: int = 7, first: int = 0) -> DataFr
 def fused_sample(
     g: CascadeGraph, runs: int, seed: int = 7, sampler: str = "xor", strict: bool = False, first: int = 0
 ) -> DataFrame:
-    """(sim, src, dst) of kept edges from one scan of the edges, without a shuffle."""
+    """(sim, src, dst) of kept edges from one scan of the edges, without a shuffle.
+
+    sampler: 'xor', 'remix', or 'independent', whose draws share no hash between simulations.
+    """
     rows = with_sims(g.edges.select("src", "dst", "h", "thr"), runs, seed, first)
-    return rows.filter(keeps(sampler, strict)).select("sim", "src", "dst")
+    return rows.filter(keeps(sampler, strict, seed)).select("sim", "src", "dst")
 
 
 def keeps(sampler: str = "xor", strict: bool = False, score_seed: int = SCORE_SEED) -> Column:

@@ -37,7 +37,7 @@ def datasets(s: SparkSession, d: str) -> DataFrame:
 def uniformity(s: SparkSession, d: str) -> DataFrame:
     """Binned distribution of draws by graph and sampler."""
     out = None
-    for n in LARGE:
+    for n in sorted(graphs.BUILDERS):
         g = CascadeGraph.of(graphs.BUILDERS[n](s, d), 0.01)
         for sampler in ("xor", "remix"):
             one = measures.draw_cdf(g, 32, sampler=sampler).withColumn("graph", F.lit(n)).withColumn("sampler", F.lit(sampler))
@@ -102,11 +102,24 @@ def memory_by_weight(s: SparkSession, d: str) -> DataFrame:
 def live_against_all(s: SparkSession, d: str) -> DataFrame:
     """Rounds, live vertices and arcs visited when live vertices, all vertices or beside-live vertices take part."""
     rows = []
-    for push in components.PUSHES:
+    for n in SMALL:
+        for push in components.PUSHES:
+            t = components.Trace()
+            components.components_lanes(built(s, d, n, "c001"), 16, 16, push=push, trace=t)
+            rows += [(n, push, r["round"], r["live"], r["arcs_visited"]) for r in t.rounds]
+    return s.createDataFrame(rows, "graph string, push string, round int, live long, arcs_visited long")
+
+
+def batch_widths(s: SparkSession, d: str, graph: str = "cust_part", runs: int = 32, widths: tuple[int, ...] = (8, 16, 32)) -> DataFrame:
+    """Seconds and rounds of the lanes by the number of simulations that one row carries; the first run warms up and does not count."""
+    g = built(s, d, graph, "c001")
+    rows = []
+    for i, width in enumerate((widths[0], *widths)):
         t = components.Trace()
-        components.components_lanes(built(s, d, "cust_part", "c001"), 16, 16, push=push, trace=t)
-        rows += [(push, r["round"], r["live"], r["arcs_visited"]) for r in t.rounds]
-    return s.createDataFrame(rows, "push string, round int, live long, arcs_visited long")
+        start = time.perf_counter()
+        found = components.components_lanes(g, runs, width, trace=t).count()
+        rows += [(graph, width, len(t.rounds), time.perf_counter() - start, found)] if i else []
+    return s.createDataFrame(rows, "graph string, width int, rounds int, seconds double, memo_rows long")
 
 
 def toy(s: SparkSession, d: str) -> DataFrame:
@@ -133,7 +146,7 @@ def samplers(s: SparkSession, d: str) -> DataFrame:
     """Self-estimate against independent score by sampler and number of simulations."""
     rows = []
     g = built(s, d, "cust_part", "c001")
-    for sampler in ("xor", "remix"):
+    for sampler in ("xor", "remix", "independent"):
         for runs in (8, 32, 128):
             m = gains.Memo.build(g, runs, sampler=sampler)
             out = selection.select_refresh(m, 5)
@@ -184,7 +197,7 @@ def ratio(s: SparkSession, d: str) -> DataFrame:
 EXPERIMENTS: dict[str, Experiment] = {
     f.__name__: f
     for f in (
-        datasets, uniformity, against_baseline, against_comparator, comparator_speedup, speedup_breakdown, k_sweep, queue_visits, memory_by_weight, live_against_all, toy,
+        datasets, uniformity, against_baseline, against_comparator, comparator_speedup, speedup_breakdown, k_sweep, queue_visits, memory_by_weight, live_against_all, batch_widths, toy,
         cascade_models, made_undirected, samplers, scaling, ratio,
     )
 }

@@ -70,10 +70,35 @@ def written(df: DataFrame, tag: str = "t") -> DataFrame:
     return out
 
 
+def _drop(spark: SparkSession, name: str) -> None:
+    try:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+    except Exception:  # the JVM may be gone when the interpreter ends
+        pass
+
+
+def bucketed(df: DataFrame, by: str, tag: str = "b", buckets: int | None = None) -> DataFrame:
+    """Like `written`, dealt to buckets and sorted by a column: joins on it need no shuffle of this side, however often
+    they are repeated. A catalogue table over files in the shared folder, with as many buckets as the session has
+    shuffle partitions."""
+    spark = df.sparkSession
+    name = f"spreadmax_{tag}_{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/spreadmax/{name}"
+    n = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    df.repartition(n, by).write.bucketBy(n, by).sortBy(by).option("path", path).saveAsTable(name)
+    atexit.register(_remove, spark, path)
+    atexit.register(_drop, spark, name)
+    out = spark.table(name)
+    out._written_to, out._table = path, name
+    return out
+
+
 def release(df: DataFrame | None) -> None:
-    """Delete the files of a table that `written` gave, once nothing reads them any more (other DataFrames are left alone)."""
+    """Delete the files of a table that `written` or `bucketed` gave, once nothing reads them any more (other DataFrames are left alone)."""
     path = getattr(df, "_written_to", None)
     if path is not None:
+        if getattr(df, "_table", None):
+            _drop(df.sparkSession, df._table)
         _remove(df.sparkSession, path)
 
 

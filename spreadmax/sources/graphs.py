@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spreadmax.operators.graph import canonicalise
@@ -20,11 +20,25 @@ def load(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
     return df.select(*columns) if columns else df
 
 
-def _co_occurring(df: DataFrame, key: str, item: str) -> DataFrame:
-    """Pairs of items that share a key; mult counts the keys. Keys are baskets of bounded size."""
-    a = df.select(key, F.col(item).alias("src")).distinct()
-    b = a.withColumnRenamed("src", "dst")
-    return canonicalise(a.join(b, key).filter("src < dst"))
+#: Items of a basket that are paired in one task; larger baskets are dealt to blocks.
+BASKET = 512
+#: Parts of a line that many documents have.
+LINE_PARTS = 64
+
+
+def _co_occurring(df: DataFrame, key: str, item: str, basket: int = BASKET) -> DataFrame:
+    """Pairs of items that share a key; mult counts the keys.
+
+    A basket of more than `basket` items is dealt to blocks, and each pair of its blocks is a join key of its own.
+    Its edges are all its pairs: that is the graph asked for, so their number grows with the square of the basket.
+    """
+    items = df.select(key, F.col(item).alias("src")).filter(F.col(key).isNotNull() & F.col("src").isNotNull()).distinct()
+    large = items.groupBy(key).agg(F.ceil(F.count(F.lit(1)) / basket).cast("int").alias("blocks")).filter("blocks > 1")
+    dealt = items.join(large, key, "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    dealt = dealt.withColumn("block", F.pmod(F.xxhash64("src"), "blocks").cast("int"))
+    a = dealt.select(key, F.col("block").alias("low"), F.explode(F.sequence("block", F.col("blocks") - 1)).alias("high"), "src")
+    b = dealt.select(key, F.explode(F.sequence(F.lit(0), "block")).alias("low"), F.col("block").alias("high"), F.col("src").alias("dst"))
+    return canonicalise(a.join(b, [key, "low", "high"]).filter("low < high OR src < dst"))
 
 
 def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -128,17 +142,24 @@ def page_link(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def doc_line(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents and the trimmed lines that at least two of them have."""
+    """Documents and the trimmed lines that at least two of them have.
+
+    Lines are known by their number from the scan on, so no text is shuffled; a line that many documents have is
+    counted and joined in LINE_PARTS parts, by document.
+    """
     lines = (
         load(spark, sf_dir, "documents", "doc_id", "text")
         .select("doc_id", F.explode(F.split("text", "\n")).alias("raw"))
-        .select("doc_id", F.trim("raw").alias("line"))
-        .filter("line <> ''")
+        .select("doc_id", F.trim("raw").alias("raw"))
+        .filter("raw <> ''")
+        .select("doc_id", string_id("raw").alias("line"), F.pmod(F.xxhash64("doc_id"), F.lit(LINE_PARTS)).cast("int").alias("part"))
         .distinct()
     )
-    shared = lines.groupBy("line").count().filter("count > 1").select("line")
+    parts = lines.groupBy("line", "part").agg(F.count(F.lit(1)).alias("n"))
+    every = Window.partitionBy("line")  # LINE_PARTS rows at most
+    shared = parts.withColumn("docs", F.sum("n").over(every)).filter("docs > 1").select("line", "part")
     return canonicalise(
-        lines.join(shared, "line").select((2 * F.col("doc_id")).alias("src"), (2 * string_id("line") + 1).alias("dst"))
+        lines.join(shared, ["line", "part"]).select((2 * F.col("doc_id")).alias("src"), (2 * F.col("line") + 1).alias("dst"))
     )
 
 
@@ -181,8 +202,6 @@ def latest_before(events: DataFrame, span: int = 3600) -> DataFrame:
     each span on to its next one, so a window over whole keys sees one row per span. Ties of ts go by event_id;
     events without a time come first; events without a key are one group.
     """
-    from pyspark.sql import Window
-
     cut = events.withColumn("part", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / span))
     newest = F.max(F.when(F.col("user_id").isNotNull(), F.struct("ts", "event_id", "user_id")))
     ends = cut.groupBy("k", "part").agg(newest.alias("newest"))

@@ -9,7 +9,7 @@ import __spark_entry__ as contract
 from spreadmax.plans.queries import ORACLES, QUERIES
 
 NAMES = [
-    "graph_cust_part", "graph_page_link", "edge_hash_murmur", "draw_cdf_remix", "weights_normal", "fused_sample", "lane_superstep", "components_star",
+    "graph_cust_part", "graph_page_link", "graph_doc_line", "edge_hash_murmur", "draw_cdf_remix", "weights_normal", "fused_sample", "lane_superstep", "components_star",
     "initial_gains", "fused_memo_greedy", "spread_wc", "spread_lt", "spread_lt_live_edge", "spread_ic_rounds", "rr_cover", "optimal_seeds", "report_cube",
     "stream_session", "udtf_components", "sql_functions",
 ]

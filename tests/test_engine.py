@@ -13,7 +13,8 @@ from spreadmax.functions import hashing
 from spreadmax.operators import baselines, components, diffusion, gains, measures, rrset, sampling, selection, weights
 from spreadmax.operators.connectivity import contracted_components
 from spreadmax.operators.graph import CascadeGraph, canonicalise, degrees, graph_stats, induced_subgraph, vertices_of
-from spreadmax.plans import planner
+from spreadmax.plans import experiments, planner
+from spreadmax.session import bucketed, release, written
 from spreadmax.sources import files, graphs
 
 
@@ -417,3 +418,47 @@ def test_similar_vectors_by_blocks(spark, small):
     one, many = (graphs.embed_sim(spark, small, block_rows=n) for n in (1 << 20, 37))
     assert "NestedLoop" not in many._jdf.queryExecution().toString()
     assert sorted(map(tuple, one.collect())) == sorted(map(tuple, many.collect()))
+
+
+def test_large_baskets_are_paired_by_blocks(spark):
+    rows = [(1, i) for i in range(40)] + [(2, i) for i in range(30, 45)] + [(3, 7), (None, 1), (3, None), (3, 7)]
+    df = spark.createDataFrame(rows, "k long, i long")
+    want = {}
+    for key in (1, 2):
+        for pair in combinations([i for k, i in rows if k == key], 2):
+            want[pair] = want.get(pair, 0) + 1
+    for basket in (4, 512):
+        got = graphs._co_occurring(df, "k", "i", basket).collect()
+        assert {(r["src"], r["dst"]): r["mult"] for r in got} == want and len(got) == len(want)
+
+
+def test_bucketed_tables_are_joined_without_their_shuffle(spark):
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        g = random_graph(spark)
+        arcs = bucketed(g.arcs.select("u", "v", "h", "thr"), "u", "arcs")
+        batches = components.batch_table(spark, 4, 4, 7)
+        lanes = written(components.lanes_init(g, batches, 4), "lanes")
+        plans = [components.lane_messages(lanes, side, batches, 4)._jdf.queryExecution().executedPlan().toString() for side in (arcs, written(arcs, "arcs"))]
+        assert [p.count("Exchange hashpartitioning") for p in plans] == [2, 3]
+        assert arcs.count() == 2 * g.edges.count()
+        name = arcs._table
+        release(arcs)
+        assert not spark.catalog.tableExists(name)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_independent_sampler(spark):
+    g = random_graph(spark)
+    want = brute_memo(sampling.fused_sample(g, 6, sampler="independent"))
+    assert memo_rows(components.components(g, 6, sampler="independent")) == want
+    assert want != brute_memo(sampling.sample_edges(g, 6))  # the score oracle's draws are others
+    with pytest.raises(ValueError):
+        components.components(g, 6, "lanes", sampler="independent")
+
+
+def test_batch_widths(spark, small):
+    rows = experiments.batch_widths(spark, small, "geo_forest", 8, (4, 8)).collect()
+    assert [r["width"] for r in rows] == [4, 8] and rows[0]["memo_rows"] == rows[1]["memo_rows"] > 0 and rows[0]["rounds"] == rows[1]["rounds"]
