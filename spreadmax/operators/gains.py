@@ -91,6 +91,11 @@ class Memo:
     def gains(self) -> DataFrame:
         return gains_of(self.vertices, self.rows, self.runs)
 
+    def release(self) -> None:
+        """Delete its tables; only when nothing reads it any more."""
+        release(self.rows)
+        release(self.vertices)
+
     def sizes(self) -> DataFrame:
         return self.rows.select("sim", "label", "size").distinct()
 

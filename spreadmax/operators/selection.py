@@ -156,6 +156,29 @@ def _within(keys: np.ndarray, taken: np.ndarray) -> np.ndarray:
     return taken[np.minimum(np.searchsorted(taken, keys), len(taken) - 1)] == keys
 
 
+def _rest_of_round(source: Coverage, table: DataFrame, newer: dict[int, int], seeds: list[int]) -> tuple[int, int, int, DataFrame] | None:
+    """What a queue does until its next choice, in one scan: (the vertex chosen, its gain, how many are visited, the bounds after it).
+
+    A queue visits the vertices whose bounds come before the gain of the one that it then chooses. `newer` holds bounds
+    that the driver knows better than `table` does.
+    """
+    spark = table.sparkSession
+    known = F.broadcast(spark.createDataFrame(list(newer.items()), "id long, newer long"))  # at most a block for each seed
+    bounds = table.join(F.broadcast(_ids(spark, seeds)), "id", "left_anti").join(known, "id", "left")
+    bounds = bounds.select("id", F.coalesce("newer", "gain_sum").alias("bound"))
+    fresh = source.gains(seeds).select("id", F.col("gain_sum").alias("fresh"))
+    both = written(bounds.join(fresh, "id", "left").select("id", "bound", F.coalesce("fresh", F.lit(0)).alias("fresh")), "bounds")
+    top = both.orderBy(F.desc("fresh"), "id").limit(1).collect()
+    if not top:
+        release(both)
+        return None
+    v, gain = top[0]["id"], top[0]["fresh"]
+    visited = (F.col("bound") > gain) | ((F.col("bound") == gain) & (F.col("id") <= v))
+    visits = both.filter(visited).count()
+    after = both.filter(F.col("id") != v).select("id", F.when(visited, F.col("fresh")).otherwise(F.col("bound")).alias("gain_sum"))
+    return v, gain, visits, rewritten(both, after, "gains")
+
+
 def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False, refresh: bool = False, held: int = HELD_PAIRS) -> Selection:
     """A lazy queue: stale gains are upper bounds, so a vertex whose fresh gain stays on top is chosen.
 
@@ -163,7 +186,9 @@ def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False
     choice that an unfetched vertex could still beat. `lookahead` also keeps the
     gain given the best vertex of the round, which saves a visit when that one is
     chosen. `refresh` recomputes all gains in one scan after a choice that covers
-    much, and begins the queue anew from exact bounds.
+    much, and begins the queue anew from exact bounds. Without `lookahead`, a round
+    of more than `block` visits ends on the cluster (`_rest_of_round`); seeds and
+    visits are those of the queue.
     """
     out, covered = Selection(), np.zeros(0, np.int64)
     chosen: set[int] = set()
@@ -172,6 +197,7 @@ def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False
     top, pairs = _Bounds(table, block), _Pairs(source.rows, held)
     heap: list[tuple[int, int, int]] = []  # (-gain, id, seeds at that time)
     ahead: dict[int, tuple[int, int, int]] = {}  # id -> (best of the round, seeds then, gain given it too)
+    newer: dict[int, int] = {}  # bounds that are newer than those of the table: at most `block` visits a round
 
     def push(stamp: int) -> None:
         for v, g in top.fetch():
@@ -213,7 +239,21 @@ def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False
             best, tried = None, 0
             if not (refresh and g > much and len(out.seeds) < k):
                 continue
-        elif not (refresh and tried >= block):  # else bounds are too stale: one scan is cheaper than further visits
+        elif tried >= block and not lookahead:
+            found = _rest_of_round(source, table, newer, [x for x, _ in out.seeds])
+            if found is None or (found[1] <= 0 and not source.single):
+                break
+            v, fresh, visits, after = found
+            out.visits += visits - (best is not None and v == best[0])  # the best one so far was visited before
+            out.seeds.append((v, fresh))
+            chosen.add(v)
+            covered = np.union1d(covered, keys_of(v)[0])
+            release(table)
+            table, newer = after, {}
+            top, heap, stamp0, best, tried = _Bounds(table, block), [], len(out.seeds) - 1, None, 0
+            if not (refresh and fresh > much and len(out.seeds) < k):
+                continue
+        elif not (refresh and tried >= block):  # else a look-ahead queue renews its bounds: one scan is cheaper than further visits
             seen = ahead.get(v)
             if lookahead and seen is not None and seen[1] == len(out.seeds) - 1 and out.seeds[-1][0] == seen[0]:
                 fresh = seen[2]
@@ -226,11 +266,12 @@ def select(source: Coverage, k: int, block: int = BLOCK, lookahead: bool = False
             if best is None or (fresh, -v) > (best[1], -best[0]):
                 best = (v, fresh)
             heapq.heappush(heap, (-fresh, v, len(out.seeds)))
+            newer[v] = fresh
             continue
         out.scans += 1
         table = rewritten(table, source.gains([x for x, _ in out.seeds]), "gains")
         top, pairs = _Bounds(table, block), _Pairs(source.rows, held)
-        heap, stamp0, ahead, best, tried = [], len(out.seeds), {}, None, 0
+        heap, stamp0, ahead, best, tried, newer = [], len(out.seeds), {}, None, 0, {}
         push(stamp0)
     release(table)
     return out

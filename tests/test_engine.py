@@ -462,3 +462,16 @@ def test_independent_sampler(spark):
 def test_batch_widths(spark, small):
     rows = experiments.batch_widths(spark, small, "geo_forest", 8, (4, 8)).collect()
     assert [r["width"] for r in rows] == [4, 8] and rows[0]["memo_rows"] == rows[1]["memo_rows"] > 0 and rows[0]["rounds"] == rows[1]["rounds"]
+
+
+def test_long_rounds_of_the_queue_end_on_the_cluster(spark, monkeypatch):
+    g = random_graph(spark, 60, 120, 5, 0.5)
+    m = gains.Memo.build(g, 6)
+    plain = selection.select_lazy(m, 6, block=1024)  # all visits on the driver
+    fetched = []
+    fetch = selection._Bounds.fetch
+    monkeypatch.setattr(selection._Bounds, "fetch", lambda self: fetched.append(1) or fetch(self))
+    by_scans = selection.select_lazy(m, 6, block=2)
+    assert by_scans.seeds == plain.seeds == selection.select_scan(m, 6).seeds
+    assert by_scans.visits == plain.visits > 50
+    assert len(fetched) < plain.visits / 2  # blocks were not fetched one by one
