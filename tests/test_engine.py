@@ -475,3 +475,22 @@ def test_long_rounds_of_the_queue_end_on_the_cluster(spark, monkeypatch):
     assert by_scans.seeds == plain.seeds == selection.select_scan(m, 6).seeds
     assert by_scans.visits == plain.visits > 50
     assert len(fetched) < plain.visits / 2  # blocks were not fetched one by one
+
+
+def brute_cokeep(sampled, least):
+    by = {}
+    for r in sampled.collect():
+        by.setdefault((r["src"], r["dst"]), set()).add(r["sim"])
+    return sum(len(by[a] & by[b]) >= least for a, b in combinations(by, 2))
+
+
+def test_pairs_kept_together_are_counted_without_pairs(spark, monkeypatch):
+    sampled = written(sampling.fused_sample(random_graph(spark, 30, 60, 7, 0.3), 12), "sampled")
+    want = brute_cokeep(sampled, 2)
+    got = measures.pair_cokeep(sampled, 12, 0.3)
+    assert got.head()["pairs"] == want > 0
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert not re.search(r"Join Inner.*sim#\d+ = sim#\d+", plan)  # edges do not meet through their simulation
+    assert measures.pair_cokeep(sampled, 12, 0.5).head()["pairs"] == brute_cokeep(sampled, 3)
+    monkeypatch.setattr(measures, "SUBSET_RUNS", 3)  # larger groups are compared
+    assert measures.pair_cokeep(sampled, 12, 0.3).head()["pairs"] == want
