@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from spreadmax.functions.hashing import constant_list, hash31, kept
 from spreadmax.operators.components import components_local
-from spreadmax.operators.diffusion import reach_loop
-from spreadmax.operators.gains import component_sizes, initial_gains, marginal_gains, sized
+from spreadmax.operators.diffusion import components_of, reach_loop
+from spreadmax.operators.gains import component_sizes, gains_of, initial_gains, marginal_gains, sized
 from spreadmax.operators.graph import CascadeGraph, degrees
 from spreadmax.operators.sampling import SCORE_SEED, fused_sample, sample_edges
 from spreadmax.operators.selection import Selection, lazy_greedy
@@ -26,25 +26,35 @@ def _spreads(g: CascadeGraph, seeds: list[int], candidates: list[int], runs: int
     return {r["cand"]: r["n"] / runs for r in counts}
 
 
-def _fresh_draw(seed: int):
-    return hash31(F.least("u", "v"), F.greatest("u", "v"), "sim", seed) <= F.col("thr")
-
-
 def _sims(g: CascadeGraph, runs: int) -> DataFrame:
     return g.edges.sparkSession.range(runs).select(F.col("id").cast("int").alias("sim"))
 
 
 def simulated_spreads(g: CascadeGraph, seeds: list[int], runs: int, seed: int = SCORE_SEED) -> DataFrame:
-    """(id, gain_sum): the mean reach of seeds + {id} of every vertex that is not a seed, on fresh samples; n x runs starts."""
-    each = F.explode(F.array(F.col("id"), *[F.lit(v).cast("long") for v in seeds]))
-    rest = g.vertices.filter(~F.col("id").isin(seeds)) if seeds else g.vertices
-    starts = rest.select(F.col("id").alias("cand"), each.alias("id")).select("*", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("sim"))
-    found = reach_loop(g.arcs.select("u", "v", "h", "thr"), starts, ["cand", "sim"], _fresh_draw(seed))
-    return found.groupBy(F.col("cand").alias("id")).agg((F.count(F.lit(1)) / runs).alias("gain_sum"))
+    """(id, gain_sum): the mean reach of seeds + {id} of every vertex that is not a seed, on fresh samples.
+
+    What a vertex reaches in an undirected sample is its component, the same for all its members: each is traversed
+    once, not once for each vertex in it. A vertex in a component of a seed adds nothing to what the seeds reach.
+    """
+    spark = g.edges.sparkSession
+    sampled = written(sample_edges(g, runs, seed), "sampled")
+    memo = written(components_of(sampled, runs), "memo")
+    release(sampled)
+    rows = written(sized(memo, component_sizes(memo)), "memo")
+    release(memo)
+    if not seeds:
+        return gains_of(g.vertices, rows, runs).select("id", F.col("gain").alias("gain_sum"))
+    own = spark.createDataFrame([(v,) for v in seeds], "id long")
+    held = rows.join(F.broadcast(own), "id", "left_semi")
+    covered = held.select("sim", "label", "size").distinct()  # at most seeds x runs rows
+    reach = covered.agg(F.sum("size").alias("s")).head()["s"] or 0
+    base = reach + len(set(seeds)) * runs - held.count()  # a seed without a kept edge reaches itself
+    added = marginal_gains(g.vertices, rows, covered.select("sim", "label"), own, runs)
+    return added.select("id", ((F.col("gain_sum") + base) / runs).alias("gain_sum"))
 
 
 def plain_greedy(g: CascadeGraph, k: int, runs: int, seed: int = SCORE_SEED) -> Selection:
-    """Every vertex simulated in every round, on fresh samples: for small graphs only."""
+    """Every vertex simulated in every round, on fresh samples."""
     out, sigma = Selection(), 0.0
     for r in range(k):
         spreads = written(simulated_spreads(g, [v for v, _ in out.seeds], runs, seed + r), "spreads")

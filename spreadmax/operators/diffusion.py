@@ -114,15 +114,20 @@ def spread_mc(g: CascadeGraph, seeds: DataFrame, runs: int, model: str = "ic", s
     return reached_per_sim(found)
 
 
-def reached_by_components(g: CascadeGraph, seeds: DataFrame, runs: int, seed: int = SCORE_SEED) -> DataFrame:
-    """(sim, reached) on the same draws as `cascade_rounds`, without rounds: in an undirected graph seeds reach
-    the components of a sample that hold one of them. `seeds` are broadcast: they are few."""
+def components_of(sampled: DataFrame, runs: int) -> DataFrame:
+    """The memo of a stored sample, one task for each simulation where such a task can hold it."""
     from spreadmax.operators.components import components_local, components_star
     from spreadmax.plans.planner import fits_task
 
+    return (components_local if fits_task(sampled, runs) else components_star)(sampled)
+
+
+def reached_by_components(g: CascadeGraph, seeds: DataFrame, runs: int, seed: int = SCORE_SEED) -> DataFrame:
+    """(sim, reached) on the same draws as `cascade_rounds`, without rounds: in an undirected graph seeds reach
+    the components of a sample that hold one of them. `seeds` are broadcast: they are few."""
     own = F.broadcast(seeds.select("id").distinct())
     sampled = written(sample_edges(g, runs, seed), "sampled")
-    memo = written((components_local if fits_task(sampled, runs) else components_star)(sampled), "memo")
+    memo = written(components_of(sampled, runs), "memo")
     held = memo.join(own, "id", "left_semi")
     touched = F.broadcast(held.select("sim", "label").distinct())  # at most seeds x runs rows
     inside = memo.join(touched, ["sim", "label"], "left_semi").groupBy("sim").agg(F.count(F.lit(1)).alias("n"))

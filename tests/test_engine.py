@@ -494,3 +494,24 @@ def test_pairs_kept_together_are_counted_without_pairs(spark, monkeypatch):
     assert measures.pair_cokeep(sampled, 12, 0.5).head()["pairs"] == brute_cokeep(sampled, 3)
     monkeypatch.setattr(measures, "SUBSET_RUNS", 3)  # larger groups are compared
     assert measures.pair_cokeep(sampled, 12, 0.3).head()["pairs"] == want
+
+
+def test_spreads_of_all_vertices_share_traversals(spark, monkeypatch):
+    g = random_graph(spark, 14, 20, 9, 0.4)
+    monkeypatch.setattr(baselines, "reach_loop", lambda *_: pytest.fail("a traversal for each vertex"))
+    sampled = {}
+    for r in sampling.sample_edges(g, 5, 101).collect():
+        sampled.setdefault(r["sim"], []).append((r["src"], r["dst"]))
+
+    def reached(ids):
+        n = 0
+        for sim in range(5):
+            seen = set(ids)
+            while more := {y for a, b in sampled.get(sim, []) for x, y in ((a, b), (b, a)) if x in seen} - seen:
+                seen |= more
+            n += len(seen)
+        return n / 5
+
+    for seeds in ([], [3], [3, 15]):  # 15 is isolated
+        got = {r["id"]: r["gain_sum"] for r in baselines.simulated_spreads(g, seeds, 5).collect()}
+        assert got == {v: reached([*seeds, v]) for v in range(17) if v not in seeds}
