@@ -515,3 +515,10 @@ def test_spreads_of_all_vertices_share_traversals(spark, monkeypatch):
     for seeds in ([], [3], [3, 15]):  # 15 is isolated
         got = {r["id"]: r["gain_sum"] for r in baselines.simulated_spreads(g, seeds, 5).collect()}
         assert got == {v: reached([*seeds, v]) for v in range(17) if v not in seeds}
+
+
+def test_pairs_of_remixed_samples_kept_together(spark):
+    sampled = written(sampling.fused_sample(random_graph(spark, 30, 60, 8, 0.3), 12, sampler="remix"), "sampled")
+    got = measures.pair_cokeep(sampled, 12, 0.3)
+    assert got.head()["pairs"] == brute_cokeep(sampled, 2) > 0
+    assert not re.search(r"Join Inner.*sim#\d+ = sim#\d+", got._jdf.queryExecution().optimizedPlan().toString())
