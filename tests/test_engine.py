@@ -522,3 +522,9 @@ def test_pairs_of_remixed_samples_kept_together(spark):
     got = measures.pair_cokeep(sampled, 12, 0.3)
     assert got.head()["pairs"] == brute_cokeep(sampled, 2) > 0
     assert not re.search(r"Join Inner.*sim#\d+ = sim#\d+", got._jdf.queryExecution().optimizedPlan().toString())
+
+
+def test_lookahead_bounds_need_no_traversal_of_each_vertex(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "reach_loop", lambda *_: pytest.fail("a traversal for each vertex"))
+    g = random_graph(spark, 14, 20, 9, 0.4)
+    assert baselines.lazy_forward(g, 1, 5, lookahead=True).seeds == baselines.component_greedy(g, 1, 5).seeds
