@@ -528,3 +528,10 @@ def test_lookahead_bounds_need_no_traversal_of_each_vertex(spark, monkeypatch):
     monkeypatch.setattr(baselines, "reach_loop", lambda *_: pytest.fail("a traversal for each vertex"))
     g = random_graph(spark, 14, 20, 9, 0.4)
     assert baselines.lazy_forward(g, 1, 5, lookahead=True).seeds == baselines.component_greedy(g, 1, 5).seeds
+
+
+def test_plain_greedy_needs_no_traversal_of_each_vertex(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "reach_loop", lambda *_: pytest.fail("a traversal for each vertex"))
+    g = random_graph(spark, 14, 20, 9, 0.4)
+    out = baselines.plain_greedy(g, 2, 5)
+    assert out.seeds[0] == baselines.component_greedy(g, 1, 5).seeds[0] and out.visits == 17 + 16
