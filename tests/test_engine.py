@@ -535,3 +535,22 @@ def test_plain_greedy_needs_no_traversal_of_each_vertex(spark, monkeypatch):
     g = random_graph(spark, 14, 20, 9, 0.4)
     out = baselines.plain_greedy(g, 2, 5)
     assert out.seeds[0] == baselines.component_greedy(g, 1, 5).seeds[0] and out.visits == 17 + 16
+
+
+def test_similar_vectors_are_multiplied_as_blocks(spark, tmp_path):
+    rng = random.Random(3)
+    vectors = [[rng.gauss(0, 1) for _ in range(6)] for _ in range(40)] + [[1.0, 2.0]] * 2 + [[0.0] * 6, None]
+    vectors[7] = [2 * x for x in vectors[5]]
+    df = spark.createDataFrame(list(enumerate(vectors)), "vec_id int, embedding array<float>")
+    df.write.parquet(f"{tmp_path}/embeddings.parquet")
+    vectors = {r["vec_id"]: r["embedding"] for r in df.collect() if r["embedding"] and any(r["embedding"])}
+    dot = lambda x, y: sum(a * b for a, b in zip(x, y, strict=True))
+    want = set()
+    for a, b in combinations(sorted(vectors), 2):
+        x, y = vectors[a], vectors[b]
+        if len(x) == len(y) and round(dot(x, y) / math.sqrt(dot(x, x) * dot(y, y)), 6) > 0.3:
+            want.add((a, b))
+    got = graphs.embed_sim(spark, str(tmp_path), block_rows=11)
+    rows = [(r["src"], r["dst"]) for r in got.collect()]
+    assert len(rows) == len(set(rows)) and set(rows) == want and (40, 41) in want and (5, 7) in want
+    assert "aggregate(" not in got._jdf.queryExecution().optimizedPlan().toString()  # no dot product row by row
