@@ -14,6 +14,7 @@ from spreadmax.operators import baselines, components, diffusion, gains, measure
 from spreadmax.operators.connectivity import contracted_components
 from spreadmax.operators.graph import CascadeGraph, canonicalise, degrees, graph_stats, induced_subgraph, vertices_of
 from spreadmax.plans import experiments, planner
+from spreadmax.plans.queries import QUERIES
 from spreadmax.session import bucketed, release, written
 from spreadmax.sources import files, graphs
 
@@ -554,3 +555,10 @@ def test_similar_vectors_are_multiplied_as_blocks(spark, tmp_path):
     rows = [(r["src"], r["dst"]) for r in got.collect()]
     assert len(rows) == len(set(rows)) and set(rows) == want and (40, 41) in want and (5, 7) in want
     assert "aggregate(" not in got._jdf.queryExecution().optimizedPlan().toString()  # no dot product row by row
+
+
+def test_hash_bias_reads_the_orders(spark, small):
+    got = QUERIES["hash_bias"](spark, small)
+    n = spark.read.parquet(f"{small}/orders.parquet").count()
+    assert {r["bit"]: r["flips"] for r in got.collect()} == dict.fromkeys(range(16), n)
+    assert "orders.parquet" in "".join(got.inputFiles())
