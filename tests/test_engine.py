@@ -562,3 +562,12 @@ def test_hash_bias_reads_the_orders(spark, small):
     n = spark.read.parquet(f"{small}/orders.parquet").count()
     assert {r["bit"]: r["flips"] for r in got.collect()} == dict.fromkeys(range(16), n)
     assert "orders.parquet" in "".join(got.inputFiles())
+
+
+def test_simulation_constants_read_the_events(spark, small):
+    got = QUERIES["sim_constants"](spark, small)
+    ids = [r["event_id"] for r in spark.read.parquet(f"{small}/events.parquet").select("event_id").collect()]
+    assert sorted(r["sim"] for r in got.collect()) == sorted(ids)
+    assert "events.parquet" in "".join(got.inputFiles())
+    xs = {r["sim"]: r["x"] for r in got.collect()}
+    assert hashing.constant_list(spark, 5) == [xs[i] for i in range(5)]  # the same constants as those of the samplers
