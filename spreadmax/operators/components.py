@@ -149,20 +149,24 @@ def components_star(sampled: DataFrame) -> DataFrame:
     return contracted_components(sampled, by=["sim"])
 
 
-def label_components(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(ids, labels) of the components of one sample: smallest id, by vectorised hooking and jumping."""
-    ids, flat = np.unique(np.concatenate((src, dst)), return_inverse=True)
-    a, b = flat[: len(src)], flat[len(src) :]
-    root = np.arange(len(ids))
+def hooked(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
+    """The smallest vertex of the component of each of the vertices 0 .. n-1, over edges a - b."""
+    root = np.arange(n)
     while True:
         ra, rb = root[a], root[b]
         if (ra == rb).all():
-            return ids, ids[root]
+            return root
         np.minimum.at(root, np.maximum(ra, rb), np.minimum(ra, rb))
         while (root[root] != root).any():
             root = root[root]
 
 
+def label_components(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, labels) of the components of one sample: smallest id, by vectorised hooking and jumping."""
+    ids, flat = np.unique(np.concatenate((src, dst)), return_inverse=True)
+    return ids, ids[hooked(flat[: len(src)], flat[len(src) :], len(ids))]
+
+
 def components_local(sampled: DataFrame) -> DataFrame:
     """One task solves one simulation; a sample must fit a task (the planner sees to that)."""
 

@@ -13,13 +13,23 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadmax.functions.hashing import hash31
+from spreadmax.operators.components import components_local, components_star
 from spreadmax.operators.diffusion import reach_loop
-from spreadmax.operators.graph import CascadeGraph
+from spreadmax.operators.graph import CascadeGraph, symmetrise
+from spreadmax.operators.rrlocal import solver
 from spreadmax.operators.selection import SetCoverage, select
 from spreadmax.session import release, written
 
 RR_SEED = 31
 BUCKETS = 64
+#: Edges of a piece that one task holds, about 100 bytes each; sets in larger components are found by rounds of joins.
+PIECE_EDGES = 4_000_000
+#: Components of fewer edges share a piece of about so many.
+SMALL_EDGES = 65_536
+#: Draws of a part of the sets of a piece at most, if every set passed over all edges, and (set, vertex) cells.
+PART_DRAWS, PART_CELLS = 2_000_000_000, 16_000_000
+#: Draws of a part at least, so that a part is worth its copy of the piece.
+LEAST_DRAWS = 100_000_000
 
 
 @dataclass
@@ -57,20 +67,78 @@ def numbered(vertices: DataFrame) -> DataFrame:
     return dealt.select("id", (begin + F.row_number().over(own) - 1).alias("number"))
 
 
-def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, order: DataFrame | None = None, n: int | None = None) -> DataFrame:
+@dataclass
+class Pieces:
+    """A graph in pieces, for sets that stay within a component: a large component is a piece (bucket -1, label), small
+    ones share one (bucket, label 0)."""
+
+    edges: DataFrame  # bucket, label, src, dst, h, thr
+    homes: DataFrame  # number, id, bucket, label: vertices by their number
+    sizes: DataFrame  # bucket, label, m, n: edges and vertices of the pieces
+    n: int
+
+    @classmethod
+    def of(cls, g: CascadeGraph) -> Pieces:
+        order = numbered(g.vertices)
+        edges = written(g.edges.select("src", "dst", "h", "thr"), "edges")
+        count = edges.count()
+        solve = components_local if count <= PIECE_EDGES else components_star
+        labels = written(solve(edges.select(F.lit(0).alias("sim"), "src", "dst")).select("id", "label"), "labels")
+        by_label = edges.join(labels.withColumnRenamed("id", "src"), "src")
+        large = written(by_label.groupBy("label").agg(F.count(F.lit(1)).alias("m")).filter(F.col("m") > SMALL_EDGES).select("label", F.lit(True).alias("own")), "large")
+        buckets = max(1, -(-count // SMALL_EDGES))
+        bucket = F.when(F.col("own"), -1).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets))).cast("int")
+        label = F.when(F.col("own"), F.col("label")).otherwise(0)
+        dealt = written(by_label.join(large, "label", "left").select(bucket.alias("bucket"), label.alias("label"), "src", "dst", "h", "thr"), "pieces")
+        homes = order.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id")).join(large, "label", "left")
+        homes = written(homes.select("number", "id", bucket.alias("bucket"), label.alias("label")), "homes")
+        m = dealt.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("m"))
+        sizes = homes.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).join(m, ["bucket", "label"], "left")
+        sizes = written(sizes.select("bucket", "label", F.coalesce("m", F.lit(0)).alias("m"), "n"), "sizes")
+        for table in (edges, labels, large):
+            release(table)
+        return cls(dealt, homes, sizes, homes.count())
+
+    def release(self) -> None:
+        for table in (self.edges, self.homes, self.sizes):
+            release(table)
+
+
+def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, pieces: Pieces | None = None) -> DataFrame:
     """(rr_id, id): the members of `count` sets. Set r has root hash(r, seed) mod n and draws of its own.
 
-    `order` and `n`: the numbered vertices and their count, where several calls share them.
+    A set stays within a component of the graph. The sets of a component that a task can hold are dealt to parts, each
+    solved in one task beside a copy of the edges; those in larger ones are found by rounds of joins. `pieces`: the
+    graph in pieces, where several calls share it.
     """
     spark = g.edges.sparkSession
-    order = order if order is not None else written(numbered(g.vertices), "numbered")
-    n = n if n is not None else order.count()
-    if not n:
+    pieces = pieces or Pieces.of(g)
+    if not pieces.n:
         return spark.createDataFrame([], "rr_id long, id long")
-    roots = spark.range(first, first + count).select(F.col("id").alias("rr_id"), (hash31("id", seed) % n).cast("long").alias("number"))
-    starts = roots.join(order, "number").select("rr_id", "id")
-    keep = hash31("h", "rr_id", seed) <= F.col("thr")
-    return reach_loop(g.arcs.select("u", "v", "h", "thr"), starts, ["rr_id"], keep).select("rr_id", "id")
+    keys = ["bucket", "label"]
+    numbers = spark.range(first, first + count).select(F.col("id").alias("rr_id"), (hash31("id", seed) % pieces.n).cast("long").alias("number"))
+    roots = written(numbers.join(pieces.homes, "number").select("rr_id", "id", *keys), "roots")
+    asked = written(roots.groupBy(*keys).agg(F.count(F.lit(1)).alias("sets")).join(pieces.sizes, keys), "asked")
+    near = asked.filter(F.col("m") <= PIECE_EDGES)
+    draws = (F.col("sets") * F.col("m")).cast("double")
+    total = near.agg(F.sum(draws)).head()[0] or 0.0
+    unit = min(PART_DRAWS, max(LEAST_DRAWS, total / (3 * spark.sparkContext.defaultParallelism)))
+    parts = F.ceil(F.greatest(draws / unit, F.col("sets").cast("double") * F.col("n") / PART_CELLS, F.lit(1.0))).cast("int")
+    near = written(near.select(*keys, parts.alias("parts")), "parts")
+    tasks = max(1, 4 * int(near.agg(F.sum("parts")).head()[0] or 0))
+    part = [*keys, "part"]
+    dealt = roots.join(near, keys).withColumn("part", F.pmod("rr_id", "parts").cast("int")).select(*part, "rr_id", "id")
+    copies = pieces.edges.join(near, keys).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    copies = copies.select(*part, "src", "dst", F.hash(F.col("h").cast("long")).alias("state"), "thr")
+    sides = (x.repartition(tasks, *part).groupBy(*part) for x in (dealt, copies))
+    own, other = sides
+    sets = own.cogroup(other).applyInArrow(solver(seed), "rr_id long, id long")
+    far = asked.filter(F.col("m") > PIECE_EDGES).select(*keys)
+    if far.limit(1).count():
+        arcs = symmetrise(pieces.edges.join(far, keys, "left_semi").select("src", "dst", "h", "thr"))
+        keep = hash31("h", "rr_id", seed) <= F.col("thr")
+        sets = sets.unionByName(reach_loop(arcs, roots.join(far, keys, "left_semi").select("rr_id", "id"), ["rr_id"], keep).select("rr_id", "id"))
+    return sets
 
 
 def greedy_cover(rr: DataFrame, k: int) -> tuple[list[tuple[int, int]], int]:
@@ -85,18 +153,16 @@ def rrset_greedy(g: CascadeGraph, k: int, eps: float, ell: float = 1.0, seed: in
     Guesses of the optimum are halved until one is confirmed; the last phase draws
     fresh sets. `most` bounds the sets of a run for tests. A graph without vertices has no seeds.
     """
-    order = written(numbered(g.vertices), "numbered")
-    n = order.count()
+    pieces = Pieces.of(g)
+    n = pieces.n
     if not n:
         return {"seeds": [], "sigma": 0.0, "sets": 0, "lower": 0.0, "members": 0}
-    edges = written(g.edges, "edges")
-    g = CascadeGraph(g.vertices, edges)
     b = bounds(n, k, eps, ell)
     members = 0
 
     def phase(theta: int, first: int) -> tuple[list[tuple[int, int]], int]:
         nonlocal members
-        rr = written(rr_sets(g, theta, first, seed, order, n), "rr")
+        rr = written(rr_sets(g, theta, first, seed, pieces), "rr")
         members = max(members, rr.count())
         found = greedy_cover(rr, k)
         release(rr)
@@ -115,6 +181,5 @@ def rrset_greedy(g: CascadeGraph, k: int, eps: float, ell: float = 1.0, seed: in
     theta = max(1, math.ceil(b.final / lower))
     theta = min(theta, most) if most else theta
     seeds, covered = phase(theta, first)
-    release(edges)
-    release(order)
+    pieces.release()
     return {"seeds": seeds, "sigma": n * covered / theta, "sets": theta, "lower": lower, "members": members}

@@ -6,11 +6,12 @@ import re
 from datetime import datetime, timedelta
 from itertools import combinations
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from spreadmax.functions import hashing
-from spreadmax.operators import baselines, components, diffusion, gains, measures, rrset, sampling, selection, weights
+from spreadmax.operators import baselines, components, diffusion, gains, measures, rrlocal, rrset, sampling, selection, weights
 from spreadmax.operators.connectivity import contracted_components
 from spreadmax.operators.graph import CascadeGraph, canonicalise, degrees, graph_stats, induced_subgraph, vertices_of
 from spreadmax.plans import experiments, planner
@@ -538,6 +539,45 @@ def test_plain_greedy_needs_no_traversal_of_each_vertex(spark, monkeypatch):
     assert out.seeds[0] == baselines.component_greedy(g, 1, 5).seeds[0] and out.visits == 17 + 16
 
 
+@pytest.mark.parametrize("share", [0.0, 1 / 16, 99.0])
+def test_reverse_sets_of_a_piece_are_those_of_rounds(spark, share):
+    """Passes over the edges (0), expanded vertices (99) and the mix of both draw what the column hash draws."""
+    edges = [(r["src"], r["dst"], 1) for r in random_graph(spark, 60, 150, 4).edges.collect()]
+    edges += [(1000 + i, 1001 + i, 1) for i in range(9)] + [(5_000_000_000, 5_000_000_001, 1), (70, 71, 1)]
+    weight = F.when(F.col("src") == 70, 0.0).when(F.col("src") > 999, 1.0).otherwise(F.lit(0.1) + F.col("dst") % 3 * 0.1)
+    g = CascadeGraph.of(spark.createDataFrame(edges, "src long, dst long, mult long"), weight, spark.range(63))
+    sets, roots = 40, {}
+    numbers = {r["number"]: r["id"] for r in rrset.numbered(g.vertices).collect()}
+    first = (1 << 32) - 20  # the upper half of the number counts too
+    for r in spark.range(first, first + sets).select("id", hashing.hash31("id", 31).alias("q")).collect():
+        roots[r["id"]] = numbers[r["q"] % len(numbers)]
+    starts = spark.createDataFrame(list(roots.items()), "rr_id long, id long")
+    keep = hashing.hash31("h", "rr_id", 31) <= F.col("thr")
+    rounds = diffusion.reach_loop(g.arcs.select("u", "v", "h", "thr"), starts, ["rr_id"], keep)
+    want = sorted((r["rr_id"], r["id"]) for r in rounds.collect())
+    flat = [(r["src"], r["dst"], r["state"], r["thr"]) for r in g.edges.select("src", "dst", F.hash(F.col("h").cast("long")).alias("state"), "thr").collect()]
+    tables = pa.table({"rr_id": list(roots), "id": list(roots.values())}), pa.Table.from_pylist([dict(zip(("src", "dst", "state", "thr"), x, strict=True)) for x in flat], pa.schema({"src": pa.int64(), "dst": pa.int64(), "state": pa.int32(), "thr": pa.int32()}))
+    before, rrlocal.PASS_SHARE = rrlocal.PASS_SHARE, share
+    try:
+        got = rrlocal.solver(31)(*tables)
+    finally:
+        rrlocal.PASS_SHARE = before
+    assert sorted(zip(got["rr_id"].to_pylist(), got["id"].to_pylist(), strict=True)) == want
+    assert sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, sets, first).collect()) == want
+
+
+def test_reverse_sets_need_rounds_only_in_components_beyond_a_task(spark, monkeypatch):
+    g = random_graph(spark, 50, 80, 6, 0.3)
+    monkeypatch.setattr(rrset, "PIECE_EDGES", 3)  # also labels by contraction
+    monkeypatch.setattr(rrset, "SMALL_EDGES", 2)
+    want = sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, 60).collect())
+    monkeypatch.setattr(rrset, "reach_loop", lambda *_: pytest.fail("rounds of joins"))
+    monkeypatch.setattr(rrset, "PIECE_EDGES", 1000)
+    monkeypatch.setattr(rrset, "LEAST_DRAWS", 100)  # several parts
+    assert sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, 60).collect()) == want
+    assert rrset.rrset_greedy(g, 2, 0.5)["sets"] > 60
+
+
 def test_similar_vectors_are_multiplied_as_blocks(spark, tmp_path):
     rng = random.Random(3)
     vectors = [[rng.gauss(0, 1) for _ in range(6)] for _ in range(40)] + [[1.0, 2.0]] * 2 + [[0.0] * 6, None]
