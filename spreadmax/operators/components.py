@@ -11,6 +11,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -167,6 +168,43 @@ def label_components(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.n
     return ids, ids[hooked(flat[: len(src)], flat[len(src) :], len(ids))]
 
 
+#: Edges that a task reduces at once to those of a forest.
+FOREST_EDGES = 1 << 20
+
+
+def spanning(edges: DataFrame) -> DataFrame:
+    """(src, dst): edges between vertices that `edges` connect, with the same components and fewer rows.
+
+    Every task keeps one edge for each vertex it meets, to the smallest of those it has seen connected; what it holds
+    is bounded by FOREST_EDGES, beyond which it gives edges out and begins anew.
+    """
+
+    def reduced(batches):
+        none = np.zeros(0, np.int64)
+        src, dst, held = [], [], 0
+
+        def forest(most: int):
+            """The (vertex, label) edges that are given out, and those that are held on."""
+            ids, labels = label_components(np.concatenate((none, *src)), np.concatenate((none, *dst)))
+            ids, labels = ids[ids != labels], labels[ids != labels]
+            out = pa.record_batch({"src": ids, "dst": labels}) if len(ids) > most else None
+            return out, ([none], [none], 0) if out is not None else ([ids], [labels], len(ids))
+
+        for batch in batches:
+            src.append(batch.column(0).to_numpy(zero_copy_only=False))
+            dst.append(batch.column(1).to_numpy(zero_copy_only=False))
+            held += batch.num_rows
+            if held >= FOREST_EDGES:
+                out, (src, dst, held) = forest(FOREST_EDGES // 2)
+                if out is not None:
+                    yield out
+        out, _ = forest(0)
+        if out is not None:
+            yield out
+
+    return edges.select("src", "dst").mapInArrow(reduced, "src long, dst long")
+
+
 def components_local(sampled: DataFrame) -> DataFrame:
     """One task solves one simulation; a sample must fit a task (the planner sees to that)."""
 

@@ -13,8 +13,9 @@ import pyarrow as pa
 from spreadmax.functions.hashing import INT_MAX
 from spreadmax.operators.components import hooked
 
-#: A set whose vertices have more than this share of the edges of the piece as arcs is drawn by a pass over its edges.
-PASS_SHARE = 1 / 16
+#: A set whose vertices have more arcs than this share of what a pass costs is drawn by a pass over all edges of the piece. A pass costs its
+#: edges and, for its calls, so many more.
+PASS_SHARE, PASS_EDGES = 1 / 64, 1 << 18
 #: Edges that are drawn at once for a set; they and two buffers stay in a core's cache.
 STRIP = 65536
 #: Arcs that are expanded at once, and (set, vertex) cells of a batch of sets.
@@ -83,7 +84,7 @@ class Piece:
     def expanded(self, sets: np.ndarray, roots: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(set, vertex) of small sets, and which sets are left to a pass over the edges."""
         low, high = mixed_halves(sets)
-        many = max(64, int(PASS_SHARE * len(self.a)))
+        many = max(64, int(PASS_SHARE * (len(self.a) + PASS_EDGES)))
         seen = np.zeros(len(sets) * self.n, bool)
         tested, left = np.zeros(len(sets), np.int64), np.zeros(len(sets), bool)
         front = np.arange(len(sets)) * self.n + roots
@@ -146,14 +147,47 @@ class Piece:
         return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, np.int64),) * 2
 
 
+PACKED = "bucket int, label long, chunk int, ids binary, a binary, b binary, state binary, thr binary"
+
+
+def packed(edges: pa.Table) -> pa.Table:
+    """A piece (bucket, label, src, dst, state, thr) as a few rows of arrays: its vertices in order, and the edges by their numbers.
+
+    Every part of the sets of a piece reads the piece anew; a row of arrays is moved and decoded at once.
+    """
+    src, dst, state, thr = (edges.column(c).to_numpy() for c in ("src", "dst", "state", "thr"))
+    ids, flat = np.unique(np.concatenate((src, dst)), return_inverse=True)
+    a, b = np.split(flat.astype(np.int32), 2)
+    chunks = -(-max(len(ids), len(a)) // STRIP)
+    cut = lambda x: pa.array([x[c * STRIP : (c + 1) * STRIP].tobytes() for c in range(chunks)], pa.binary())
+    key = {c: edges.column(c).slice(0, 1).to_pylist() * chunks for c in ("bucket", "label")}
+    fields = [("bucket", pa.int32()), ("label", pa.int64()), ("chunk", pa.int32())]
+    columns = [*(pa.array(key[c], kind) for c, kind in fields[:2]), pa.array(range(chunks), pa.int32())]
+    return pa.table([*columns, *map(cut, (ids, a, b, state, thr))], [*(c for c, _ in fields), "ids", "a", "b", "state", "thr"])
+
+
+def _unpacked(rows: pa.Table) -> list[np.ndarray]:
+    rows = rows.sort_by("chunk")
+    kinds = (("ids", np.int64), ("a", np.int32), ("b", np.int32), ("state", np.int32), ("thr", np.int32))
+    return [np.frombuffer(b"".join(rows.column(c).to_pylist()), kind) for c, kind in kinds]
+
+
 def solver(seed: int):
-    """The kernel of `rr_sets`: roots (rr_id, id) and edges (src, dst, state, thr) of a piece -> (rr_id, id)."""
+    """The kernel of `rr_sets`: roots (rr_id, id) and edges of a piece, as rows of `packed` or as (src, dst, state, thr) -> (rr_id, id)."""
 
     def solve(roots: pa.Table, edges: pa.Table) -> pa.Table:
         sets, starts = (roots.column(c).to_numpy() for c in ("rr_id", "id"))
-        src, dst, state, thr = (edges.column(c).to_numpy() for c in ("src", "dst", "state", "thr"))
-        ids, flat = np.unique(np.concatenate((src, dst, starts)), return_inverse=True)
-        a, b, begin = np.split(flat, [len(src), 2 * len(src)])
+        if "chunk" in edges.column_names:
+            own, a, b, state, thr = _unpacked(edges)
+            ids = np.union1d(own, starts)  # a root may have no edge
+            if len(ids) > len(own):
+                at = np.searchsorted(ids, own)
+                a, b = at[a], at[b]
+            begin = np.searchsorted(ids, starts)
+        else:
+            src, dst, state, thr = (edges.column(c).to_numpy() for c in ("src", "dst", "state", "thr"))
+            ids, flat = np.unique(np.concatenate((src, dst, starts)), return_inverse=True)
+            a, b, begin = np.split(flat, [len(src), 2 * len(src)])
         rr, v = Piece(len(ids), a, b, state, thr, seed).members(sets, begin)
         return pa.table({"rr_id": rr, "id": ids[v]})
 

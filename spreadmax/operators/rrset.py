@@ -13,10 +13,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spreadmax.functions.hashing import hash31
-from spreadmax.operators.components import components_local, components_star
+from spreadmax.operators.components import components_local, components_star, spanning
 from spreadmax.operators.diffusion import reach_loop
 from spreadmax.operators.graph import CascadeGraph, symmetrise
-from spreadmax.operators.rrlocal import solver
+from spreadmax.operators.rrlocal import PACKED, packed, solver
 from spreadmax.operators.selection import SetCoverage, select
 from spreadmax.session import release, written
 
@@ -28,6 +28,8 @@ PIECE_EDGES = 4_000_000
 SMALL_EDGES = 65_536
 #: Draws of a part of the sets of a piece at most, if every set passed over all edges, and (set, vertex) cells.
 PART_DRAWS, PART_CELLS = 2_000_000_000, 16_000_000
+#: Parts of the sets for each core at least, so that cores end at about the same time.
+PARTS = 4
 #: Draws of a part at least, so that a part is worth its copy of the piece.
 LEAST_DRAWS = 100_000_000
 
@@ -72,35 +74,43 @@ class Pieces:
     """A graph in pieces, for sets that stay within a component: a large component is a piece (bucket -1, label), small
     ones share one (bucket, label 0)."""
 
-    edges: DataFrame  # bucket, label, src, dst, h, thr
+    packs: DataFrame  # bucket, label, chunk, arrays: the pieces that a task can hold, see `rrlocal.packed`
+    far: DataFrame | None  # bucket, label, src, dst, h, thr: edges of the larger ones
     homes: DataFrame  # number, id, bucket, label: vertices by their number
     sizes: DataFrame  # bucket, label, m, n: edges and vertices of the pieces
     n: int
 
     @classmethod
     def of(cls, g: CascadeGraph) -> Pieces:
-        order = numbered(g.vertices)
         edges = written(g.edges.select("src", "dst", "h", "thr"), "edges")
-        count = edges.count()
-        solve = components_local if count <= PIECE_EDGES else components_star
-        labels = written(solve(edges.select(F.lit(0).alias("sim"), "src", "dst")).select("id", "label"), "labels")
+        forest = written(spanning(edges), "forest")
+        solve = components_local if forest.count() <= PIECE_EDGES else components_star
+        labels = written(solve(forest.select(F.lit(0).alias("sim"), "src", "dst")).select("id", "label"), "labels")
         by_label = edges.join(labels.withColumnRenamed("id", "src"), "src")
-        large = written(by_label.groupBy("label").agg(F.count(F.lit(1)).alias("m")).filter(F.col("m") > SMALL_EDGES).select("label", F.lit(True).alias("own")), "large")
+        own = written(by_label.groupBy("label").agg(F.count(F.lit(1)).alias("m")), "own")
+        count = own.agg(F.coalesce(F.sum("m"), F.lit(0))).head()[0]
         buckets = max(1, -(-count // SMALL_EDGES))
-        bucket = F.when(F.col("own"), -1).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets))).cast("int")
-        label = F.when(F.col("own"), F.col("label")).otherwise(0)
-        dealt = written(by_label.join(large, "label", "left").select(bucket.alias("bucket"), label.alias("label"), "src", "dst", "h", "thr"), "pieces")
-        homes = order.join(labels, "id", "left").withColumn("label", F.coalesce("label", "id")).join(large, "label", "left")
-        homes = written(homes.select("number", "id", bucket.alias("bucket"), label.alias("label")), "homes")
-        m = dealt.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("m"))
-        sizes = homes.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).join(m, ["bucket", "label"], "left")
-        sizes = written(sizes.select("bucket", "label", F.coalesce("m", F.lit(0)).alias("m"), "n"), "sizes")
-        for table in (edges, labels, large):
+        large = F.coalesce(F.col("m"), F.lit(0)) > SMALL_EDGES
+        bucket = F.when(large, -1).otherwise(F.pmod(F.xxhash64("label"), F.lit(buckets))).cast("int").alias("bucket")
+        label = F.when(large, F.col("label")).otherwise(0).alias("label")
+        order = numbered(g.vertices).join(labels, "id", "left").withColumn("label", F.coalesce("label", "id")).join(own, "label", "left")
+        first = F.when(F.col("id") == F.col("label"), F.coalesce("m", F.lit(0))).otherwise(0).alias("first")  # the edges of a component, once
+        homes = written(order.select("number", "id", bucket, label, first), "homes")
+        sizes = written(homes.groupBy("bucket", "label").agg(F.sum("first").alias("m"), F.count(F.lit(1)).alias("n")), "sizes")
+        dealt = by_label.join(own, "label").select(bucket, label, "src", "dst", "h", "thr")
+        beyond, far = sizes.filter(F.col("m") > PIECE_EDGES).select("bucket", "label"), None
+        if beyond.limit(1).count():
+            far = written(dealt.join(beyond, ["bucket", "label"], "left_semi"), "far")
+            dealt = dealt.join(beyond, ["bucket", "label"], "left_anti")
+        near = dealt.select("bucket", "label", "src", "dst", F.hash(F.col("h").cast("long")).alias("state"), "thr")
+        tasks = max(4 * edges.sparkSession.sparkContext.defaultParallelism, 4 * count // PIECE_EDGES)
+        packs = written(near.repartition(tasks, "bucket", "label").groupBy("bucket", "label").applyInArrow(packed, PACKED), "packs")
+        for table in (edges, forest, labels, own):
             release(table)
-        return cls(dealt, homes, sizes, homes.count())
+        return cls(packs, far, homes, sizes, homes.count())
 
     def release(self) -> None:
-        for table in (self.edges, self.homes, self.sizes):
+        for table in (self.packs, self.far, self.homes, self.sizes):
             release(table)
 
 
@@ -117,27 +127,25 @@ def rr_sets(g: CascadeGraph, count: int, first: int = 0, seed: int = RR_SEED, pi
         return spark.createDataFrame([], "rr_id long, id long")
     keys = ["bucket", "label"]
     numbers = spark.range(first, first + count).select(F.col("id").alias("rr_id"), (hash31("id", seed) % pieces.n).cast("long").alias("number"))
-    roots = written(numbers.join(pieces.homes, "number").select("rr_id", "id", *keys), "roots")
+    roots = numbers.join(pieces.homes, "number").select("rr_id", "id", *keys)
     asked = written(roots.groupBy(*keys).agg(F.count(F.lit(1)).alias("sets")).join(pieces.sizes, keys), "asked")
-    near = asked.filter(F.col("m") <= PIECE_EDGES)
-    draws = (F.col("sets") * F.col("m")).cast("double")
-    total = near.agg(F.sum(draws)).head()[0] or 0.0
-    unit = min(PART_DRAWS, max(LEAST_DRAWS, total / (3 * spark.sparkContext.defaultParallelism)))
-    parts = F.ceil(F.greatest(draws / unit, F.col("sets").cast("double") * F.col("n") / PART_CELLS, F.lit(1.0))).cast("int")
-    near = written(near.select(*keys, parts.alias("parts")), "parts")
-    tasks = max(1, 4 * int(near.agg(F.sum("parts")).head()[0] or 0))
+    held = F.col("m") <= PIECE_EDGES
+    draws, cells = (F.col("sets").cast("double") * F.col(c) for c in ("m", "n"))
+    near, total, spread = asked.filter(held).agg(F.count(F.lit(1)), F.coalesce(F.sum(draws), F.lit(0.0)), F.coalesce(F.sum(cells), F.lit(0.0))).head()
+    unit = min(PART_DRAWS, max(LEAST_DRAWS, total / (PARTS * spark.sparkContext.defaultParallelism)))
+    parts = F.ceil(F.greatest(draws / unit, cells / PART_CELLS, F.lit(1.0))).cast("int")
+    tasks = max(1, 2 * (near + math.ceil(total / unit + spread / PART_CELLS)))  # at least twice the parts
+    near = asked.filter(held).select(*keys, parts.alias("parts"))
     part = [*keys, "part"]
     dealt = roots.join(near, keys).withColumn("part", F.pmod("rr_id", "parts").cast("int")).select(*part, "rr_id", "id")
-    copies = pieces.edges.join(near, keys).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    copies = copies.select(*part, "src", "dst", F.hash(F.col("h").cast("long")).alias("state"), "thr")
-    sides = (x.repartition(tasks, *part).groupBy(*part) for x in (dealt, copies))
-    own, other = sides
+    copies = pieces.packs.join(near, keys).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    own, other = (x.repartition(tasks, *part).groupBy(*part) for x in (dealt, copies))
     sets = own.cogroup(other).applyInArrow(solver(seed), "rr_id long, id long")
-    far = asked.filter(F.col("m") > PIECE_EDGES).select(*keys)
-    if far.limit(1).count():
-        arcs = symmetrise(pieces.edges.join(far, keys, "left_semi").select("src", "dst", "h", "thr"))
+    if pieces.far is not None:
+        far = written(roots.join(asked.filter(~held).select(*keys), keys, "left_semi").select("rr_id", "id", *keys), "far")
+        arcs = symmetrise(pieces.far.join(far.select(*keys).distinct(), keys, "left_semi").select("src", "dst", "h", "thr"))
         keep = hash31("h", "rr_id", seed) <= F.col("thr")
-        sets = sets.unionByName(reach_loop(arcs, roots.join(far, keys, "left_semi").select("rr_id", "id"), ["rr_id"], keep).select("rr_id", "id"))
+        sets = sets.unionByName(reach_loop(arcs, far.select("rr_id", "id"), ["rr_id"], keep).select("rr_id", "id"))
     return sets
 
 

@@ -13,6 +13,7 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -41,7 +42,7 @@ class Selection:
 
 
 def _ids(spark: SparkSession, ids: list[int]) -> DataFrame:
-    return spark.createDataFrame([(i,) for i in ids], "id long")
+    return spark.createDataFrame(pa.table({"id": pa.array(ids, pa.int64())}))  # a local table, without a job
 
 
 class MemoCoverage:

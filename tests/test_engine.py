@@ -6,6 +6,7 @@ import re
 from datetime import datetime, timedelta
 from itertools import combinations
 
+import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
@@ -611,3 +612,59 @@ def test_simulation_constants_read_the_events(spark, small):
     assert "events.parquet" in "".join(got.inputFiles())
     xs = {r["sim"]: r["x"] for r in got.collect()}
     assert hashing.constant_list(spark, 5) == [xs[i] for i in range(5)]  # the same constants as those of the samplers
+
+
+def test_sets_of_a_small_piece_are_expanded_at_once(monkeypatch):
+    """A pass over few edges costs its calls, so a set of many vertices is expanded beside the others there."""
+    rng = np.random.default_rng(3)
+    n, m, sets = 60, 1500, np.arange(50)
+    a, b = rng.integers(0, n, (2, m)).astype(np.int32)
+    piece = rrlocal.Piece(n, a, b, rng.integers(-(1 << 31), 1 << 31, m).astype(np.int32), np.full(m, 90_000_000, np.int32), 31)
+    want = sorted(zip(*(x.tolist() for x in piece.passed(sets, sets)), strict=True))
+    assert len(want) > 20 * len(sets)
+    monkeypatch.setattr(rrlocal.Piece, "passed", lambda *_: pytest.fail("a pass for each set"))
+    assert sorted(zip(*(x.tolist() for x in piece.members(sets, sets)), strict=True)) == want
+
+
+def roots_of(spark, g, sets):
+    numbers = {r["number"]: r["id"] for r in rrset.numbered(g.vertices).collect()}
+    drawn = spark.range(sets).select("id", hashing.hash31("id", 31).alias("q")).collect()
+    return sorted((r["id"], numbers[r["q"] % len(numbers)]) for r in drawn)
+
+
+def test_pieces_of_small_components_beyond_a_task_lose_no_set(spark, monkeypatch):
+    """Several components share a piece that no task can hold."""
+    g = CascadeGraph.of(spark.createDataFrame([(10 * i + j, 10 * i + j + 1, 1) for i in range(6) for j in range(3)], "src long, dst long, mult long"), 1.0)
+    monkeypatch.setattr(rrset, "PIECE_EDGES", 8)
+    want = sorted((r, 10 * (v // 10) + j) for r, v in roots_of(spark, g, 40) for j in range(4))
+    assert sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, 40).collect()) == want
+
+
+def test_pieces_are_packed_and_labelled_through_a_forest(spark, monkeypatch):
+    """Labels of a graph with many edges and few vertices are solved in a task; a piece is a few rows, isolated roots included."""
+    g = random_graph(spark, 40, 300, 8, 0.02)
+    g = CascadeGraph(g.vertices.unionByName(spark.range(1000, 1005)).distinct(), g.edges.coalesce(1))
+    want = sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, 80).collect())
+    assert components.spanning(g.edges).count() < 40 and g.edges.count() > 200
+    monkeypatch.setattr(rrset, "PIECE_EDGES", 100)
+    monkeypatch.setattr(rrset, "components_star", lambda *_: pytest.fail("labels by contraction"))
+    assert sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(g, 80).collect()) == want  # the component is beyond a task
+    monkeypatch.setattr(rrset, "PIECE_EDGES", 1000)
+    assert sorted((r["rr_id"], r["id"]) for r in rrset.rr_sets(CascadeGraph(g.vertices, g.edges.filter("src < 0")), 80).collect()) == roots_of(spark, g, 80)
+    pieces = rrset.Pieces.of(g)
+    rows = pieces.packs.collect()
+    assert pieces.far is None and len(rows) < 10 and sum(len(r["a"]) for r in rows) == 4 * g.edges.count()
+    flat = g.edges.select(F.lit(0).cast("int").alias("bucket"), F.lit(7).cast("long").alias("label"), "src", "dst", F.hash(F.col("h").cast("long")).alias("state"), "thr").toArrow()
+    roots = pa.table({"rr_id": range(50), "id": [i % 43 for i in range(49)] + [1003]})
+    monkeypatch.setattr(rrlocal, "STRIP", 64)  # several rows
+    rows = rrlocal.packed(flat)
+    shuffled = rows.take(pa.array(reversed(range(len(rows)))))
+    pairs = [sorted(zip(*(x.column(c).to_pylist() for c in ("rr_id", "id")), strict=True)) for x in map(lambda e: rrlocal.solver(31)(roots, e), (flat, shuffled))]
+    assert len(rows) == -(-len(flat) // 64) and pairs[0] == pairs[1]
+
+
+def test_a_forest_is_held_within_a_bound(spark, monkeypatch):
+    monkeypatch.setattr(components, "FOREST_EDGES", 8)
+    edges = spark.createDataFrame([(i, j) for i in range(0, 60, 3) for j in (i + 1, i + 2, i + 30)], "src long, dst long").coalesce(1)
+    labels = lambda e: sorted(map(tuple, components.components_local(e.select(F.lit(0).alias("sim"), "src", "dst")).collect()))
+    assert labels(components.spanning(edges)) == labels(edges)
